@@ -64,9 +64,9 @@ FROM x GROUP BY pair_id
 def _topk_sql() -> str:
     return f"""
 WITH v AS (
-  SELECT CAST(vec_id AS BIGINT) AS vec_id, list_transform(embedding, x -> CAST(floor({SCALE} * CAST(x AS DOUBLE)) AS BIGINT)) AS v
+  SELECT CAST(vec_id AS BIGINT) AS vec_id, list_transform(embedding, lambda x: CAST(floor({SCALE} * CAST(x AS DOUBLE)) AS BIGINT)) AS v
   FROM embeddings WHERE vec_id IS NOT NULL AND embedding IS NOT NULL
-    AND len(list_filter(embedding, x -> x IS NULL OR NOT isfinite(x))) = 0),
+    AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
 c AS (SELECT vec_id, unnest(v) AS x, generate_subscripts(v, 1) AS i FROM v),
 s AS (
   SELECT q.vec_id AS query_id, c.vec_id, CAST(sum(q.x * c.x) AS BIGINT) AS score
@@ -89,7 +89,7 @@ def _quality_sql() -> str:
     return rf"""
 WITH d AS (SELECT row_number() OVER () AS row, doc_id, coalesce(text, '') AS t FROM documents),
 a AS (SELECT *, regexp_extract_all(t, '[^\x20\x09-\x0D]+') AS w,
-        list_filter(string_split(t, chr(10)), x -> regexp_matches(x, '[^\x20\x09-\x0D]')) AS l FROM d),
+        list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS l FROM d),
 p AS (SELECT row, unnest(w) AS x, generate_subscripts(w, 1) AS i FROM a),
 g AS (SELECT row, i, x AS a, lead(x) OVER o AS b, lead(x, 2) OVER o AS c FROM p WINDOW o AS (PARTITION BY row ORDER BY i)),
 h AS (SELECT row, i, count(*) OVER (PARTITION BY row, a, b, c) AS n FROM g WHERE c IS NOT NULL),
@@ -98,15 +98,15 @@ m AS (SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words,
         CAST(length(regexp_replace(t, '[\x20\x09-\x0D]+', '', 'g')) AS BIGINT) AS word_chars,
         CAST(length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols,
         CAST(length(t) - length(replace(t, '!', '')) AS BIGINT) AS n_exclaims,
-        len(list_filter([{stops}], x -> list_contains(w, x))) AS n_stop_words,
+        len(list_filter([{stops}], lambda x: list_contains(w, x))) AS n_stop_words,
         len(l) AS n_lines, CAST(len(l) - len(list_distinct(l)) AS BIGINT) AS n_dup_lines,
-        len(list_filter(l, x -> rtrim(x, ' ') LIKE '%...')) AS n_ellipsis_lines,
-        len(list_filter(l, x -> left(ltrim(x, ' '), 1) IN ('-', '*', '•'))) AS n_bullet_lines,
+        len(list_filter(l, lambda x: rtrim(x, ' ') LIKE '%...')) AS n_ellipsis_lines,
+        len(list_filter(l, lambda x: left(ltrim(x, ' '), 1) IN ('-', '*', '•'))) AS n_bullet_lines,
         CAST(coalesce(k.n, 0) AS BIGINT) AS n_repeat_words
       FROM a LEFT JOIN k USING (row))
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, {base} AS base_failed,
   NOT {base} AND {" AND ".join(test(r) for r in DEFAULT_RULES)} AS kept,
-  array_to_string(list_filter([{names}], x -> x IS NOT NULL), ',') AS failed_rules
+  array_to_string(list_filter([{names}], lambda x: x IS NOT NULL), ',') AS failed_rules
 FROM m
 """
 
