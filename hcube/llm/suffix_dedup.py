@@ -42,7 +42,7 @@ REACH = LENGTH - ANCHOR  # how far a window may start before its anchor
 CHUNK = 1 << 20
 BLOCK = 1 << 22
 BUCKET_BYTES = 1 << 26
-HOT = 1000
+HOT, HOT_MOST = 1000, 100_000
 TASK_ROWS = 100_000
 SHARDS = 2
 
@@ -612,8 +612,12 @@ def _streamed(first: DataFrame, copies: DataFrame, texts: DataFrame, n_rows: int
     return head.unionByName(same).unionByName(body).repartition(n_rows, "to").sortWithinPartitions("to", "kind")
 
 
-def spans(docs: DataFrame, hot_rows: int = HOT):
-    """Packed spans by place, rows that go as a whole, and the number of places."""
+def spans(docs: DataFrame, hot_rows: int | None = None):
+    """Packed spans by place, rows that go as a whole, and the number of places.
+
+    An anchor is hot above ``hot_rows`` contexts, by default an eighth of a task's mean
+    share within ``HOT .. HOT_MOST``; results don't depend on it.
+    """
     spark = docs.sparkSession
     source = _sources(docs)
     keys = written(source.select("doc_id", "row", F.length("text").alias("n"), F.md5("text").alias("digest")), "rows")
@@ -625,6 +629,8 @@ def spans(docs: DataFrame, hot_rows: int = HOT):
     items = long_.select("row", "text").mapInArrow(_anchor_items(n_places, n_places), "bucket int, kind int, hashes binary, rows binary")
     answers = items.repartition(n_places, "bucket").mapInArrow(_recurring(n_places), "to int, codes binary")
     contexts = written(_streamed(answers, copies, long_, n_places).mapInArrow(_cut_contexts, _CONTEXTS), "contexts")
+    if hot_rows is None:
+        hot_rows = min(max(contexts.count() // (8 * shuffle_width(spark)), HOT), HOT_MOST)
     often = contexts.groupBy("anchor").agg(F.count("*").alias("n")).filter(F.col("n") > hot_rows).select("anchor")
     often = written(often, "hot-anchors", release=False)
     cold = contexts.join(often, "anchor", "left_anti").select(*contexts.columns)
@@ -648,12 +654,12 @@ def _report(rows) -> pa.RecordBatch:
     )
 
 
-def op5_suffix_dedup(docs: DataFrame, hot_rows: int = HOT) -> DataFrame:
+def op5_suffix_dedup(docs: DataFrame, hot_rows: int | None = None) -> DataFrame:
     found, copies, n_places = spans(docs, hot_rows)
     return _streamed(found, copies, _sources(docs), n_places).mapInArrow(lambda b: _apply(b, _report), _REPORT)
 
 
-def without_repeats(docs: DataFrame, hot_rows: int = HOT) -> DataFrame:
+def without_repeats(docs: DataFrame, hot_rows: int | None = None) -> DataFrame:
     """``docs`` with the repeated passages cut out of ``text``, its other columns and rows unchanged.
 
     A cut inside a character leaves the bytes that still form characters.
