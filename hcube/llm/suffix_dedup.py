@@ -119,11 +119,31 @@ def parts_of(texts: list[bytes]) -> Iterator[tuple[np.ndarray, np.ndarray, np.nd
         yield out()
 
 
+def short(h: np.ndarray) -> np.ndarray:
+    """The 40 bits of a hash that are compared to find candidates: a collision is one too many."""
+    return (h >> U(1)) & U(2**40 - 1)
+
+
 def pair_code(row: np.ndarray, h: np.ndarray) -> np.ndarray:
-    """One number for (row, anchor): a collision only makes a candidate too many."""
+    """One number for (row, short anchor hash)."""
     return mix(row.view(U) + h * _MUL)
 
 
+def pack_items(h: np.ndarray, rows: np.ndarray) -> tuple[bytes, bytes]:
+    """Short hashes, five bytes each, in order of their rows; the rows and how often each comes."""
+    order = np.argsort(rows, kind="stable")
+    uniq, n = np.unique(rows, return_counts=True)
+    five = np.ascontiguousarray(h[order].view(np.uint8).reshape(-1, 8)[:, :5])
+    return five.tobytes(), np.stack([uniq, n]).astype(np.int64).tobytes()
+
+
+def unpack_items(five: bytes, rows: bytes) -> tuple[np.ndarray, np.ndarray]:
+    wide = np.zeros((len(five) // 5, 8), np.uint8)
+    wide[:, :5] = np.frombuffer(five, np.uint8).reshape(-1, 5)
+    uniq, n = np.frombuffer(rows, np.int64).reshape(2, -1) if rows else (np.empty(0, np.int64), np.empty(0, np.int64))
+    return wide.view(U).ravel(), np.repeat(uniq, n)
+
+
 def _texts(batches, columns: int):
     """Rows of a stream, gathered to blocks of about ``BLOCK`` bytes of text (the last column)."""
     held, size = [], 0
@@ -161,11 +181,12 @@ def _anchor_items(n_buckets: int, n_rows: int):
             first = np.r_[True, h[1:] != h[:-1]]
             several = np.repeat(np.diff(np.r_[np.flatnonzero(first), len(h)]) > 1, np.diff(np.r_[np.flatnonzero(first), len(h)]))
             bucket = ((h >> U(20)) % U(n_buckets)).astype(np.int64)
+            h = short(h)
             out = []
             for kind, mask in ((0, ~several), (1, several & first)):
                 b, hh, kk = bucket[mask], h[mask], k[mask]
                 for x, sel in _groups(b):
-                    out.append((x, kind, hh[sel].tobytes(), kk[sel].tobytes() if kind == 0 else b""))
+                    out.append((x, kind, *pack_items(hh[sel], kk[sel] if kind == 0 else np.zeros(len(sel), np.int64))))
             # What recurs within the block needs no answer: it goes to the rows' places now.
             to, codes = _row_bucket(k[several], n_rows), pair_code(k[several], h[several])
             out += [(x % n_buckets, 2 + x, codes[sel].tobytes(), b"") for x, sel in _groups(to)]
@@ -195,9 +216,8 @@ def _recurring(n_rows: int):
     """Per bucket: codes of (row, anchor) whose anchor is in several rows, to the rows' places."""
 
     def answer(items: list[tuple[bytes, bytes]], known: list[bytes]):
-        h = np.concatenate([np.frombuffer(a, U) for a, _ in items] or [np.empty(0, U)])
-        k = np.concatenate([np.frombuffer(b, np.int64) for _, b in items] or [np.empty(0, np.int64)])
-        more = np.concatenate([np.frombuffer(a, U) for a in known] or [np.empty(0, U)])
+        h, k = (np.concatenate(x) for x in zip(*(unpack_items(*i) for i in items)))
+        more = np.concatenate([unpack_items(a, b"")[0] for a in known] or [np.empty(0, U)])
         order = np.lexsort((k, h))
         h, k = h[order], k[order]
         same = np.zeros(len(h), bool)
@@ -252,7 +272,7 @@ def _cut_contexts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
             h, m = window_minima(buf, stops)
             at = anchors(h, m)
             part = np.searchsorted(stops, at, "right")
-            code = pair_code(keys[which[part]], h[at])
+            code = pair_code(keys[which[part]], short(h[at]))
             hit = codes[np.minimum(np.searchsorted(codes, code), len(codes) - 1)] == code
             at, part = at[hit], part[hit]
             if not len(at):
