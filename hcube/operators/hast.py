@@ -13,17 +13,23 @@ from functools import cached_property, reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.store import materialise
 from ..spec import Cube
 from . import hierarchy
 
 
 @dataclass
 class Tree:
-    """A cube's members and nodes, all lazy."""
+    """A cube's members and nodes.
+
+    ``stored``: each depth is written to shared storage and the next one made from it, so
+    the facts are read once however many queries follow; else one lazy plan.
+    """
 
     spark: SparkSession
     cube: Cube
     facts: DataFrame
+    stored: bool = True
 
     @cached_property
     def leaf(self) -> dict[str, DataFrame]:
@@ -41,7 +47,7 @@ class Tree:
     @cached_property
     def nodes(self) -> dict[int, DataFrame]:
         """Depth 0..H: member ids ``<dim>_id_<k>``, slots ``p_<k>`` from the root, and the aggregates."""
-        return build_hast(cells(self), self.cube)
+        return build_hast(cells(self), self.cube, (lambda df, k: materialise(df, f"nodes-{k}")) if self.stored else None)
 
     def labelled(self, depth: int) -> DataFrame:
         """Nodes of a depth with the labels of their members."""
@@ -100,13 +106,16 @@ def _aggregate_names(cube: Cube) -> list[str]:
     return ["cnt", *[n for m, _ in cube.measures for n in (m, f"min_{m}", f"max_{m}", f"sq_{m}")]]
 
 
-def build_hast(cell_table: DataFrame, cube: Cube) -> dict[int, DataFrame]:
+def build_hast(cell_table: DataFrame, cube: Cube, keep=None) -> dict[int, DataFrame]:
+    """Depth 0..H; ``keep(table, depth)`` may write a depth before the next one is made."""
+    keep = keep or (lambda df, k: df)
     h = cube.height
     names = _aggregate_names(cube)
     now = cell_table.repartition(*ids(cube, 1))
-    out = {h: now.select(*ids(cube, h), *[f"p_{k}" for k in range(1, h + 1)], *names)}
+    now = keep(now.select(*ids(cube, h), *[f"p_{k}" for k in range(1, h + 1)], *names), h)
+    out = {h: now}
     for k in range(h - 1, 0, -1):
-        now = now.groupBy(*ids(cube, k), *[f"p_{j}" for j in range(1, k + 1)]).agg(*merged(cube))
+        now = keep(now.groupBy(*ids(cube, k), *[f"p_{j}" for j in range(1, k + 1)]).agg(*merged(cube)), k)
         out[k] = now
     root = now.agg(*[F.coalesce(a, F.lit(0)).alias(n) if n == "cnt" or n in dict(cube.measures) else a.alias(n) for a, n in zip(merged(cube), names)])
     return out | {0: root}
