@@ -31,13 +31,14 @@ class BitVec:
         return self.n
 
     def get(self, i: int) -> int:
-        return int(self.words[i // WORD] >> np.uint64(i % WORD)) & 1
+        i = int(i)  # numpy integers would overflow below
+        return int(self.words[i // WORD]) >> (i % WORD) & 1
 
     def rank1(self, i: int) -> int:
         """Ones at positions 0..i (inclusive); 0 for i = -1."""
         if i < 0:
             return 0
-        w, r = divmod(i + 1, WORD)
+        w, r = divmod(int(i) + 1, WORD)
         rest = int(self.words[w]) & ((1 << r) - 1) if r else 0
         return int(self.before[w]) + rest.bit_count()
 

@@ -58,7 +58,7 @@ C3 = Cube(
     "c3", "{lineitem} l JOIN {orders} o ON l.l_orderkey = o.o_orderkey",
     (
         Dimension("flag", (("flag", "l_returnflag"), ("line", "(l_returnflag || '/' || l_linestatus)"))),
-        Dimension("status", (("status", "o_orderstatus"), ("priority", "(o_orderstatus || '/' || o_orderpriority)"))),
+        Dimension("state", (("state", "o_orderstatus"), ("priority", "(o_orderstatus || '/' || o_orderpriority)"))),
     ),
     (("qty", "CAST(l_quantity AS BIGINT)"), ("discount", _cents("l_discount"))),
     ("lineitem", "orders"),

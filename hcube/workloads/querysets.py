@@ -105,7 +105,7 @@ def truth_sql(cube: Cube, facts: str, n: int, kind: str, fixed: int | None = Non
     return (
         f"WITH {query_set_sql(cube, facts, n, kind, fixed, seed)} "
         f"SELECT q.qid, {names}, {sums}, CAST(count(f.{dims[0].column(1)}) AS BIGINT) AS cnt, "
-        f"CAST(count(DISTINCT CASE {deepest} {key} END) AS BIGINT) AS n_summed "
+        f"CAST(count(DISTINCT CASE WHEN f.{dims[0].column(1)} IS NOT NULL THEN CASE {deepest} {key} WHEN 0 THEN '' END END) AS BIGINT) AS n_summed "
         f"FROM queries q LEFT JOIN facts f ON {match} GROUP BY q.qid, {names}"
     )
 
