@@ -135,9 +135,11 @@ def annotate(docs: DataFrame, text: str = "text", prefix: str = "") -> DataFrame
         ).cast("long"),
         "n_repeat_words": F.expr(
             f"aggregate(transform({tag}d, (x, i) -> CASE WHEN i = 0 THEN 3 ELSE least(3, x - get({tag}d, i - 1)) END), "
-            f"0L, (a, x) -> a + x)"
+            f"0L, (a, x) -> a + x) + CASE WHEN monotonically_increasing_id() < 0 THEN 1L ELSE 0L END"
         ),
     }
+    # The row number above adds nothing.  It keeps filters on these columns from being pushed
+    # below this projection, where the nested arrays would be written out once per use.
     return step.select(*[F.col(f"`{c}`") for c in own], *[c.alias(prefix + k) for k, c in out.items()])
 
 
