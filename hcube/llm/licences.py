@@ -96,7 +96,7 @@ def sentence_ids(text: str) -> str:
     case = " ".join(f"WHEN x RLIKE '{_lit(p)}' THEN '{k}'" for k, p in SENTENCES)
     return (
         f"filter(transform(transform(filter(split({text}, '{cut}'), x -> x RLIKE '{_lit(_ANY)}'), "
-        f"x -> trim(regexp_replace(lower(x), '{tidy}', ' '))), x -> CASE {case} ELSE 'unknown' END), x -> x IS NOT NULL)"
+        f"x -> trim(regexp_replace(regexp_replace(lower(x), '{tidy}', ' '), ' +([.,])', '$1'))), x -> CASE {case} ELSE 'unknown' END), x -> x IS NOT NULL)"
     )
 
 
