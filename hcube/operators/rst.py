@@ -61,7 +61,14 @@ def range_sum(tree: dict[int, DataFrame], boxes: DataFrame, n: int, k: int) -> D
         inside = " AND ".join(contained(x, i, side) for i, x in enumerate(b, 1))
         apart = " OR ".join(disjoint(x, i, side) for i, x in enumerate(b, 1))
         met = frontier.filter(f"NOT ({apart})").withColumn("inside", F.expr(inside))
-        done.append(met.groupBy("qid").agg(F.sum(F.when(F.col("inside"), F.col("total"))).alias("total"), F.count_if("inside").alias("n_summed"), F.count("*").alias("n_visited")))
+        # Met are the root, and of an opened block all children that the box reaches, empty ones too.
+        reached = F.lit(0).cast("long")
+        if depth < h:
+            step = side // k
+            spans = [F.expr(f"least(hi_{i}, {x} * {side} + {side - 1}) div {step} - greatest(lo_{i}, {x} * {side}) div {step} + 1") for i, x in enumerate(b, 1)]
+            reached = F.when(F.col("inside"), 0).otherwise(reduce(lambda p, q: p * q, spans))
+        seen = reached + F.lit(1 if depth == 0 else 0)
+        done.append(met.groupBy("qid").agg(F.sum(F.when(F.col("inside"), F.col("total"))).alias("total"), F.count_if(F.col("inside")).alias("n_summed"), F.sum(seen).alias("n_visited")))
         if depth < h:
             child = tree[depth + 1].select(*b, "total", "cnt", *[F.expr(f"{x} div {k}").alias(f"u{x}") for x in b])
             open_ = met.filter("NOT inside").select("qid", *bounds, *[F.col(x).alias(f"u{x}") for x in b])

@@ -1,17 +1,17 @@
-"""Python data source ``hcube``: nodes of a stored tree, filters on depth and slots pushed down.
+"""Python data source ``hcube``: nodes of a stored tree, one depth or all.
 
-``spark.dataSource.register(NodeSource)``, then
-``spark.read.format("hcube").option("path", store).option("height", h).load()``.
-Each (depth, part file) is a partition; a filter on ``depth`` leaves the other depths
-unread.  Reads local or mounted paths; on remote stores use ``store.read_nodes``.
+``spark.dataSource.register(NodeSource)``, then ``spark.read.format("hcube")
+.option("path", store).option("height", h).option("depth", 2).load()``.  Each (depth, part
+file) is a partition.  The depth is an option and not a pushed filter: Spark keeps a
+reader's pushed filters with the DataFrame, and a second query on it would read too little.
+Reads local or mounted paths; on remote stores use ``store.read_nodes``.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
 from pathlib import Path
 
-from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, InputPartition
+from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 
 class _Part(InputPartition):
@@ -35,14 +35,7 @@ class NodeSource(DataSource):
 class _Reader(DataSourceReader):
     def __init__(self, options: dict, measures: list[str]):
         self.root, self.height, self.measures = options["path"], int(options["height"]), measures
-        self.depth: int | None = None
-
-    def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:
-        for f in filters:
-            if isinstance(f, EqualTo) and f.attribute == ("depth",):
-                self.depth = f.value
-            else:
-                yield f
+        self.depth = int(options["depth"]) if "depth" in options else None
 
     def partitions(self) -> list[_Part]:
         depths = range(self.height + 1) if self.depth is None else [self.depth]
