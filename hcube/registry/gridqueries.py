@@ -105,8 +105,12 @@ def register(r: Registry) -> None:
     r.add("linear_box_scan", lambda s, d: rst.linear_scan(g8.cells(s), box8(s), 4, 4), truth8)
     visits8 = _visits_sql(querysets.boxes_sql(BOXES, 4, 8), 4, 2, 3)
     r.add("box_sum_frontier", lambda s, d: rst.range_sum(tree8(s), box8(s), 4, 2), f"SELECT qid, total, n_summed, n_visited FROM ({truth8}) JOIN ({visits8}) USING (qid)")
-    summed, visited = rst.closed_form(4, 2, 3)
-    r.add("visits_rst", lambda s, d: box8(s).select("qid", summed.cast("long").alias("n_summed"), visited.cast("long").alias("n_visited")), visits8)
+
+    def visits_rst(s, d):
+        summed, visited = rst.closed_form(4, 2, 3)
+        return box8(s).select("qid", summed.cast("long").alias("n_summed"), visited.cast("long").alias("n_visited"))
+
+    r.add("visits_rst", visits_rst, visits8)
     point = "SELECT qid, " + ", ".join(f"lo_{i} AS k{i}" for i in range(1, 5)) + f" FROM ({querysets.boxes_sql(BOXES, 4, 8)})"
     half8 = grids.Grid(4, 8, "irregular", 50)
     r.add("rst_cell_points", lambda s, d: rst.cell(rst.build_rst(half8.cells(s), 4, 2, 3), box8(s).select("qid", *[F.col(f"lo_{i}").alias(f"k{i}") for i in range(1, 5)]), 4),
@@ -207,5 +211,5 @@ def register(r: Registry) -> None:
     r.add("hier_mode", lambda s, d: related.hier_mode(timed.facts(s, d), levels, "event_type"), f"WITH f AS ({timed.sql()}) " + " UNION ALL ".join(
         f"SELECT {k} AS depth, label, event_type AS mode_value, n AS mode_count FROM (SELECT *, row_number() OVER (PARTITION BY label ORDER BY n DESC, event_type) AS z FROM (SELECT {c} AS label, event_type, count(*) AS n FROM f GROUP BY 1, 2)) WHERE z = 1" for k, c in enumerate(levels, 1)))
     hourly_sql = "SELECT strftime(date_trunc('hour', ts), '%Y-%m-%d %H:%M:%S') AS hour, event_type, count(*) AS cnt, CAST(sum(CAST(ROUND(value * 100) AS BIGINT)) AS BIGINT) AS cents FROM events GROUP BY 1, 2"
-    hour = F.expr("CAST(CAST(hour AS TIMESTAMP_NTZ) AS STRING)").alias("hour")
-    r.add("stream_events_hourly", lambda s, d: upkeep.hourly(s.read.parquet(f"{d}/events.parquet")).select(hour, "event_type", "cnt", "cents"), hourly_sql)
+    hour = "CAST(CAST(hour AS TIMESTAMP_NTZ) AS STRING) AS hour"
+    r.add("stream_events_hourly", lambda s, d: upkeep.hourly(s.read.parquet(f"{d}/events.parquet")).selectExpr(hour, "event_type", "cnt", "cents"), hourly_sql)

@@ -30,5 +30,13 @@ def test_equals_sql(spark, sf, duck, name):
     assert sorted((tuple(plain(r[c]) for c in columns) for r in got.collect()), key=repr) == want
 
 
+def test_listing_needs_no_session():
+    import subprocess
+    import sys
+
+    out = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()), len(e.oracle_sql()))"], capture_output=True, text=True)
+    assert out.returncode == 0, out.stderr
+
+
 def test_entry(spark):
     assert entry.entry(spark).count() == 100
