@@ -22,7 +22,10 @@ class BitVec:
 
     @classmethod
     def from_bytes(cls, raw: bytes, n: int) -> BitVec:
-        return cls(np.unpackbits(np.frombuffer(raw, np.uint8), bitorder="little")[:n])
+        out = cls.__new__(cls)
+        out.n, out.words = n, np.frombuffer(raw, np.uint64)
+        out.before = np.r_[0, np.cumsum(np.bitwise_count(out.words))].astype(np.int64)
+        return out
 
     def to_bytes(self) -> bytes:
         return self.words.tobytes()
@@ -45,6 +48,29 @@ class BitVec:
     def rank0(self, i: int) -> int:
         return i + 1 - self.rank1(i)
 
+    def get_many(self, i: np.ndarray) -> np.ndarray:
+        return (self.words[i >> 6] >> (i & 63).astype(np.uint64) & np.uint64(1)).astype(bool)
+
+    def rank1_many(self, i: np.ndarray) -> np.ndarray:
+        """``rank1`` of an array of positions, each at least 0."""
+        w, r = (i + 1) >> 6, ((i + 1) & 63).astype(np.uint64)
+        rest = self.words[np.minimum(w, len(self.words) - 1)] & ((np.uint64(1) << r) - np.uint64(1))
+        return self.before[w] + np.bitwise_count(rest).astype(np.int64)
+
+    def select0_many(self, j: np.ndarray) -> np.ndarray:
+        """Positions of the j-th zeros, j from 1: the word by its directory, then halves of it by counts."""
+        zeros = np.arange(len(self.before)) * WORD - self.before
+        w = np.searchsorted(zeros, j, "left") - 1
+        word, left = ~self.words[w], (j - zeros[w]).astype(np.int64)
+        at = w * WORD
+        for half in (32, 16, 8, 4, 2, 1):
+            below = np.bitwise_count(word & np.uint64((1 << half) - 1)).astype(np.int64)
+            hop = left > below
+            left -= np.where(hop, below, 0)
+            word = np.where(hop, word >> np.uint64(half), word)
+            at = at + np.where(hop, half, 0)
+        return at
+
     def select1(self, j: int) -> int:
         """Position of the j-th one, j from 1; -1 for j = 0."""
         if j == 0:
@@ -109,8 +135,43 @@ class Dac:
             i = self.more[level].rank1(i) - 1
             shift, level = shift + self.width, level + 1
 
+    def get_many(self, i: np.ndarray) -> np.ndarray:
+        out = np.zeros(len(i), np.uint64)
+        left, at = np.arange(len(i)), np.asarray(i, np.int64)
+        for level, (chunk, more) in enumerate(zip(self.chunks, self.more)):
+            out[left] |= chunk[at] << np.uint64(level * self.width)
+            go = more.get_many(at)
+            left, at = left[go], more.rank1_many(at[go]) - 1
+        return out
+
     def all(self) -> np.ndarray:
-        return np.array([self.get(i) for i in range(self.n)], np.uint64)
+        return self.get_many(np.arange(self.n))
+
+    def to_bytes(self) -> bytes:
+        """Width, then per level its length, its chunks of ``width`` bits and its continuation bits."""
+        out = [np.array([self.width, len(self.chunks)], np.int64).tobytes()]
+        places = np.arange(self.width, dtype=np.uint64)
+        for chunk, more in zip(self.chunks, self.more):
+            bits = (chunk[:, None] >> places & np.uint64(1)).astype(np.uint8)
+            out += [np.array([len(chunk)], np.int64).tobytes(), np.packbits(bits.ravel(), bitorder="little").tobytes(), more.to_bytes()]
+        return b"".join(out)
+
+    @classmethod
+    def from_bytes(cls, raw: bytes) -> Dac:
+        out = cls.__new__(cls)
+        width, levels = map(int, np.frombuffer(raw, np.int64, 2))
+        out.width, out.chunks, out.more, at = width, [], [], 16
+        weights = np.uint64(1) << np.arange(width, dtype=np.uint64)
+        for _ in range(levels):
+            n = int(np.frombuffer(raw, np.int64, 1, at)[0])
+            size, words = -(-n * width // 8), 8 * -(-max(n, 1) // WORD)
+            bits = np.unpackbits(np.frombuffer(raw, np.uint8, size, at + 8), bitorder="little")[: n * width]
+            out.chunks.append((bits.reshape(n, width) * weights).sum(1, dtype=np.uint64))
+            at += 8 + size
+            out.more.append(BitVec.from_bytes(raw[at : at + words], n))
+            at += words
+        out.n = len(out.chunks[0])
+        return out
 
     def size_bits(self) -> int:
         return sum(len(c) for c in self.chunks) * (self.width + 1)
@@ -118,12 +179,22 @@ class Dac:
 
 def dac_bits(values: np.ndarray, width: int) -> int:
     """Size of ``Dac(values, width)`` without encoding."""
-    lengths = np.array([max(1, int(v).bit_length()) for v in values])
-    return int((-(-lengths // width)).sum()) * (width + 1)
+    return _bits_of_lengths(_lengths(values), width)
+
+
+def _lengths(values: np.ndarray) -> np.ndarray:
+    """How many values have each bit length (at least 1), by length."""
+    bounds = np.uint64(1) << np.arange(1, 64, dtype=np.uint64)
+    return np.bincount(1 + np.searchsorted(bounds, np.asarray(values, np.uint64), "right"), minlength=65)
+
+
+def _bits_of_lengths(counts: np.ndarray, width: int) -> int:
+    return int((counts * -(-np.arange(len(counts)) // width)).sum()) * (width + 1)
 
 
 def dac_best_width(values: np.ndarray) -> int:
-    return min(range(1, 17), key=lambda w: (dac_bits(values, w), w))
+    counts = _lengths(values)
+    return min(range(1, 17), key=lambda w: (_bits_of_lengths(counts, w), w))
 
 
 def dac_bits_sql(column: str, width: int, top: int = 63) -> str:

@@ -1,14 +1,18 @@
 """Compact form: occupancy bits, block limits and coded values, in shards of subtrees.
 
-A shard is the subtree below one depth-1 node, its sequences in level order from its own
+A shard is the subtree below one node of the cut depth, its sequences in level order from its own
 root; what lies above the cut is a crown of a few rows that stays relational.  Only whole
 shards cross into Python.
 """
 
 from __future__ import annotations
 
+import time
+from functools import reduce
+
 import numpy as np
-import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -23,26 +27,34 @@ class Sequences:
         self.ta, self.tc, self.v, self.last = occupancy, limits, values, last
 
     @classmethod
-    def build(cls, root: int, levels: list[dict[tuple, int]], fans: list[dict[tuple, int]]) -> Sequences:
-        """``levels[d]``: value by slot path of length d + 1; ``fans[d]``: children by path of length d."""
-        bits, limits, values = [], [], [root]
-        order = [()]
-        for d, (level, fan) in enumerate(zip(levels, fans)):
-            nxt = []
-            for path in order:
-                z = fan[path]
-                limits += [1] * (z - 1) + [0]
-                for s in range(z):
-                    child = (*path, s)
-                    here = child in level
-                    values.append(level.get(child, 0))
-                    if d < len(levels) - 1:
-                        bits.append(int(here))
-                    if here:
-                        nxt.append(child)
-            order = nxt
-        coded = zigzag(np.array(values, np.int64))
-        return cls(BitVec(bits), BitVec(limits), Dac(coded, dac_best_width(coded)), len(levels))
+    def build(cls, root: int, levels: list[tuple[np.ndarray, np.ndarray]], fans: list[tuple[np.ndarray, np.ndarray]]) -> Sequences:
+        """``levels[d]``: slot paths of length d + 1 (rows) and values; ``fans[d]``: paths of length d and children.
+
+        Paths in order are nodes in level order, so a node's parent is its prefix's rank.
+        """
+        bits, limits, values = [], [], [np.array([root], np.int64)]
+        for d, ((paths, value), (parents, fan)) in enumerate(zip(levels, fans)):
+            if d:
+                fan = fan[np.lexsort(parents.T[::-1])]
+            order = np.lexsort(paths.T[::-1])
+            paths, value = paths[order], value[order]
+            above = paths[:, :-1]
+            parent = np.r_[0, np.cumsum((above[1:] != above[:-1]).any(1))]
+            ends = np.cumsum(fan)
+            at = ends[parent] - fan[parent] + paths[:, -1]
+            level = np.zeros(ends[-1], np.int64)
+            level[at] = value
+            values.append(level)
+            limit = np.ones(ends[-1], np.uint8)
+            limit[ends - 1] = 0
+            limits.append(limit)
+            if d < len(levels) - 1:
+                full = np.zeros(ends[-1], np.uint8)
+                full[at] = 1
+                bits.append(full)
+        joined = lambda x: np.concatenate(x) if x else np.empty(0, np.uint8)
+        coded = zigzag(np.concatenate(values))
+        return cls(BitVec(joined(bits)), BitVec(joined(limits)), Dac(coded, dac_best_width(coded)), len(levels))
 
     def child(self, start: int, slot: int) -> int | None:
         """Start of the block of the children of a node's slot; None where it is empty."""
@@ -85,6 +97,33 @@ class Sequences:
             frontier = nxt
         return total, visited
 
+    def walk_batch(self, owner: np.ndarray, first: np.ndarray, size: np.ndarray, slots: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Sums and visits of many walks at once, one step of all of them at a time.
+
+        Walk q takes steps ``owner[q]..owner[q + 1] - 1``; step s follows each of
+        ``slots[first[s] : first[s] + size[s]]``.  Without steps it is the root's value.
+        """
+        n = len(owner) - 1
+        length = np.diff(owner)
+        total, visited = np.zeros(n, np.int64), np.ones(n, np.int64)
+        total[length == 0] = unzigzag(self.v.get_many(np.zeros(1, np.int64)))[0]
+        q = np.flatnonzero(length > 0)
+        start, k = np.zeros(len(q), np.int64), 0
+        while len(q):
+            step = owner[q] + k
+            many = size[step]
+            at = np.repeat(first[step] - np.cumsum(many) + many, many) + np.arange(many.sum())
+            q, at = np.repeat(q, many), np.repeat(start, many) + slots[at]
+            visited += np.bincount(q, minlength=n)
+            k += 1
+            last = length[q] == k
+            np.add.at(total, q[last], unzigzag(self.v.get_many(at[last] + 1)))
+            q, at = q[~last], at[~last]
+            full = at < len(self.ta)
+            full[full] = self.ta.get_many(at[full])
+            q, start = q[full], self.tc.select0_many(self.ta.rank1_many(at[full])) + 1
+        return total, visited
+
     def size_bits(self) -> dict[str, int]:
         return {"occupancy": len(self.ta), "limits": len(self.tc), "values": self.v.size_bits()}
 
@@ -95,8 +134,9 @@ def sequences_of(t: Tree, measure: str) -> Sequences:
     levels, fans = [], []
     for k in range(1, h + 1):
         paths = [f"p_{j}" for j in range(1, k + 1)]
-        levels.append({tuple(r[:k]): r[k] for r in t.nodes[k].select(*paths, measure).collect()})
-        fans.append({tuple(r[: k - 1]): r[k - 1] for r in _fans(t, k).collect()})
+        for into, rows, width in ((levels, t.nodes[k].select(*paths, measure), k), (fans, _fans(t, k), k - 1)):
+            found = np.array([tuple(r) for r in rows.collect()], np.int64).reshape(-1, width + 1)
+            into.append((found[:, :-1], found[:, -1]))
     root = t.nodes[0].select(measure).first()[0]
     return Sequences.build(root, levels, fans)
 
@@ -113,103 +153,122 @@ def _fans(t: Tree, k: int) -> DataFrame:
     return rows.select(*paths, fan.alias("fan"))
 
 
-SHARD = "p_1 long, root long, ta binary, n_ta long, tc binary, n_tc long, v binary, width int, bits long"
+CUT = 1
 
 
-def pack(t: Tree, measure: str) -> DataFrame:
-    """One row per depth-1 node: its subtree's sequences.  Groups are bounded by the cut."""
-    h = t.cube.height
-    parts = []
-    for k in range(1, h + 1):
-        path = F.array(*[F.col(f"p_{j}") for j in range(2, k + 1)]).cast("array<long>")
-        parts.append(t.nodes[k].select("p_1", F.lit(k).alias("depth"), path.alias("path"), F.col(measure).cast("long").alias("value"), F.lit(None).cast("long").alias("fan")))
-        if k > 1:
-            up = F.array(*[F.col(f"p_{j}") for j in range(2, k)]).cast("array<long>")
-            parts.append(_fans(t, k).select("p_1", F.lit(k).alias("depth"), up.alias("path"), F.lit(None).cast("long").alias("value"), "fan"))
-    rows = parts[0]
-    for x in parts[1:]:
-        rows = rows.unionByName(x)
-
-    def one(pdf: pd.DataFrame) -> pd.DataFrame:
-        node, fan = pdf[pdf["fan"].isna()], pdf[pdf["fan"].notna()]
-        root = int(node[node["depth"] == 1]["value"].iloc[0])
-        levels = [{tuple(p): int(v) for p, v in zip(x["path"], x["value"])} for k in range(2, h + 1) for x in [node[node["depth"] == k]]]
-        fans = [{tuple(p): int(v) for p, v in zip(x["path"], x["fan"])} for k in range(2, h + 1) for x in [fan[fan["depth"] == k]]]
-        s = Sequences.build(root, levels, fans)
-        values = s.v.all()
-        return pd.DataFrame([{
-            "p_1": pdf["p_1"].iloc[0], "root": root, "ta": s.ta.to_bytes(), "n_ta": len(s.ta), "tc": s.tc.to_bytes(), "n_tc": len(s.tc),
-            "v": values.tobytes(), "width": s.v.width, "bits": sum(s.size_bits().values()),
-        }])
-
-    return rows.groupBy("p_1").applyInPandas(one, SHARD)
-
-
-def unpack(row) -> Sequences:
-    values = np.frombuffer(row["v"], np.uint64)
-    return Sequences(BitVec.from_bytes(row["ta"], int(row["n_ta"])), BitVec.from_bytes(row["tc"], int(row["n_tc"])), Dac(values, int(row["width"])), 0)
-
-
-def walk(shards: DataFrame, paths: DataFrame) -> DataFrame:
-    """``paths(qid, p_1, steps array<array<long>>)``: sums below the shards, ``(qid, total, n_visited)``.
-
-    Each step lists the slots to follow; queries go to their shard by its key.  A query
-    that spans several shards has a row for each.
+def _cut_keys(cut: int) -> list[str]:
+    return [f"p_{j}" for j in range(1, cut + 1)]
+
+
+def pack(t: Tree, measure: str, cut: int = CUT) -> DataFrame:
+    """One row per node of depth ``cut``: its subtree's sequences.
+
+    A shard is one task's work and one row, so the cut is chosen by what the largest
+    subtree holds: deeper where a depth-1 member owns much of the cube (``shard_sizes``).
     """
+    h, keys = t.cube.height, _cut_keys(cut)
+    if not 1 <= cut <= h:
+        raise ValueError("the cut is a depth from 1 to the height")
+    parts = []
+    for k in range(cut, h + 1):
+        path = lambda upto: F.array(*[F.col(f"p_{j}") for j in range(cut + 1, upto + 1)]).cast("array<long>")
+        parts.append(t.nodes[k].select(*keys, F.lit(k).alias("depth"), F.lit(False).alias("is_fan"), path(k).alias("path"), F.col(measure).cast("long").alias("n")))
+        if k > cut:
+            parts.append(_fans(t, k).select(*keys, F.lit(k).alias("depth"), F.lit(True).alias("is_fan"), path(k - 1).alias("path"), F.col("fan").alias("n")))
+    rows = reduce(DataFrame.unionByName, parts)
 
-    def run(asked: pd.DataFrame, shard: pd.DataFrame) -> pd.DataFrame:
-        if not len(shard) or not len(asked):
-            return pd.DataFrame({"qid": asked["qid"], "total": 0, "n_visited": 1})
-        s = unpack(shard.iloc[0])
-        out = []
-        for q, steps in zip(asked["qid"], asked["steps"]):
-            total, seen = s.walk_many([list(x) for x in steps]) if len(steps) else (int(shard["root"].iloc[0]), 1)
-            out.append((q, total, seen))
-        return pd.DataFrame(out, columns=["qid", "total", "n_visited"])
+    def one(table: pa.Table) -> pa.Table:
+        depth, is_fan = table["depth"].to_numpy(), table["is_fan"].to_numpy()
 
-    met = paths.groupBy("p_1").cogroup(shards.groupBy("p_1")).applyInPandas(run, "qid long, total long, n_visited long")
-    return met.groupBy("qid").agg(F.sum("total").alias("total"), F.sum("n_visited").alias("n_visited"))
+        def part(k: int, fan: bool) -> tuple[np.ndarray, np.ndarray]:
+            mine = table.filter(pa.array((depth == k) & (is_fan == fan)))
+            n = mine["n"].to_numpy()
+            return mine["path"].combine_chunks().flatten().to_numpy().reshape(len(n), k - cut - fan), n
 
+        root = int(table.filter(pa.array((depth == cut) & ~is_fan))["n"][0].as_py())
+        below = range(cut + 1, h + 1)
+        s = Sequences.build(root, [part(k, False) for k in below], [part(k, True) for k in below])
+        return pa.table({
+            **{c: table[c][:1] for c in keys}, "root": [root], "ta": [s.ta.to_bytes()], "n_ta": [len(s.ta)], "tc": [s.tc.to_bytes()], "n_tc": [len(s.tc)],
+            "v": [s.v.to_bytes()], "width": pa.array([s.v.width], pa.int32()), "bits": [sum(s.size_bits().values())],
+        })
 
-def uniform_paths(t: Tree, resolved: DataFrame) -> DataFrame:
-    """Shard rows of queries whose labels stand at one depth: one slot a step."""
-    out, h, dims = resolved.filter("status = 'ok'"), t.cube.height, t.cube.dims
-    for d in dims:
-        leaf = t.leaf[d.name]
-        for k in range(1, h + 1):
-            step = leaf.select(F.col(f"id_{k}").alias(f"{d.name}_id_{k}"), F.col(f"ord_{k}").alias(f"{d.name}_ord_{k}"), F.col(f"fan_{k}").alias(f"{d.name}_fan_{k}")).distinct()
-            out = out.join(step, f"{d.name}_id_{k}", "left")
+    shard = ", ".join(f"{c} long" for c in keys) + ", root long, ta binary, n_ta long, tc binary, n_tc long, v binary, width int, bits long"
+    return rows.groupBy(*keys).applyInArrow(one, shard)
+
+
+def shard_sizes(t: Tree, cut: int) -> DataFrame:
+    """Cells below each node of depth ``cut``: what a shard of that cut would hold."""
+    return t.nodes[t.cube.height].groupBy(*_cut_keys(cut)).agg(F.count("*").alias("cells"))
+
+
+def unpack(row: dict) -> Sequences:
+    return Sequences(BitVec.from_bytes(row["ta"], row["n_ta"]), BitVec.from_bytes(row["tc"], row["n_tc"]), Dac.from_bytes(row["v"]), 0)
+
+
+def walk(shards: DataFrame, paths: DataFrame, cut: int = CUT) -> DataFrame:
+    """``paths(qid, p_1.., steps array<array<long>>)``: sums below the shards, ``(qid, total, n_visited, nanos)``.
+
+    Each step lists the slots to follow; queries go to their shard by its key, and all
+    of a shard's walk together.  A query that spans several shards has a row for each;
+    ``nanos`` is the time spent in the walks.
+    """
+    keys = _cut_keys(cut)
+
+    def run(asked: pa.Table, shard: pa.Table) -> pa.Table:
+        qid = asked["qid"]
+        if not shard.num_rows or not asked.num_rows:
+            return pa.table({"qid": qid, "total": np.zeros(asked.num_rows, np.int64), "n_visited": np.ones(asked.num_rows, np.int64), "nanos": np.zeros(asked.num_rows, np.int64)})
+        steps = asked["steps"].combine_chunks()
+        slots = steps.flatten()
+        offsets = lambda x: np.r_[0, np.cumsum(pc.list_value_length(x).to_numpy(zero_copy_only=False))].astype(np.int64)
+        inner = offsets(slots)
+        seq, follow = unpack(shard.to_pylist()[0]), slots.flatten().to_numpy(zero_copy_only=False).astype(np.int64)
+        began, took = time.perf_counter_ns(), np.zeros(asked.num_rows, np.int64)
+        total, visited = seq.walk_batch(offsets(steps), inner[:-1], np.diff(inner), follow)
+        took[0] = time.perf_counter_ns() - began
+        return pa.table({"qid": qid, "total": total, "n_visited": visited, "nanos": took})
+
+    met = paths.groupBy(*keys).cogroup(shards.groupBy(*keys)).applyInArrow(run, "qid long, total long, n_visited long, nanos long")
+    return met.groupBy("qid").agg(F.sum("total").alias("total"), F.sum("n_visited").alias("n_visited"), F.sum("nanos").alias("nanos"))
+
+
+def _shard_rows(rows: DataFrame, t: Tree, deepest: int, cut: int) -> DataFrame:
     from .hast import slot
 
-    slots = [slot(t.cube, k) for k in range(1, h + 1)]
-    steps = F.transform(F.filter(F.array(*slots[1:]), lambda x: x.isNotNull()), lambda x: F.array(x))
-    return out.select("qid", slots[0].alias("p_1"), steps.alias("steps"))
+    slots = [slot(t.cube, k) for k in range(1, deepest + 1)]
+    steps = F.array(*[F.array(x) for x in slots[cut:]]).cast("array<array<long>>")
+    return rows.select("qid", *[x.alias(c) for x, c in zip(slots, _cut_keys(cut))], steps.alias("steps"))
+
+
+def uniform_paths(t: Tree, resolved: DataFrame, depth: int, cut: int = CUT) -> DataFrame:
+    """Shard rows of queries whose labels all stand at ``depth`` (at least the cut): one slot a step."""
+    out, dims = resolved.filter("status = 'ok'"), t.cube.dims
+    for d in dims:
+        cols = [F.col(f"{x}_{k}").alias(f"{d.name}_{x}_{k}") for k in range(1, depth + 1) for x in ("ord", "fan")]
+        step = t.leaf[d.name].select(F.col(f"id_{depth}").alias(f"{d.name}_id_{depth}"), *cols).distinct()
+        out = out.join(step, f"{d.name}_id_{depth}")
+    return _shard_rows(out, t, depth, cut)
 
 
-def mixed_paths(t: Tree, resolved: DataFrame) -> DataFrame:
+def mixed_paths(t: Tree, resolved: DataFrame, cut: int = CUT) -> DataFrame:
     """Shard rows of any label queries: below a reached label all children, listed per member path.
 
-    The member tuples of the deepest depth are listed and turned to slot paths; each is one row.
+    The member tuples of the deepest depth, or of the cut where that is deeper, are
+    listed and turned to slot paths; each is one row.
     """
     from ..plans.planner import tuples
-    from .hast import ids, slot
 
-    h, parts = t.cube.height, []
+    parts = []
     for depths in tuples(t, resolved):
-        deepest = max(depths)
+        deepest = max(*depths, cut)
         mine = resolved.filter("status = 'ok'")
         for d, k in zip(t.cube.dims, depths):
             mine = mine.filter(F.col(f"{d.name}_depth") == k)
         rows = mine.select("qid", *[f"{d.name}_id_{k}" for d, k in zip(t.cube.dims, depths) if k])
         for d, k in zip(t.cube.dims, depths):
-            leaf = t.leaf[d.name]
             cols = [F.col(f"{x}_{j}").alias(f"{d.name}_{x}_{j}") for j in range(1, deepest + 1) for x in ("id", "ord", "fan")]
-            down = leaf.select(*cols).distinct()
+            down = t.leaf[d.name].select(*cols).distinct()
             rows = rows.join(down, f"{d.name}_id_{k}") if k else rows.crossJoin(down)
-        slots = [slot(t.cube, k) for k in range(1, deepest + 1)]
-        steps = F.array(*[F.array(x) for x in slots[1:]]).cast("array<array<long>>") if deepest > 1 else F.array().cast("array<array<long>>")
-        parts.append(rows.select("qid", slots[0].alias("p_1"), steps.alias("steps")))
-    out = parts[0]
-    for x in parts[1:]:
-        out = out.unionByName(x)
-    return out
+        parts.append(_shard_rows(rows, t, deepest, cut))
+    return reduce(DataFrame.unionByName, parts)

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.bits import dac_bits_sql
-from ..operators import hast, measures, packed, related, rst
+from ..operators import hast, measures, packed, packed_rst, related, rst
 from ..plans import planner
 from ..streaming import upkeep
 from ..workloads import cubes, grids, querysets
@@ -103,6 +103,7 @@ def register(r: Registry) -> None:
     truth8 = _boxes_truth(g8.duck(), querysets.boxes_sql(BOXES, 4, 8), 4)
     r.add("box_sum_set", lambda s, d: rst.range_sum_set(tree8(s), box8(s), 4, 2), truth8)
     r.add("linear_box_scan", lambda s, d: rst.linear_scan(g8.cells(s), box8(s), 4, 4), truth8)
+    r.add("compact_box_sums", lambda s, d: packed_rst.walk(packed_rst.pack(tree8(s), 4, 2), box8(s), 4, 2, 3).select("qid", "total"), truth8)
     visits8 = _visits_sql(querysets.boxes_sql(BOXES, 4, 8), 4, 2, 3)
     r.add("box_sum_frontier", lambda s, d: rst.range_sum(tree8(s), box8(s), 4, 2), f"SELECT qid, total, n_summed, n_visited FROM ({truth8}) JOIN ({visits8}) USING (qid)")
 
@@ -141,7 +142,7 @@ def register(r: Registry) -> None:
     def compact(s, kind, fixed=None):
         t = grid_tree(s, g8)
         asked = planner.resolve(t, querysets.query_set(t, LABELS, kind, fixed))
-        paths = packed.uniform_paths(t, asked) if kind == "one" else packed.mixed_paths(t, asked)
+        paths = packed.uniform_paths(t, asked, fixed) if kind == "one" else packed.mixed_paths(t, asked)
         got = packed.walk(packed.pack(t, "v"), paths)
         return asked.select("qid").join(got, "qid", "left").select("qid", F.coalesce("total", F.lit(0)).cast("long").alias("v"))
 

@@ -70,3 +70,21 @@ def test_first_degree():
 def test_significance():
     assert separation(5.1, 1.75, 0.447, 0.55) == pytest.approx(4.727, abs=1e-3)
     assert welch_z(5.1, 1.75, 0.447, 0.55, 20) == pytest.approx(21.1, abs=0.05)
+
+
+def test_batches_equal_single_steps():
+    rng = np.random.default_rng(5)
+    for n in (1, 63, 64, 65, 128, 1000):
+        bits = rng.integers(0, 2, n)
+        bits[0] = 0
+        v = BitVec.from_bytes(BitVec(bits).to_bytes(), n)
+        at = np.arange(n)
+        assert v.get_many(at).tolist() == [bool(v.get(i)) for i in at]
+        assert v.rank1_many(at).tolist() == [v.rank1(i) for i in at]
+        ranks = np.arange(1, n - bits.sum() + 1)
+        assert v.select0_many(ranks).tolist() == [v.select0(j) for j in ranks]
+    values = np.r_[rng.integers(0, 9, 500), rng.integers(0, 2**62, 20), 0].astype(np.uint64)
+    for width in (1, 4, 7, 16):
+        code = Dac.from_bytes(Dac(values, width).to_bytes())
+        assert code.all().tolist() == values.tolist() == [code.get(i) for i in range(len(values))]
+        assert code.size_bits() == dac_bits(values, width)
