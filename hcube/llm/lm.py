@@ -29,6 +29,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -47,6 +48,15 @@ SEED = 20
 _BLOCK = "block long, doc_ids array<long>, held binary, n_tokens binary, words binary, train binary, ids binary, n_all long, n_train long"
 
 
+def _packed(x: np.ndarray) -> bytes:
+    """Bytes of an array, compressed: counts and token numbers are small, and rows are shuffled and kept."""
+    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(x).tobytes())
+
+
+def _unpacked(b: bytes, kind: type) -> np.ndarray:
+    return np.frombuffer(zstandard.decompress(b), kind)
+
+
 def text_blocks(docs: DataFrame) -> DataFrame:
     """Blocks of about ``BLOCK_TOKENS`` tokens from ``(doc_id, held, text binary)``."""
 
@@ -65,7 +75,7 @@ def text_blocks(docs: DataFrame) -> DataFrame:
         name = int(mix(np.array([len(tokens)], U) + (mix(words).sum(dtype=U) ^ mix(n.astype(U) * U(3) + U(1)).sum(dtype=U)) + U(hash(tuple(doc_ids)) & (2**64 - 1)))[0])
         cols = [
             pa.array([name - 2**63]), pa.array([doc_ids], pa.list_(pa.int64())),
-            *(pa.array([np.ascontiguousarray(x).tobytes()], pa.binary()) for x in (
+            *(pa.array([_packed(x)], pa.binary()) for x in (
                 held, n.astype(np.int64), words, train.astype(np.int64), ids.astype(np.uint32))),
             pa.array([len(tokens)]), pa.array([int(train.sum())]),
         ]
@@ -95,7 +105,7 @@ def text_blocks(docs: DataFrame) -> DataFrame:
 
 
 def _arrays(row: dict, **kinds) -> list[np.ndarray]:
-    return [np.frombuffer(row[k], t) for k, t in kinds.items()]
+    return [_unpacked(row[k], t) for k, t in kinds.items()]
 
 
 def frequent_words(blocks: DataFrame, n_train: int, share: int = CONTEXT_SHARE) -> np.ndarray:
@@ -121,7 +131,7 @@ def frequent_words(blocks: DataFrame, n_train: int, share: int = CONTEXT_SHARE)
 def block_pairs(row: dict, contexts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Distinct ``word * width + context`` codes of a block, their training counts, each token's code number."""
     n, words, ids = _arrays(row, n_tokens=np.int64, words=U, ids=np.uint32)
-    held = np.frombuffer(row["held"], bool)
+    held = _unpacked(row["held"], bool)
     width = len(contexts) + 2  # 0: after a rarer word; the last: at the beginning
     place = np.searchsorted(contexts, words)
     known = np.zeros(len(words), bool)
@@ -146,7 +156,7 @@ def requests(blocks: DataFrame, contexts: np.ndarray, n_buckets: int) -> DataFra
     def run(batches):
         for batch in batches:
             for row in batch.to_pylist():
-                words = np.frombuffer(row["words"], U)
+                words = _unpacked(row["words"], U)
                 codes, train, _ = block_pairs(row, contexts)
                 width = len(contexts) + 2
                 word = codes // width
@@ -158,8 +168,8 @@ def requests(blocks: DataFrame, contexts: np.ndarray, n_buckets: int) -> DataFra
                 for a, z in zip(cuts, [*cuts[1:], len(order)]):
                     part = order[a:z]
                     mine, n_pairs = np.unique(word[part], return_counts=True)
-                    out.append((row["block"], int(b_sorted[a]), words[mine].tobytes(), n_pairs.astype(np.uint32).tobytes(),
-                                (codes[part] % width).astype(np.uint16).tobytes(), train[part].astype(np.int64).tobytes()))
+                    out.append((row["block"], int(b_sorted[a]), _packed(words[mine]), _packed(n_pairs.astype(np.uint32)),
+                                _packed((codes[part] % width).astype(np.uint16)), _packed(train[part].astype(np.int64))))
                 cols = list(zip(*out))
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[2:])],
@@ -294,10 +304,10 @@ def _buckets(batches, width, totals, n_buckets):
             held.setdefault(row["bucket"], []).append(row)
     for bucket in sorted(held):
         rows = sorted(held.pop(bucket), key=lambda r: (r["block"], r["words"]))
-        parts = [[np.frombuffer(r[k], t) for r in rows] for k, t in (("words", U), ("n_pairs", np.uint32), ("context", np.uint16), ("train", np.int64))]
+        parts = [[_unpacked(r[k], t) for r in rows] for k, t in (("words", U), ("n_pairs", np.uint32), ("context", np.uint16), ("train", np.int64))]
         words, n_pairs, context, train = map(np.concatenate, parts)
         out = sample_bucket(words, n_pairs, context.astype(np.int64), train, width, totals, n_buckets, SEED + bucket)
-        yield bucket, rows, out
+        yield bucket, [(r["block"], len(n), len(c)) for r, n, c in zip(rows, parts[1], parts[2])], out
 
 
 def _totals(asked: DataFrame, width: int, customers: np.ndarray, n_buckets: int) -> list[dict]:
@@ -323,12 +333,11 @@ def _answers(asked: DataFrame, width: int, customers: np.ndarray, trace: list[di
         for bucket, rows, (pair, counts, mean, _) in _buckets(batches, width, (customers, trace), n_buckets):
             logs = np.log10(mean).astype(np.float32)[pair]
             at_w = at_p = 0
-            for r in rows:
-                n_w, n_p = len(r["words"]) // 8, len(r["context"]) // 2
+            for block, n_w, n_p in rows:
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([r["block"]]), pa.array([bucket], pa.int32()),
-                     pa.array([counts[at_w : at_w + n_w].astype(np.int64).tobytes()], pa.binary()),
-                     pa.array([logs[at_p : at_p + n_p].tobytes()], pa.binary())],
+                    [pa.array([block]), pa.array([bucket], pa.int32()),
+                     pa.array([_packed(counts[at_w : at_w + n_w].astype(np.int64))], pa.binary()),
+                     pa.array([_packed(logs[at_p : at_p + n_p])], pa.binary())],
                     ["block", "bucket", "counts", "logs"],
                 )
                 at_w, at_p = at_w + n_w, at_p + n_p
@@ -346,12 +355,12 @@ def _score(row: dict, answers: list[dict], contexts: np.ndarray, n_train: int, k
     # The bucket's answers are in the order of the requests: by bucket, then word, then context.
     counts, logs = np.empty(len(words), np.int64), np.empty(len(codes), np.float64)
     answers.sort(key=lambda a: a["bucket"])
-    counts[np.argsort(bucket, kind="stable")] = np.concatenate([np.frombuffer(a["counts"], np.int64) for a in answers])
-    logs[np.argsort(bucket[codes // (len(contexts) + 2)], kind="stable")] = np.concatenate([np.frombuffer(a["logs"], np.float32) for a in answers])
+    counts[np.argsort(bucket, kind="stable")] = np.concatenate([_unpacked(a["counts"], np.int64) for a in answers])
+    logs[np.argsort(bucket[codes // (len(contexts) + 2)], kind="stable")] = np.concatenate([_unpacked(a["logs"], np.float32) for a in answers])
     first = np.cumsum(n) - n
     base = np.log10((counts + 0.5) / (n_train + 0.5 * (known + 1)))
     total = lambda x: np.add.reduceat(x, first)  # noqa: E731  every text has its end token
-    held = np.frombuffer(row["held"], bool)
+    held = _unpacked(row["held"], bool)
     cols = [pa.array(row["doc_ids"], pa.int64()), pa.array(held), pa.array(n), pa.array(total((counts > 0).astype(np.int64)[ids])),
             pa.array(np.full(len(n), n_train)), pa.array(total(base[ids])), pa.array(total(logs[of]))]
     return pa.RecordBatch.from_arrays(cols, [f.split()[0] for f in _SCORES.split(", ")])
@@ -372,7 +381,7 @@ def score(docs: DataFrame) -> DataFrame:
         for batch in batches:
             total = np.zeros(width)
             for r in batch.to_pylist():
-                total += np.bincount(np.frombuffer(r["context"], np.uint16), weights=np.frombuffer(r["train"], np.int64), minlength=width)
+                total += np.bincount(_unpacked(r["context"], np.uint16), weights=_unpacked(r["train"], np.int64), minlength=width)
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(width), pa.int32()), pa.array(total)], ["i", "x"])
 
     sums = asked.select("context", "train").mapInArrow(after, "i int, x double").groupBy("i").agg(F.sum("x").alias("x")).collect()
