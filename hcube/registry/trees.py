@@ -111,7 +111,7 @@ def register(r: Registry) -> None:
 
     # The other cubes: all depths, labels and sums.
     for key, cube in (
-        ("events_user_type_time", cubes.C4), ("docs_lang_source", cubes.C5), ("pages_url_tree", cubes.C6), ("conversations_role_turn", cubes.C7),
+        ("events_user_type_time", cubes.C4), ("events_json_dim", cubes.C4_JSON), ("docs_lang_source", cubes.C5), ("pages_url_tree", cubes.C6), ("conversations_role_turn", cubes.C7),
         ("benchmark_length_tree", cubes.C9), ("orders_plan_tree", cubes.C2), ("flags_status_tree", cubes.C3),
         ("supplier_signed_balance", cubes.S_SUPPLIER), ("orders_signed_balance", cubes.S_CUSTOMER),
     ):
@@ -121,7 +121,8 @@ def register(r: Registry) -> None:
             t = tree_of(s, d, cube)
             return reduce(DataFrame.unionByName, [t.labelled(k).select(F.lit(k).alias("depth"), *names, *[F.col(m).cast("long").alias(m) for m in ms], "cnt") for k in range(1, cube.height + 1)])
 
-        r.add(key, every, " UNION ALL ".join(f"SELECT {k} AS depth, * FROM ({level_sql(cube, k)})" for k in range(1, cube.height + 1)))
+        sql = " UNION ALL ".join(f"SELECT {k} AS depth, * FROM ({level_sql(cube, k)})" for k in range(1, cube.height + 1))
+        r.add(key, every, sql.replace(cubes.JSON_IN_SPARK, cubes.JSON_IN_DUCKDB))
 
     def quality(s, d):
         t = tree_of(s, d, cubes.C5)

@@ -76,6 +76,18 @@ C4 = Cube(
     (("cents", _cents("value")),), ("events",),
 )
 
+#: The same properties read as JSON; DuckDB's name of the function is ``JSON_IN_DUCKDB``.
+JSON_IN_SPARK, JSON_IN_DUCKDB = "get_json_object", "json_extract_string"
+_J = f"CAST({JSON_IN_SPARK}(props, '$.k') AS BIGINT)"
+C4_JSON = Cube(
+    "c4_json", "{events} e",
+    (
+        Dimension("props", (("tens", _tens(_J, 10)), ("k", f"({_tens(_J, 10)} || '/' || {_text(_J)})"))),
+        Dimension("type", (("type", "event_type"),), ("type", "type")),
+    ),
+    (("cents", _cents("value")),), ("events",),
+)
+
 C5 = Cube(
     "c5", "{documents} d LEFT JOIN {labels} b ON d.doc_id = b.doc_id",
     (
@@ -124,4 +136,4 @@ def _balance(table: str, prefix: str) -> Cube:
 
 
 S_SUPPLIER, S_CUSTOMER = _balance("supplier", "s"), _balance("customer", "c")
-ALL = {c.name: c for c in (C1, C2, C3, C4, C5, C6, C7, C9, S_SUPPLIER, S_CUSTOMER)}
+ALL = {c.name: c for c in (C1, C2, C3, C4, C4_JSON, C5, C6, C7, C9, S_SUPPLIER, S_CUSTOMER)}

@@ -6,7 +6,7 @@ import __spark_entry__ as entry
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 SQL = {k: v for k, v in entry.oracle_sql().items() if not k.startswith("op") and k != "pipeline"}
 # The larger grids are compared by the driver; here a share of every group.
-PICKED = [k for k in SQL if k.startswith(("h_", "hast_", "q_", "rst_", "range", "hier", "window", "topk", "semi", "asof", "setops", "stream", "space", "significance"))]
+PICKED = [k for k in SQL if k.startswith(("h_", "hast_", "q_", "rst_", "range", "hier", "window", "topk", "semi", "asof", "setops", "stream", "space", "significance", "events_json"))]
 
 
 @pytest.fixture(scope="module")
