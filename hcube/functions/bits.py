@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import cached_property
+
 import numpy as np
 
 WORD = 64
@@ -27,6 +29,11 @@ class BitVec:
         out.before = np.r_[0, np.cumsum(np.bitwise_count(out.words))].astype(np.int64)
         return out
 
+    @cached_property
+    def zeros(self) -> np.ndarray:
+        """Zeros before each word, made once where a select asks for it."""
+        return np.arange(len(self.before)) * WORD - self.before
+
     def to_bytes(self) -> bytes:
         return self.words.tobytes()
 
@@ -59,9 +66,8 @@ class BitVec:
 
     def select0_many(self, j: np.ndarray) -> np.ndarray:
         """Positions of the j-th zeros, j from 1: the word by its directory, then halves of it by counts."""
-        zeros = np.arange(len(self.before)) * WORD - self.before
-        w = np.searchsorted(zeros, j, "left") - 1
-        word, left = ~self.words[w], (j - zeros[w]).astype(np.int64)
+        w = np.searchsorted(self.zeros, j, "left") - 1
+        word, left = ~self.words[w], (j - self.zeros[w]).astype(np.int64)
         at = w * WORD
         for half in (32, 16, 8, 4, 2, 1):
             below = np.bitwise_count(word & np.uint64((1 << half) - 1)).astype(np.int64)
@@ -83,11 +89,10 @@ class BitVec:
     def select0(self, j: int) -> int:
         if j == 0:
             return -1
-        zeros = np.arange(len(self.before)) * WORD - self.before
         if not 0 < j <= self.n - self.before[-1]:
             raise IndexError(j)
-        w = int(np.searchsorted(zeros, j, "left")) - 1
-        return w * WORD + _nth(~int(self.words[w]) & (2**WORD - 1), j - int(zeros[w]))
+        w = int(np.searchsorted(self.zeros, j, "left")) - 1
+        return w * WORD + _nth(~int(self.words[w]) & (2**WORD - 1), j - int(self.zeros[w]))
 
     def size_bits(self, directory: bool = False) -> int:
         return self.n + (64 * len(self.before) if directory else 0)
