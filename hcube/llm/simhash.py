@@ -215,14 +215,3 @@ def op1_simhash(docs: DataFrame) -> DataFrame:
     return near_duplicates(docs).select(
         "doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id"
     )
-
-
-def keep_one(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` whose doc_id is the smallest of its group of near copies.
-
-    Rows with a null doc_id stay; rows that repeat a kept doc_id stay with it.
-    """
-    kept = near_duplicates(docs).filter("doc_id = component_id").select(F.col("doc_id").alias("__kept")).distinct()
-    return docs.join(kept, F.col("doc_id") == F.col("__kept"), "left").filter(
-        "__kept IS NOT NULL OR doc_id IS NULL"
-    ).select(*[F.col(f"`{c}`") for c in docs.columns])
