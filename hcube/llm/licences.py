@@ -15,8 +15,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-# Cheap test that a text can hold a licence sentence at all.
-TRIGGER = r"(?i)licen[sc]|copyright|warrant|permission|redistribut|spdx"
+# Cheap test that a lower-cased text can hold a licence sentence at all; every
+# pattern of SENTENCES needs one of these (tested entry by entry).
+TRIGGER = (
+    r"licen[sc]|copyright|warrant|permission|redistribut|spdx|endorse|reserved|unencumbered|dedication|"
+    r"attribution|creative|cc0|cc[^\p{L}\p{N}.,()/]+by"
+)
 
 # Fixed values: (identifier, pattern over a normalised sentence), first match counts.
 SENTENCES = (
@@ -95,13 +99,14 @@ def sentence_ids(text: str) -> str:
     tidy = _lit(r"[^\p{L}\p{N}.,()/]+")
     case = " ".join(f"WHEN x RLIKE '{_lit(p)}' THEN '{k}'" for k, p in SENTENCES)
     return (
-        f"filter(transform(transform(filter(split({text}, '{cut}'), x -> x RLIKE '{_lit(_ANY)}'), "
-        f"x -> trim(regexp_replace(regexp_replace(lower(x), '{tidy}', ' '), ' +([.,])', '$1'))), x -> CASE {case} ELSE 'unknown' END), x -> x IS NOT NULL)"
+        f"filter(transform(transform(split({text}, '{cut}'), "
+        f"x -> trim(regexp_replace(regexp_replace(lower(x), '{tidy}', ' '), ' +([.,])', '$1'))), "
+        f"x -> CASE {case} WHEN x RLIKE '{_lit(UNKNOWN)}' THEN 'unknown' END), x -> x IS NOT NULL)"
     )
 
 
-# Test of one sentence before it is normalised.
-_ANY = TRIGGER + r"|(?i)spdx|as is|public domain|all rights reserved|may obtain a copy|endorse"
+# A normalised sentence of no pattern that is about a licence all the same.
+UNKNOWN = r"licen[sc]|copyright|warrant|permission|redistribut|spdx|as is|public domain|may obtain a copy|endorse"
 
 
 def scan(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -110,7 +115,7 @@ def scan(docs: DataFrame, text: str = "text") -> DataFrame:
     step = docs.select(
         *own,
         F.expr(
-            f"CASE WHEN `{text}` RLIKE '{_lit(TRIGGER)}' THEN {sentence_ids(f'`{text}`')} "
+            f"CASE WHEN lower(`{text}`) RLIKE '{_lit(TRIGGER)}' THEN {sentence_ids(f'`{text}`')} "
             f"ELSE cast(array() as array<string>) END"
         ).alias("sentence_ids"),
     )
