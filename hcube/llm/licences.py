@@ -91,17 +91,35 @@ def _lit(pattern: str) -> str:
     return pattern.replace("\\", "\\\\").replace("'", "\\'")
 
 
+# A sentence ends at a stop before white space (not at that of "v. 2.0"), at an empty
+# line, and at a line end before a line that begins a statement of its own.
+_MARKS = r"[ \t/#*;!>%-]*"
+_STATEMENT = (
+    r"Copyright\b|COPYRIGHT \(|\([cC]\) ?\d|\u00a9|SPDX|Licensed|Released|Distributed under|Permission is|Permission to|Redistribution|"
+    r"All rights|All Rights|ALL RIGHTS|This (program|software|file|library|work) is|Neither the name|CC[ -]BY|CC0|\d+[.)] |\([a-z0-9]\) "
+)
+_CUT = rf"(?<=[.!?])(?<!\b[vV]\.)\s+|\r?\n(?={_MARKS}\r?\n)|\r?\n(?={_MARKS}(?:{_STATEMENT}))"
+
+# Of the identifiers of one family a sentence has the first in the table only.
+_FAMILIES = (("agpl", "lgpl3", "lgpl21", "gpl3plus", "gpl2plus", "gpl3", "gpl2", "gplany"), ("cc-by-nc-nd", "cc-by-nc-sa", "cc-by-nc", "cc-by-nd", "cc-by-sa", "cc-by"))
+
+
 def sentence_ids(text: str) -> str:
-    """SQL for the identifiers of a text's sentences, in order."""
-    # A sentence ends at a stop before white space, at an empty line, or at a line
-    # end unless the next line goes on in lower case (a wrapped sentence).
-    cut = _lit(r"(?<=[.!?;:])\s+|\n(?=[\s/#*;!-]*[^\sa-z/#*;!-])|\n\s*\n")
+    """SQL for the identifiers of a text's sentences, in order of their places."""
     tidy = _lit(r"[^\p{L}\p{N}.,()/]+")
-    case = " ".join(f"WHEN x RLIKE '{_lit(p)}' THEN '{k}'" for k, p in SENTENCES)
+    wrap = _lit(r"\r?\n" + _MARKS)
+    of = dict(SENTENCES)
+    groups = [*_FAMILIES, *[(k,) for k in of if not any(k in f for f in _FAMILIES)]]
+    found = ", ".join(
+        "CASE " + " ".join(f"WHEN x RLIKE '{_lit(of[k])}' THEN struct(regexp_instr(x, '{_lit(of[k])}') AS at, '{k}' AS id)" for k in g) + " END" for g in groups
+    )
+    # Lines that have no end of their own may leave several statements in one sentence, so all are looked for.
     return (
-        f"filter(transform(transform(split({text}, '{cut}'), "
-        f"x -> trim(regexp_replace(regexp_replace(lower(x), '{tidy}', ' '), ' +([.,])', '$1'))), "
-        f"x -> CASE {case} WHEN x RLIKE '{_lit(UNKNOWN)}' THEN 'unknown' END), x -> x IS NOT NULL)"
+        f"flatten(transform(transform(split({text}, '{_lit(_CUT)}'), "
+        f"x -> trim(regexp_replace(regexp_replace(translate(lower(regexp_replace(x, '{wrap}', ' ')), ';', ','), '{tidy}', ' '), ' +([.,])', '$1'))), "
+        f"x -> CASE WHEN NOT x RLIKE '{_lit(TRIGGER)}' AND NOT x RLIKE '{_lit(UNKNOWN)}' THEN cast(array() AS array<string>) "
+        f"ELSE transform(array_sort(filter(array({found}), y -> y IS NOT NULL)), y -> y.id) END "
+        f"|| CASE WHEN x RLIKE '{_lit(UNKNOWN)}' AND NOT ({' OR '.join(f"x RLIKE '{_lit(p)}'" for p in of.values())}) THEN array('unknown') ELSE cast(array() AS array<string>) END))"
     )
 
 
@@ -123,7 +141,9 @@ def scan(docs: DataFrame, text: str = "text") -> DataFrame:
     # leaves its licence in their place, so no later rule can use them again.
     chain = F.concat(F.lit(";"), F.array_join(F.col("sentence_ids"), ";;"), F.lit(";"))
     for name, ids in RULES:
-        chain = F.replace(chain, F.lit("".join(f";{k};" for k in ids)), F.lit(f";={name};"))
+        # Unknown sentences between them don't part the identifiers of a rule, and stay left over.
+        between = "((?:;unknown;)*)".join(f";{k};" for k in ids)
+        chain = F.regexp_replace(chain, F.lit(between), F.lit(f";={name};" + "".join(f"${i}" for i in range(1, len(ids)))))
     step = step.withColumn("__chain", F.when(F.size("sentence_ids") > 0, chain).otherwise(F.lit("")))
     parts = F.filter(F.split(F.col("__chain"), ";"), lambda x: x != "")
     return step.select(
