@@ -1,5 +1,6 @@
 """Operators against brute force, over nulls, empty and repeated rows, and empty tables."""
 
+import bisect
 import collections
 import hashlib
 import random
@@ -156,8 +157,35 @@ def test_bins_are_as_few_as_can_be():
         room = random.choice([10, 17, 30])
         items = sorted((random.randint(1, room) for _ in range(random.randint(0, 8))), reverse=True)
         found = packing.complete_bins(dict(collections.Counter(items)), room)
-        assert collections.Counter(x for b, n in found for x in b for _ in range(n)) == collections.Counter(items)
-        assert sum(n for _, n in found) == fewest(items, room)
+        assert collections.Counter(x for b, n in found.patterns for x in b for _ in range(n)) == collections.Counter(items)
+        assert sum(n for _, n in found.patterns) == found.bins == fewest(items, room) >= found.bound
+
+
+@pytest.mark.parametrize("low, high, n", [(300, 1499, 1500), (500, 900, 3000), (1, 2048, 20000), (2048, 2048, 5)])
+def test_bins_are_no_more_than_best_fit_decreasing(low, high, n):
+    rng = random.Random(n)
+    counts = collections.Counter(rng.randint(low, high) for _ in range(n))
+    rooms, plain = [], 0
+    for size in sorted(counts.elements(), reverse=True):
+        at = bisect.bisect_left(rooms, size)
+        room = rooms.pop(at) if at < len(rooms) else 2048
+        plain += room == 2048
+        bisect.insort(rooms, room - size)
+    found = packing.complete_bins(dict(counts))
+    assert found.bound <= found.bins <= plain
+    got = collections.Counter()
+    for bin_, times in found.patterns:
+        assert sum(bin_) <= 2048
+        for size in bin_:
+            got[size] += times
+    assert got == counts
+
+
+def test_packing_of_very_long_and_wide_texts(spark):
+    long = "word " * 300_000 + "日本語"
+    r = packing.op3_best_fit_packing(spark.createDataFrame([(1, long), (2, "x")], SCHEMA))
+    report = packing.packing_report(r).first()
+    assert report.n_tokens == len(packing.token_ids(long)) + len(packing.token_ids("x")) and report.n_sequences == report.bound
 
 
 def test_topk(spark):
