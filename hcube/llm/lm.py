@@ -1,66 +1,91 @@
-"""Hierarchical Pitman-Yor language model, gathered and sampled in Spark.
-
-The model has a restaurant for each context and one parent that all of them share:
-a context is the word before, where that word makes up at least a thousandth of the
-training tokens (so there are at most a thousand), else the context of rarer words,
-or that of a text's beginning.  Customers of a context are the training tokens after
-it; each table of a context sends one customer to the parent, whose own base is
-uniform over the known words and one unknown.
-
-How it runs.  Texts become blocks of about a million tokens, each with its own list
-of word hashes and token numbers (a written table; texts are read once).  A block asks
-the bucket of each of its distinct (context, word) pairs; a bucket holds all pairs of
-its words, so a word's tables in all contexts and in the parent meet in one place.
-Buckets sample the seating by Gibbs: a random customer of each dish leaves and sits
-down again, at a table by its size less the discount or at a new one by the parent's
-probability.  They run the chain twice: at first with totals of the restaurants
-extrapolated from the bucket itself, then with the totals that the first runs add up
-to.  The predictive probabilities are averaged over the sweeps after the burn-in and
-go back to the blocks that asked.
-
-Defined results: null and empty texts have only the end token; a null doc_id keeps
-its row and trains (its checksum is null, so it is not held out); repeated rows count
-and score each; an empty table gives no rows; words are compared by 64-bit hashes.
+"""Hierarchical Pitman-Yor language model of word triples, gathered and sampled in Spark.
+
+Every pair of words before a token is a context with a restaurant of its own; its parent
+drops the farther word, the parent's parent is the root that all share, and the root's
+base is uniform over the known words and one unknown.  Customers of a pair are the
+training tokens behind it; every table sends a customer to the parent.  No context is
+left out, so the restaurants grow with the corpus.
+
+How it runs.  Texts become blocks of about two million tokens (a written table; texts are
+read once).  A block adds up its triples and sends each to the bucket of its middle
+word, where the pair's restaurant, its parent and their tables meet.  Middle words with
+more than ``HOT`` training tokens are dealt by the farther word too; their parents
+are then kept with the root.  The chain, one for the whole corpus:
+
+1. buckets sample the tables of pairs and parents for a few sweeps (``Chain.early``), under
+   a root taken from the counts of the commonest words;
+2. the tables of all buckets are added up by word, and the root and the parents of hot
+   words are sampled (``Chain.root``);
+3. buckets go on from where they were under that root, for ``Chain.burn_in`` sweeps and
+   then ``Chain.samples`` more over which the predictive probabilities are averaged.
+
+A sweep is a Gibbs step that reseats all customers of every dish at once: the number of
+tables is drawn from its conditional given the other dishes of the sweep before, that is
+generalised Stirling numbers times the weights of new tables (``draw_tables``).  Draws
+are hashes of the dish and the sweep, so scores don't depend on blocks, buckets or
+partitions.  Step 3 repeats step 1 instead of reading it: draws are the same.
+
+Defined results: null and empty texts have only the end token; very long texts are
+hashed in runs and may fill a block alone; a null doc_id keeps its row and trains (its
+checksum is null, so it is not held out); repeated rows count and score each; an empty
+table gives no rows; without training rows all words are unknown; columns other than
+doc_id, held and text are not read.  Words are compared by 64-bit hashes.
 """
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Iterator
+from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
 import zstandard
+from pyspark import Broadcast, TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .session import shuffle_width, written
-from .words import U, mix, word_hashes
+from .words import U, distinct, mix, word_hashes
 
-END = U(0x0E0D5EED0E0D5EED)
-BLOCK_TOKENS = 1 << 20
-BUCKET_TOKENS = 1 << 23
-CONTEXT_SHARE = 1000
-DISCOUNT, STRENGTH = 0.7, 1.0
-ROOT_DISCOUNT, ROOT_STRENGTH = 0.8, 1.0
-BURN_IN, SAMPLES, ROUNDS = 2, 3, 2
-SEED = 20
+END, START = U(0x0E0D5EED0E0D5EED), U(0x57A7757A7757A775)
+BLOCK_TOKENS = 1 << 21
+BUCKET_TOKENS = 1 << 21
+CODED = 65_000  # words that travel as 16-bit numbers; the others as hashes
+HOT, HOT_SHARE = 1 << 20, 1 << 20
+#: Discounts and strengths of pairs, single words and the root.
+DISCOUNTS, STRENGTHS = (0.85, 0.75, 0.65), (1.0, 1.0, 1.0)
+EXACT = 256
+SEED = U(20)
 
-_BLOCK = "block long, doc_ids array<long>, held binary, n_tokens binary, words binary, train binary, ids binary, n_all long, n_train long"
+
+class Chain(NamedTuple):
+    """Sweeps of each step of the chain."""
+
+    early: int = 2
+    root: int = 3
+    burn_in: int = 2
+    samples: int = 4
+
+
+_BLOCK = "block long, doc_ids array<long>, held binary, n_tokens binary, words binary, ids binary, n_train long"
 
 
 def _packed(x: np.ndarray) -> bytes:
-    """Bytes of an array, compressed: counts and token numbers are small, and rows are shuffled and kept."""
-    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(x).tobytes())
+    """Bytes of an array plane by plane, compressed: counts, numbers and rounded logs are small."""
+    planes = np.ascontiguousarray(x).view(np.uint8).reshape(len(x), x.dtype.itemsize).T
+    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(planes).tobytes())
 
 
 def _unpacked(b: bytes, kind: type) -> np.ndarray:
-    return np.frombuffer(zstandard.decompress(b), kind)
+    planes = np.frombuffer(zstandard.decompress(b), np.uint8).reshape(np.dtype(kind).itemsize, -1)
+    return np.ascontiguousarray(planes.T).reshape(-1).view(kind)
 
 
-def text_blocks(docs: DataFrame) -> DataFrame:
-    """Blocks of about ``BLOCK_TOKENS`` tokens from ``(doc_id, held, text binary)``."""
+def text_blocks(docs: DataFrame, block_tokens: int = BLOCK_TOKENS) -> DataFrame:
+    """Blocks of about ``block_tokens`` tokens from ``(doc_id, held, text binary)``."""
 
-    def block(rows) -> pa.RecordBatch:
+    def block(name: int, rows) -> pa.RecordBatch:
         doc_ids = [d for part in rows for d in part[0]]
         held = np.concatenate([p[1] for p in rows])
         hashes, counts = np.concatenate([p[2] for p in rows]), np.concatenate([p[3] for p in rows])
@@ -70,18 +95,16 @@ def text_blocks(docs: DataFrame) -> DataFrame:
         inner = np.ones(len(tokens), bool)
         inner[np.cumsum(n) - 1] = False
         tokens[inner] = hashes
-        words, ids = np.unique(tokens, return_inverse=True)
-        train = np.bincount(ids[np.repeat(~held, n)], minlength=len(words))
-        name = int(mix(np.array([len(tokens)], U) + (mix(words).sum(dtype=U) ^ mix(n.astype(U) * U(3) + U(1)).sum(dtype=U)) + U(hash(tuple(doc_ids)) & (2**64 - 1)))[0])
+        words, _, ids = distinct(tokens)
         cols = [
-            pa.array([name - 2**63]), pa.array([doc_ids], pa.list_(pa.int64())),
-            *(pa.array([_packed(x)], pa.binary()) for x in (
-                held, n.astype(np.int64), words, train.astype(np.int64), ids.astype(np.uint32))),
-            pa.array([len(tokens)]), pa.array([int(train.sum())]),
+            pa.array([name]), pa.array([doc_ids], pa.list_(pa.int64())),
+            *(pa.array([_packed(x)], pa.binary()) for x in (held, n.astype(np.int64), words, ids.astype(np.uint32))),
+            pa.array([int(n[~held].sum())]),
         ]
         return pa.RecordBatch.from_arrays(cols, [f.split()[0] for f in _BLOCK.split(", ")])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        name = TaskContext.get().partitionId() << 32
         rows, size = [], 0
         for batch in batches:
             ids, held, texts = batch.column(0).to_pylist(), batch.column(1).to_numpy(zero_copy_only=False), batch.column(2)
@@ -95,327 +118,625 @@ def text_blocks(docs: DataFrame) -> DataFrame:
                 rows.append((ids[k:upto], held[k:upto], hashes, counts))
                 size += len(hashes) + upto - k
                 k = upto
-                if size >= BLOCK_TOKENS:
-                    yield block(rows)
-                    rows, size = [], 0
+                if size >= block_tokens:
+                    yield block(name, rows)
+                    name, rows, size = name + 1, [], 0
         if rows:
-            yield block(rows)
+            yield block(name, rows)
 
     return docs.mapInArrow(run, _BLOCK)
 
 
-def _arrays(row: dict, **kinds) -> list[np.ndarray]:
-    return [_unpacked(row[k], t) for k, t in kinds.items()]
+class Words(NamedTuple):
+    """What is known of the training words before triples are gathered.
 
+    ``hot``: hashes of middle words that are dealt to several buckets, start and end
+    among them, with ``hot_counts``; ``coded``: hashes of at most ``CODED`` commonest
+    words, ``shares``: their share of the tokens; both sorted by hash.
+    """
 
-def frequent_words(blocks: DataFrame, n_train: int, share: int = CONTEXT_SHARE) -> np.ndarray:
-    """Hashes of the words with at least ``1/share`` of the training tokens; at most ``share`` of them.
+    hot: np.ndarray
+    hot_counts: np.ndarray
+    coded: np.ndarray
+    shares: np.ndarray
+    n_train: int
+    known: int
+    chain: Chain = Chain()
 
-    A block names a word only where it has a tenth of that share in the block, so each
-    block names at most ``10 * share``; what it doesn't name can't lift a word by more
-    than that tenth.
-    """
+    def first_root(self, words: np.ndarray) -> np.ndarray:
+        """The root's probabilities before its first sample: counted shares, the rest uniform."""
+        at = np.minimum(np.searchsorted(self.coded, words), max(len(self.coded) - 1, 0))
+        rest = max(1.0 - self.shares.sum(), 0.0) + 1.0 / (self.n_train + 1)
+        flat = rest / (self.known - len(self.coded) + 1)
+        if not len(self.coded):
+            return np.full(len(words), flat)
+        return np.where(self.coded[at] == words, self.shares[at], flat)
+
+
+def training_words(blocks: DataFrame, coded: int = CODED, hot: int | None = None) -> Words:
+    """Counts all training words; brings the commonest and those that are hot to the driver (both bounded)."""
 
     def run(batches):
         for batch in batches:
             for row in batch.to_pylist():
-                words, train = _arrays(row, words=U, train=np.int64)
-                big = (train * 10 * share >= max(row["n_train"], 1)) & (train > 0)
-                yield pa.RecordBatch.from_arrays([pa.array(words[big].view(np.int64)), pa.array(train[big])], ["w", "n"])
+                words, ids, n = _unpacked(row["words"], U), _unpacked(row["ids"], np.uint32), _unpacked(row["n_tokens"], np.int64)
+                train = np.bincount(ids[np.repeat(~_unpacked(row["held"], bool), n)], minlength=len(words))
+                yield pa.RecordBatch.from_arrays([pa.array(words[train > 0].view(np.int64)), pa.array(train[train > 0])], ["w", "n"])
 
-    named = blocks.select("words", "train", "n_train").mapInArrow(run, "w long, n long").groupBy("w").agg(F.sum("n").alias("n"))
-    rows = named.filter(F.col("n") * share >= n_train).select("w").collect()
-    return np.sort(np.array([r.w for r in rows], np.int64).view(U))
+    counts = written(
+        blocks.select("words", "ids", "n_tokens", "held").mapInArrow(run, "w long, n long").groupBy("w").agg(F.sum("n").alias("n")), "lm-words"
+    )
+    size = counts.agg(F.sum("n").alias("n"), F.count("*").alias("v")).first()
+    n_train, known = int(size.n or 0), int(size.v)
+    top = counts.orderBy(F.desc("n"), "w").limit(coded).collect()
+    many = max(HOT, n_train // HOT_SHARE) if hot is None else hot
+    marks = [int(x.view(np.int64)) for x in (START, END)]
+    over = counts.filter((F.col("n") > many) | F.col("w").isin(marks)).collect()
+    found = {x: 0 for x in marks} | {r.w: r.n for r in over}
+    hot = sorted(found, key=lambda x: x & (2**64 - 1))
+    top.sort(key=lambda r: r.w & (2**64 - 1))
+    w, n = np.array([r.w for r in top], np.int64).view(U), np.array([r.n for r in top], np.int64)
+    return Words(np.array(hot, np.int64).view(U), np.array([found[x] for x in hot], np.int64), w, n / max(n_train, 1), n_train, known)
+
+
+def block_triples(row: dict, words: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Distinct triples of a block as numbers (middle, farther, word), training counts, each token's triple.
+
+    Numbers are places in ``words``; the start of a text has the number behind them.
+    """
+    n, ids = _unpacked(row["n_tokens"], np.int64), _unpacked(row["ids"], np.uint32).astype(np.int64)
+    held = _unpacked(row["held"], bool)
+    width = len(words) + 1
+    begin = np.cumsum(n) - n
+    middle, far = np.empty_like(ids), np.empty_like(ids)
+    middle[1:], far[2:] = ids[:-1], ids[:-2]
+    middle[begin] = far[begin] = width - 1
+    far[begin[n > 1] + 1] = width - 1
+    # A product with an odd number keeps different triples apart (width is at most 2^21).
+    _, first, of = distinct(((middle * width + far) * width + ids).view(U) * U(0x9E3779B97F4A7C15))
+    train = np.bincount(of[np.repeat(~held, n)], minlength=len(first))
+    return middle[first], far[first], ids[first], train, of
 
 
-def block_pairs(row: dict, contexts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct ``word * width + context`` codes of a block, their training counts, each token's code number."""
-    n, words, ids = _arrays(row, n_tokens=np.int64, words=U, ids=np.uint32)
-    held = _unpacked(row["held"], bool)
-    width = len(contexts) + 2  # 0: after a rarer word; the last: at the beginning
-    place = np.searchsorted(contexts, words)
-    known = np.zeros(len(words), bool)
-    if len(contexts):
-        known = contexts[np.minimum(place, len(contexts) - 1)] == words
-    as_context = np.where(known, place + 1, 0)
-    context = np.empty(len(ids), np.int64)
-    context[1:] = as_context[ids[:-1]]
-    context[np.cumsum(n) - n] = width - 1
-    codes, of = np.unique(ids.astype(np.int64) * width + context, return_inverse=True)
-    train = np.bincount(of[np.repeat(~held, n)], minlength=len(codes))
-    return codes, train, of
+def _bucket_of(middle: np.ndarray, far: np.ndarray, hot: np.ndarray, n_buckets: int) -> np.ndarray:
+    at = np.minimum(np.searchsorted(hot, middle), len(hot) - 1)
+    key = np.where(hot[at] == middle, mix(middle ^ mix(far)), middle)
+    return ((key >> U(16)) % U(n_buckets)).astype(np.int64)
+
+
+def _codes(words: np.ndarray, coded: np.ndarray) -> np.ndarray:
+    """16-bit numbers of words, 65535 for those that have none."""
+    if not len(coded):
+        return np.full(len(words), 65535, np.uint16)
+    at = np.minimum(np.searchsorted(coded, words), len(coded) - 1)
+    return np.where(coded[at] == words, at, 65535).astype(np.uint16)
+
 
+def _decoded(codes: np.ndarray, rest: np.ndarray, coded: np.ndarray) -> np.ndarray:
+    out = np.empty(len(codes), U)
+    found = codes != 65535
+    out[found], out[~found] = coded[codes[found]], rest
+    return out
 
-def _by_bucket(words: np.ndarray, n_buckets: int) -> np.ndarray:
-    return ((words >> U(16)) % U(n_buckets)).astype(np.int64)
 
+def _order(row: dict, words: np.ndarray, known: Words, n_buckets: int):
+    """A block's triples in the order of its requests: by bucket, then by middle word."""
+    middle, far, word, train, of = block_triples(row, words)
+    names = np.r_[words, START]
+    bucket = _bucket_of(names[middle], names[far], known.hot, n_buckets)
+    order = np.argsort(bucket * len(names) + middle, kind="stable")
+    return middle, far, word, train, of, names, bucket, order
 
-def requests(blocks: DataFrame, contexts: np.ndarray, n_buckets: int) -> DataFrame:
-    """What each block asks of each bucket: its words there, and their pairs with training counts."""
+
+_ASKED = "block long, bucket int, middle binary, n_triples binary, codes binary, rest binary, train binary, answer binary"
+
+
+def requests(blocks: DataFrame, shared: Broadcast, n_buckets: int) -> DataFrame:
+    """What each block asks of each bucket: middle words, their triples and training counts."""
 
     def run(batches):
+        known = shared.value
         for batch in batches:
             for row in batch.to_pylist():
-                words = _unpacked(row["words"], U)
-                codes, train, _ = block_pairs(row, contexts)
-                width = len(contexts) + 2
-                word = codes // width
-                bucket = _by_bucket(words, n_buckets)
-                order = np.argsort(bucket[word], kind="stable")
-                b_sorted = bucket[word][order]
+                middle, far, word, train, _, names, bucket, order = _order(row, _unpacked(row["words"], U), known, n_buckets)
+                b_sorted, m_sorted, codes = bucket[order], middle[order], _codes(names, known.coded)
                 cuts = np.flatnonzero(np.r_[True, b_sorted[1:] != b_sorted[:-1]])
                 out = []
                 for a, z in zip(cuts, [*cuts[1:], len(order)]):
-                    part = order[a:z]
-                    mine, n_pairs = np.unique(word[part], return_counts=True)
-                    out.append((row["block"], int(b_sorted[a]), _packed(words[mine]), _packed(n_pairs.astype(np.uint32)),
-                                _packed((codes[part] % width).astype(np.uint16)), _packed(train[part].astype(np.int64))))
+                    first = a + np.flatnonzero(np.r_[True, np.diff(m_sorted[a:z]) != 0])
+                    both = np.r_[far[order[a:z]], word[order[a:z]]]
+                    sent = codes[both]
+                    out.append((row["block"], int(b_sorted[a]), _packed(names[m_sorted[first]]), _packed(np.diff(np.r_[first, z]).astype(np.uint32)),
+                                _packed(sent), _packed(names[both[sent == 65535]]), _packed(train[order[a:z]].astype(np.uint32))))
                 cols = list(zip(*out))
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[2:])],
-                    ["block", "bucket", "words", "n_pairs", "context", "train"],
+                    [pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[2:]),
+                     pa.nulls(len(out), pa.binary())],
+                    [f.split()[0] for f in _ASKED.split(", ")],
                 )
 
-    need = blocks.select("block", "held", "n_tokens", "words", "ids")
-    return need.mapInArrow(run, "block long, bucket int, words binary, n_pairs binary, context binary, train binary")
-
-
-class Seating:
-    """Tables of many dishes: sizes in one array, sorted by dish."""
-
-    def __init__(self, counts: np.ndarray, tables: np.ndarray, rng: np.random.Generator):
-        self.counts = counts.astype(np.int64)
-        tables = np.where(counts > 0, np.clip(tables, 1, np.maximum(counts, 1)), 0).astype(np.int64)
-        self.tables = tables
-        self.owner = np.repeat(np.arange(len(counts)), tables)
-        self.size = np.ones(len(self.owner), np.int64)
-        first = (np.cumsum(tables) - tables)[tables > 0]
-        self.size[first] += (counts - tables)[tables > 0]
-        self.rng = rng
-
-    def leave(self, dishes: np.ndarray) -> np.ndarray:
-        """One customer of each (distinct) dish leaves, each as likely; true where a table went with it."""
-        upto = np.cumsum(self.size)
-        ahead = np.cumsum(self.counts) - self.counts
-        pick = ahead[dishes] + (self.rng.random(len(dishes)) * self.counts[dishes]).astype(np.int64)
-        at = np.searchsorted(upto, pick, "right")
-        self.size[at] -= 1
-        gone = self.size[at] == 0
-        self.counts[dishes] -= 1
-        if gone.any():
-            self.tables[dishes[gone]] -= 1
-            keep = self.size > 0
-            self.owner, self.size = self.owner[keep], self.size[keep]
-        return gone
-
-    def sit(self, dishes: np.ndarray, new: np.ndarray, discount: float) -> np.ndarray:
-        """One more customer for each (distinct) dish; ``new``: weight of a new table; true where one is opened."""
-        old = self.counts[dishes] - discount * self.tables[dishes]
-        opens = self.rng.random(len(dishes)) * (old + new) < new
-        opens |= self.counts[dishes] == 0
-        stay = dishes[~opens]
-        if len(stay):
-            upto = np.cumsum(self.size - discount)
-            last = np.searchsorted(self.owner, stay, "right") - 1
-            first = np.searchsorted(self.owner, stay, "left")
-            base = np.where(first > 0, upto[first - 1], 0.0)
-            pick = base + self.rng.random(len(stay)) * (upto[last] - base)
-            self.size[np.clip(np.searchsorted(upto, pick, "right"), first, last)] += 1
-        fresh = np.sort(dishes[opens])
-        if len(fresh):
-            at = np.searchsorted(self.owner, fresh, "right")
-            self.owner, self.size = np.insert(self.owner, at, fresh), np.insert(self.size, at, 1)
-            self.tables[dishes[opens]] += 1
-        self.counts[dishes] += 1
-        return opens
-
-
-def sample_bucket(words, n_pairs, context, train, width, totals, n_buckets, seed):
-    """Runs the chain over one bucket.
-
-    totals: customers by context, and (second run) by sweep the tables of each context,
-    the parent's customers and tables, and the number of known words.  Returns the pair
-    number of every request, word counts, averaged probabilities by distinct pair, and
-    this bucket's part of the totals by sweep.
+    return blocks.select("block", "held", "n_tokens", "words", "ids").mapInArrow(run, _ASKED)
+
+
+# ---- the sampler ----
+
+
+@functools.lru_cache(maxsize=8)
+def stirling_logs(discount: float, most: int = EXACT) -> np.ndarray:
+    """Logs of generalised Stirling numbers, row c and column t: seatings of c customers at t tables, weighted."""
+    out = np.full((most + 1, most + 1), -np.inf)
+    out[1, 1] = 0.0
+    t = np.arange(most + 1)
+    with np.errstate(divide="ignore", invalid="ignore"):
+        for c in range(1, most):
+            stay = np.where(t <= c, out[c] + np.log(np.maximum(c - discount * t, 1e-300)), -np.inf)
+            out[c + 1] = np.logaddexp(stay, np.r_[-np.inf, out[c, :-1]])
+    return out
+
+
+def uniform(keys: np.ndarray, turn: int) -> np.ndarray:
+    """A number in (0, 1) for each dish and turn."""
+    x = mix(keys + mix(np.array([turn], U) * U(0x9E3779B97F4A7C15) + SEED)[0])
+    return ((x >> U(11)).astype(np.float64) + 0.5) * 2.0**-53
+
+
+class Weights(NamedTuple):
+    """How likely a further table is for dishes that have k: (strength + discount * (tables + k)) * p(k).
+
+    ``tables``: of the restaurant without this dish's own.  p(k), the parent's probability
+    with k customers from here, is ``p`` if ``rest`` is None, else
+    ``(max(rest + k - held * (1 + slope * (rest + k - 1)), 0) + p) / (room + k)``:
+    ``rest`` and ``room`` are the parent's customers without this dish's, of the dish and
+    in all, and its tables are taken in proportion to its customers.
     """
-    rng = np.random.default_rng(seed)
-    uniq, of_word = np.unique(words, return_inverse=True)
-    word = np.repeat(of_word, n_pairs)
-    codes, pair = np.unique(word * width + context, return_inverse=True)
-    c = np.bincount(pair, weights=train, minlength=len(codes)).astype(np.int64)
-    w, u = codes // width, codes % width
-    c_word = np.bincount(w, weights=c, minlength=len(uniq)).astype(np.int64)
-    customers, trace = totals
-    types_here = max(int((c > 0).sum()), 1)
-    kinds = np.bincount(w, weights=c > 0, minlength=len(uniq))
-    scale = 1 if trace is not None else n_buckets
-    base = 1.0 / (trace[0]["known"] + 1 if trace is not None else scale * max((c_word > 0).sum(), 1) + 1)
-    t_u = trace[0]["tables"] if trace is not None else scale * np.bincount(u, weights=c > 0, minlength=width)
-    all_types = max(t_u.sum(), types_here)
-    p_root = np.maximum(kinds / all_types, base * 0.1)
-    a = (STRENGTH + DISCOUNT * t_u)[u] * p_root[w]
-    busy = np.flatnonzero(c > 1)  # a single customer has one table whatever is drawn
-    leaf = Seating(c[busy], np.rint(a[busy] * np.log1p(c[busy] / np.maximum(a[busy], 1e-9))), rng)
-    t = (c > 0).astype(np.int64)
-    t[busy] = leaf.tables
-    n_root = np.bincount(w, weights=t, minlength=len(uniq)).astype(np.int64)
-    root = Seating(n_root, np.rint(n_root**0.6), rng)
-    steps, mean = [], np.zeros(len(codes))
-    for sweep in range(BURN_IN + SAMPLES):
-        if trace is not None:
-            now = trace[sweep]
-            t_u, root_n, root_t = now["tables"], now["root_n"], now["root_t"]
-        else:
-            t_u = scale * np.bincount(u, weights=t, minlength=width)
-            root_n, root_t = scale * root.counts.sum(), scale * root.tables.sum()
-        room = (ROOT_STRENGTH + ROOT_DISCOUNT * root_t) * base
-        p_root = (root.counts - ROOT_DISCOUNT * root.tables + room) / (ROOT_STRENGTH + root_n)
-        if sweep >= BURN_IN:
-            mean += (c - DISCOUNT * t + (STRENGTH + DISCOUNT * t_u)[u] * p_root[w]) / (STRENGTH + customers[u])
-        steps.append({"tables": np.bincount(u, weights=t, minlength=width), "root_n": float(root.counts.sum()),
-                      "root_t": float(root.tables.sum()), "known": float((c_word > 0).sum())})
-        if sweep == BURN_IN + SAMPLES - 1:
-            break
-        dishes = np.arange(len(busy))
-        for _ in range(ROUNDS):
-            new = (STRENGTH + DISCOUNT * t_u)[u[busy]] * p_root[w[busy]]
-            leaf.leave(dishes)
-            leaf.sit(dishes, new, DISCOUNT)
-        t[busy] = leaf.tables
-        want = np.bincount(w, weights=t, minlength=len(uniq)).astype(np.int64)
-        flat = np.full(len(uniq), room)
-        while len(more := np.flatnonzero(root.counts > want)):
-            root.leave(more)
-        while len(less := np.flatnonzero(root.counts < want)):
-            root.sit(less, flat[less], ROOT_DISCOUNT)
-        several = np.flatnonzero(root.counts > 1)
-        for _ in range(ROUNDS):
-            if len(several):
-                root.leave(several)
-                root.sit(several, flat[several], ROOT_DISCOUNT)
-    return pair, c_word[of_word], mean / SAMPLES, steps
-
-
-def _buckets(batches, width, totals, n_buckets):
-    """Rows of a partition, gathered by bucket, each sampled."""
-    held: dict[int, list[dict]] = {}
+
+    strength: float
+    discount: float
+    tables: np.ndarray
+    p: np.ndarray
+    rest: np.ndarray | None = None
+    held: float = 0.0
+    slope: np.ndarray | None = None
+    room: np.ndarray | None = None
+
+    def at(self, i: np.ndarray, k: np.ndarray) -> np.ndarray:
+        """Weights of dishes ``i`` (column) with ``k`` tables (row or as i)."""
+        of = (lambda x: x[i][:, None]) if k.ndim == 2 else (lambda x: x[i])
+        new = self.strength + self.discount * (of(self.tables) + k)
+        if self.rest is None:
+            return new * of(self.p)
+        n = of(self.rest) + k
+        return new * (np.maximum(n - self.held * (1 + of(self.slope) * (n - 1)), 0) + of(self.p)) / (of(self.room) + k)
+
+
+def draw_tables(counts: np.ndarray, now: np.ndarray, weights: Weights, u: np.ndarray, v: np.ndarray) -> np.ndarray:
+    """Numbers of tables of dishes with ``counts`` customers, each from its conditional.
+
+    Up to ``EXACT`` customers by their weights: Stirling numbers times the product of the
+    weights of the tables opened.  Above, tables are clusters of a Poisson number tilted to
+    the count of customers, with the weight held at the present number of tables: its mean
+    and variance given the count are known, one table is always there.
+    """
+    logs = stirling_logs(weights.discount)
+    out = np.minimum(counts, 1).astype(np.int64)
+    width = 2
+    while width <= EXACT:
+        group = np.flatnonzero((counts > width // 2) & (counts <= width) & (counts > 1))
+        k = np.arange(1, width)[None, :]
+        step = max(1, (1 << 18) // width)
+        for a in range(0, len(group), step):
+            i = group[a : a + step]
+            table = logs[counts[i], 1 : width + 1]
+            table[:, 1:] += np.cumsum(np.log(weights.at(i, k)), axis=1)
+            table = np.exp(table - table.max(axis=1, keepdims=True))
+            table = np.cumsum(table, axis=1)
+            out[i] = np.minimum(1 + (table < (u[i] * table[:, -1])[:, None]).sum(axis=1), counts[i])
+        width *= 2
+    big = np.flatnonzero(counts > EXACT)
+    if len(big):
+        d, c = weights.discount, counts[big].astype(np.float64)
+        a = weights.at(big, now[big])
+        # y in (0, 1] solves a (1 - y) y^(d - 1) = c, so that clusters have c customers in the mean.
+        low, high = np.full(len(big), -700.0), np.zeros(len(big))
+        for _ in range(60):
+            mid = (low + high) / 2
+            up = np.log(a) + np.log1p(-np.exp(mid)) + (d - 1) * mid > np.log(c)
+            low, high = np.where(up, mid, low), np.where(up, high, mid)
+        y = np.exp((low + high) / 2)
+        mean = a / d * (1 - y**d)
+        spread = np.maximum(mean - c * y / (1 - d * (1 - y)), 0.01)
+        normal = np.sqrt(-2 * np.log(u[big])) * np.cos(2 * np.pi * v[big])
+        drawn = np.rint(mean + np.sqrt(spread) * normal)
+        few = np.flatnonzero(mean < 20)
+        if len(few):
+            part = np.exp(-mean[few])
+            upto, n = part.copy(), np.zeros(len(few))
+            for k in range(1, 100):
+                n += u[big][few] > upto
+                part = part * mean[few] / k
+                upto += part
+            drawn[few] = n
+        out[big] = 1 + np.clip(drawn, 0, c - 1).astype(np.int64)
+    return out
+
+
+class Bucket:
+    """The restaurants of one bucket: triples ``(middle, far, word)`` with training counts, added up.
+
+    Pairs and parents are numbered in the order of the sorted triples; ``asked`` gives the
+    place of every triple that was asked for.
+    """
+
+    def __init__(self, middle: np.ndarray, far: np.ndarray, word: np.ndarray, train: np.ndarray, known: Words):
+        self.known = known
+        # Pairs, dishes of parents and triples are compared by 64-bit hashes.
+        far_name = mix(middle ^ mix(far ^ U(0xA5A5A5A5)))
+        dish_name = mix(middle ^ mix(word ^ U(0x5A5A5A5A)))
+        self.key, first, self.asked = distinct(mix(far_name + dish_name * U(0x9E3779B97F4A7C15)))
+        self.c = np.bincount(self.asked, weights=train, minlength=len(first)).astype(np.int64)
+        pair_names, _, self.pair = distinct(far_name[first])
+        self.dish_names, at, self.dish = distinct(dish_name[first])
+        self.dish_word = word[first][at]
+        self.middles, _, self.dish_middle = distinct(middle[first][at])
+        self.hot = np.isin(self.middles, known.hot)
+        self.hot_dish = self.hot[self.dish_middle]
+        # What stays as it is: triples of one customer, and parents' dishes that get one at most.
+        self.pair_c = np.bincount(self.pair, weights=self.c, minlength=len(pair_names)).astype(np.int64)
+        dish_c = np.bincount(self.dish, weights=self.c, minlength=len(at))
+        self.middle_c = np.bincount(self.dish_middle, weights=dish_c, minlength=len(self.middles)).astype(np.int64)
+        self.busy, one = np.flatnonzero(self.c > 1), self.c == 1
+        self.pair_one = np.bincount(self.pair, weights=one, minlength=len(pair_names))
+        self.dish_one = np.bincount(self.dish, weights=one, minlength=len(at))
+        self.t = np.minimum(self.c, 1)
+        self._add_up()
+        self.dish_t = np.where(self.hot_dish, 0, np.minimum(self.n, 1))
+        self.busy_dish = np.flatnonzero(~self.hot_dish & (dish_c > 1))
+        idle = np.ones(len(at), bool)
+        idle[self.busy_dish] = False
+        of = lambda x: np.bincount(self.dish_middle[idle], weights=x[idle], minlength=len(self.middles))
+        self.size_one, self.tables_one = of(self.n), of(self.dish_t)
+        self.turn = 0
+
+    def _add_up(self) -> None:
+        """Customers of the parents, from the tables of the pairs."""
+        of = lambda x, one: one + np.bincount(x[self.busy], weights=self.t[self.busy], minlength=len(one))
+        self.n, self.pair_t = of(self.dish, self.dish_one).astype(np.int64), of(self.pair, self.pair_one)
+
+    def _parent_sizes(self) -> tuple[np.ndarray, np.ndarray]:
+        """Customers and tables of the parents, by middle word."""
+        m, i = self.dish_middle[self.busy_dish], self.busy_dish
+        of = lambda x, one: one + np.bincount(m, weights=x[i], minlength=len(one))
+        return of(self.n, self.size_one), of(self.dish_t, self.tables_one)
+
+    def parents(self, root: np.ndarray) -> np.ndarray:
+        """Parents' probabilities; of hot middle words they are what ``root`` says."""
+        n, t, m = self.n, self.dish_t, self.dish_middle
+        size, tables = self._parent_sizes()
+        p = (n - DISCOUNTS[1] * t + (STRENGTHS[1] + DISCOUNTS[1] * tables[m]) * root) / (STRENGTHS[1] + size[m])
+        return np.where(self.hot_dish, root, p)
+
+    def sweep(self, root: np.ndarray) -> None:
+        m, i = self.dish_middle, self.busy
+        d = self.dish[i]
+        size, tables = self._parent_sizes()
+        hot = self.hot_dish[d]
+        own, pair = self.t[i], self.pair[i]
+        draw = [uniform(self.key[i], 4 * self.turn + k) for k in (0, 1)]
+        others = self.pair_t[pair] - own
+        new = np.empty(len(i), np.int64)
+        a = np.flatnonzero(hot)
+        if len(a):
+            w = Weights(STRENGTHS[0], DISCOUNTS[0], others[a], root[d[a]])
+            new[a] = draw_tables(self.c[i[a]], own[a], w, draw[0][a], draw[1][a])
+        a = np.flatnonzero(~hot)
+        if len(a):
+            e = d[a]
+            slope = (self.dish_t[e] - 1) / np.maximum(self.n[e] - 1, 1)
+            w = Weights(
+                STRENGTHS[0], DISCOUNTS[0], others[a], (STRENGTHS[1] + DISCOUNTS[1] * tables[m[e]]) * root[e],
+                self.n[e] - own[a], DISCOUNTS[1], slope, STRENGTHS[1] + size[m[e]] - own[a],
+            )
+            new[a] = draw_tables(self.c[i[a]], own[a], w, draw[0][a], draw[1][a])
+        self.t[i] = new
+        self._add_up()
+        e = self.busy_dish
+        n, own = self.n[e], np.minimum(np.maximum(self.dish_t[e], 1), self.n[e])
+        self.dish_t[e] = own
+        _, tables = self._parent_sizes()
+        w = Weights(STRENGTHS[1], DISCOUNTS[1], tables[m[e]] - own, root[e])
+        names = self.dish_names[e]
+        self.dish_t[e] = draw_tables(n, own, w, uniform(names, 4 * self.turn + 2), uniform(names, 4 * self.turn + 3))
+        self.turn += 1
+
+    def predictive(self, root: np.ndarray) -> np.ndarray:
+        p = self.parents(root)[self.dish]
+        return (self.c - DISCOUNTS[0] * self.t + (STRENGTHS[0] + DISCOUNTS[0] * self.pair_t[self.pair]) * p) / (STRENGTHS[0] + self.pair_c[self.pair])
+
+    def early(self) -> None:
+        root = self.known.first_root(self.dish_word)
+        for _ in range(self.known.chain.early):
+            self.sweep(root)
+
+    def late(self, root: np.ndarray) -> np.ndarray:
+        """Averaged probabilities of the triples under ``root`` (by dish)."""
+        mean, chain = np.zeros(len(self.c)), self.known.chain
+        for k in range(chain.burn_in + chain.samples):
+            self.sweep(root)
+            if k >= chain.burn_in:
+                mean += self.predictive(root)
+        return mean / chain.samples
+
+    def sent(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """What the root is told: (hot middle word or 0, word, customers), and the place of every dish there.
+
+        A word's customers from all cold middle words here are one row.
+        """
+        name = np.where(self.hot_dish, self.middles[self.dish_middle], U(0))
+        _, first, of = distinct(mix(self.dish_word ^ mix(name)))
+        n = np.bincount(of, weights=np.where(self.hot_dish, self.n, self.dish_t), minlength=len(first)).astype(np.int64)
+        return name[first], self.dish_word[first], n, of
+
+
+def _buckets(batches, known: Words) -> Iterator[tuple[int, list[tuple[int, int, int]], Bucket, list[dict]]]:
+    """The buckets of a partition: name, (block, middle words, triples) of each request, restaurants, root's answers."""
+
+    def finish(bucket: int, rows: list[dict]):
+        said = [r for r in rows if r["answer"] is not None]
+        rows = sorted((r for r in rows if r["answer"] is None), key=lambda r: r["block"])
+        if not rows:
+            return
+        triples, asked = [], []
+        for r in rows:
+            mine, n, train = _unpacked(r["middle"], U), _unpacked(r["n_triples"], np.uint32), _unpacked(r["train"], np.uint32)
+            both = _decoded(_unpacked(r["codes"], np.uint16), _unpacked(r["rest"], U), known.coded)
+            triples.append((np.repeat(mine, n), both[: len(train)], both[len(train) :], train))
+            asked.append((r["block"], mine, len(train)))
+        yield bucket, asked, Bucket(*map(np.concatenate, zip(*triples)), known), said
+
+    rows, mine = [], None
     for batch in batches:
         for row in batch.to_pylist():
-            held.setdefault(row["bucket"], []).append(row)
-    for bucket in sorted(held):
-        rows = sorted(held.pop(bucket), key=lambda r: (r["block"], r["words"]))
-        parts = [[_unpacked(r[k], t) for r in rows] for k, t in (("words", U), ("n_pairs", np.uint32), ("context", np.uint16), ("train", np.int64))]
-        words, n_pairs, context, train = map(np.concatenate, parts)
-        out = sample_bucket(words, n_pairs, context.astype(np.int64), train, width, totals, n_buckets, SEED + bucket)
-        yield bucket, [(r["block"], len(n), len(c)) for r, n, c in zip(rows, parts[1], parts[2])], out
+            if row["bucket"] != mine:
+                if rows:
+                    yield from finish(mine, rows)
+                rows, mine = [], row["bucket"]
+            rows.append(row)
+    if rows:
+        yield from finish(mine, rows)
+
 
+# ---- the root ----
+
+_TOLD = "bucket int, part int, hot binary, word binary, n binary"
+
+
+def _told(asked: DataFrame, shared: Broadcast, n_buckets: int) -> DataFrame:
+    """Step 1: the tables of each bucket by word, for the parts that keep the root."""
 
-def _totals(asked: DataFrame, width: int, customers: np.ndarray, n_buckets: int) -> list[dict]:
     def run(batches):
-        for _, _, (_, _, _, steps) in _buckets(batches, width, (customers, None), n_buckets):
-            flat = [(k, i, float(x)) for k, s in enumerate(steps) for i, x in enumerate([s["root_n"], s["root_t"], s["known"], *s["tables"]])]
-            cols = list(zip(*flat))
-            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), pa.array(cols[1], pa.int32()), pa.array(cols[2], pa.float64())], ["sweep", "i", "x"])
-
-    # At most (BURN_IN + SAMPLES) * (CONTEXT_SHARE + 5) rows.
-    got = asked.mapInArrow(run, "sweep int, i int, x double").groupBy("sweep", "i").agg(F.sum("x").alias("x")).collect()
-    trace = [{"tables": np.zeros(width)} for _ in range(BURN_IN + SAMPLES)]
-    for r in got:
-        if r.i < 3:
-            trace[r.sweep][("root_n", "root_t", "known")[r.i]] = r.x
+        for bucket, _, rooms, _ in _buckets(batches, shared.value):
+            rooms.early()
+            hot, word, n, _ = rooms.sent()
+            part = ((word >> U(16)) % U(n_buckets)).astype(np.int32)
+            order = np.argsort(part, kind="stable")
+            cuts = np.flatnonzero(np.r_[True, np.diff(part[order]) != 0])
+            for a, z in zip(cuts, [*cuts[1:], len(order)]):
+                mine = order[a:z]
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([bucket], pa.int32()), pa.array([part[mine[0]]], pa.int32()),
+                     *(pa.array([_packed(x[mine])], pa.binary()) for x in (hot, word, n))],
+                    [f.split()[0] for f in _TOLD.split(", ")],
+                )
+
+    return asked.mapInArrow(run, _TOLD)
+
+
+class Root:
+    """A part of the root: words with their customers from cold middle words, and the parents of hot ones."""
+
+    def __init__(self, hot: np.ndarray, word: np.ndarray, n: np.ndarray, known: Words):
+        names, first, self.asked = distinct(mix(word ^ mix(hot)))
+        self.names, self.hot, word = names, hot[first], word[first]
+        self.n = np.bincount(self.asked, weights=n, minlength=len(first)).astype(np.int64)
+        self.parent = np.flatnonzero(self.hot > 0)
+        self.which = np.searchsorted(known.hot, self.hot[self.parent])
+        self.words, _, self.of = distinct(word)
+        self.word_names = mix(self.words)
+        self.cold = np.bincount(self.of, weights=np.where(self.hot > 0, 0, self.n), minlength=len(self.words)).astype(np.int64)
+        self.t = np.minimum(self.n[self.parent], 1)
+        self.known = known
+        self._add_up()
+        self.root_t = np.minimum(self.customers, 1)
+
+    def _add_up(self) -> None:
+        self.customers = self.cold + np.bincount(self.of[self.parent], weights=self.t, minlength=len(self.words)).astype(np.int64)
+
+    def totals(self) -> tuple[int, int, np.ndarray, np.ndarray]:
+        """Customers and tables here, and of the parents of each hot word."""
+        size = lambda x: np.bincount(self.which, weights=x, minlength=len(self.known.hot)).astype(np.int64)
+        return int(self.customers.sum()), int(self.root_t.sum()), size(self.n[self.parent]), size(self.t)
+
+    def probabilities(self, all_n: int, all_t: int) -> np.ndarray:
+        flat = (STRENGTHS[2] + DISCOUNTS[2] * all_t) / (self.known.known + 1)
+        return (self.customers - DISCOUNTS[2] * self.root_t + flat) / (STRENGTHS[2] + all_n)
+
+    def sweep(self, turn: int, totals) -> None:
+        all_n, all_t, hot_n, hot_t = totals
+        p = self.probabilities(all_n, all_t)
+        i = np.flatnonzero(self.n[self.parent] > 0)
+        w = Weights(STRENGTHS[1], DISCOUNTS[1], (hot_t[self.which] - self.t)[i], p[self.of[self.parent]][i])
+        names = self.names[self.parent][i]
+        self.t[i] = draw_tables(self.n[self.parent][i], self.t[i], w, uniform(names, 4 * turn), uniform(names, 4 * turn + 1))
+        self._add_up()
+        self.root_t = np.minimum(np.maximum(self.root_t, 1), self.customers)
+        i = np.flatnonzero(self.customers > 0)
+        flat = np.full(len(i), 1.0 / (self.known.known + 1))
+        w = Weights(STRENGTHS[2], DISCOUNTS[2], (all_t - self.root_t)[i], flat)
+        self.root_t[i] = draw_tables(self.customers[i], self.root_t[i], w, uniform(self.word_names[i], 4 * turn + 2), uniform(self.word_names[i], 4 * turn + 3))
+
+    def answers(self, totals) -> np.ndarray:
+        """Probability of every row asked: of a hot word's parent, or of the root."""
+        all_n, all_t, hot_n, hot_t = totals
+        p = self.probabilities(all_n, all_t)[self.of]
+        base, j = p[self.parent], self.which
+        p[self.parent] = (self.n[self.parent] - DISCOUNTS[1] * self.t + (STRENGTHS[1] + DISCOUNTS[1] * hot_t[j]) * base) / (STRENGTHS[1] + hot_n[j])
+        return p[self.asked]
+
+
+def _parts(batches, known: Words) -> Iterator[tuple[int, list[tuple[int, int]], Root]]:
+    def finish(part: int, rows: list[dict]):
+        rows.sort(key=lambda r: r["bucket"])
+        cols = [[_unpacked(r[k], t) for r in rows] for k, t in (("hot", U), ("word", U), ("n", np.int64))]
+        return part, [(r["bucket"], len(x)) for r, x in zip(rows, cols[2])], Root(*map(np.concatenate, cols), known)
+
+    rows, mine = [], None
+    for batch in batches:
+        for row in batch.to_pylist():
+            if row["part"] != mine:
+                if rows:
+                    yield finish(mine, rows)
+                rows, mine = [], row["part"]
+            rows.append(row)
+    if rows:
+        yield finish(mine, rows)
+
+
+def _root_totals(told: DataFrame, shared: Broadcast, earlier: list) -> tuple:
+    """Totals of the root after the sweeps that ``earlier`` totals allow: each sweep sees those of the one before."""
+
+    def run(batches):
+        for _, _, root in _parts(batches, shared.value):
+            for turn, totals in enumerate(earlier):
+                root.sweep(turn, totals)
+            n, t, hot_n, hot_t = root.totals()
+            some = np.flatnonzero(hot_n)
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(np.r_[-1, some]), pa.array(np.r_[n, hot_n[some]]), pa.array(np.r_[t, hot_t[some]])], ["i", "n", "t"]
+            )
+
+    # One row for the root and one for each hot word, of which there are at most HOT_SHARE.
+    rows = told.mapInArrow(run, "i long, n long, t long").groupBy("i").agg(F.sum("n").alias("n"), F.sum("t").alias("t")).collect()
+    hot_n, hot_t = np.zeros((2, len(shared.value.hot)), np.int64)
+    all_n = all_t = 0
+    for r in rows:
+        if r.i < 0:
+            all_n, all_t = r.n, r.t
         else:
-            trace[r.sweep]["tables"][r.i - 3] = r.x
-    return trace
+            hot_n[r.i], hot_t[r.i] = r.n, r.t
+    return all_n, all_t, hot_n, hot_t
+
+
+def _root_answers(told: DataFrame, shared: Broadcast, trace: list) -> DataFrame:
+    def run(batches):
+        for part, asked, root in _parts(batches, shared.value):
+            for turn, totals in enumerate(trace[:-1]):
+                root.sweep(turn, totals)
+            p, at = root.answers(trace[-1]), 0
+            for bucket, n in asked:
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([part], pa.int64()), pa.array([bucket], pa.int32()), pa.array([_packed(p[at : at + n])], pa.binary())], ["block", "bucket", "answer"]
+                )
+                at += n
+
+    return told.mapInArrow(run, "block long, bucket int, answer binary")
 
 
-def _answers(asked: DataFrame, width: int, customers: np.ndarray, trace: list[dict], n_buckets: int) -> DataFrame:
+# ---- scores ----
+
+_ANSWER = "block long, bucket int, counts binary, logs binary"
+_SCALE = 2.0**28  # logs travel as whole multiples of 1 / _SCALE, and are added up as such
+
+
+def _answers(asked: DataFrame, shared: Broadcast, n_buckets: int) -> DataFrame:
+    """Step 3: counts of the middle words and log10 probabilities of the triples, for the blocks that asked."""
+
     def run(batches):
-        for bucket, rows, (pair, counts, mean, _) in _buckets(batches, width, (customers, trace), n_buckets):
-            logs = np.log10(mean).astype(np.float32)[pair]
-            at_w = at_p = 0
-            for block, n_w, n_p in rows:
+        for bucket, asks, rooms, said in _buckets(batches, shared.value):
+            rooms.early()
+            _, word, _, of = rooms.sent()
+            part = ((word >> U(16)) % U(n_buckets)).astype(np.int32)
+            root = np.empty(len(word))
+            said.sort(key=lambda r: r["block"])
+            root[np.argsort(part, kind="stable")] = np.concatenate([_unpacked(r["answer"], np.float64) for r in said])
+            logs = np.rint(np.log10(rooms.late(root[of])) * -_SCALE).astype(np.int64).astype(np.uint32)[rooms.asked]
+            at = 0
+            for block, mine, n in asks:
                 yield pa.RecordBatch.from_arrays(
                     [pa.array([block]), pa.array([bucket], pa.int32()),
-                     pa.array([_packed(counts[at_w : at_w + n_w].astype(np.int64))], pa.binary()),
-                     pa.array([_packed(logs[at_p : at_p + n_p])], pa.binary())],
-                    ["block", "bucket", "counts", "logs"],
+                     pa.array([_packed(rooms.middle_c[np.searchsorted(rooms.middles, mine)])], pa.binary()),
+                     pa.array([_packed(logs[at : at + n])], pa.binary())],
+                    [f.split()[0] for f in _ANSWER.split(", ")],
                 )
-                at_w, at_p = at_w + n_w, at_p + n_p
+                at += n
 
-    return asked.mapInArrow(run, "block long, bucket int, counts binary, logs binary")
+    return asked.mapInArrow(run, _ANSWER)
 
 
 _SCORES = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
-def _score(row: dict, answers: list[dict], contexts: np.ndarray, n_train: int, known: int, n_buckets: int) -> pa.RecordBatch:
-    words, ids, n = _arrays(row, words=U, ids=np.uint32, n_tokens=np.int64)
-    codes, _, of = block_pairs(row, contexts)
-    bucket = _by_bucket(words, n_buckets)
-    # The bucket's answers are in the order of the requests: by bucket, then word, then context.
-    counts, logs = np.empty(len(words), np.int64), np.empty(len(codes), np.float64)
+def _score(row: dict, answers: list[dict], known: Words, n_buckets: int) -> pa.RecordBatch:
+    words, ids, n = _unpacked(row["words"], U), _unpacked(row["ids"], np.uint32), _unpacked(row["n_tokens"], np.int64)
+    middle, _, _, _, of, names, bucket, order = _order(row, words, known, n_buckets)
+    # A bucket's answers are in the order of the requests: by bucket, then middle word, farther word and word.
     answers.sort(key=lambda a: a["bucket"])
-    counts[np.argsort(bucket, kind="stable")] = np.concatenate([_unpacked(a["counts"], np.int64) for a in answers])
-    logs[np.argsort(bucket[codes // (len(contexts) + 2)], kind="stable")] = np.concatenate([_unpacked(a["logs"], np.float32) for a in answers])
+    logs = np.empty(len(order), np.int64)
+    logs[order] = np.concatenate([_unpacked(a["logs"], np.uint32) for a in answers])
+    counts = np.zeros(len(names), np.int64)
+    pairs = (bucket * len(names) + middle)[order]
+    counts[pairs[np.r_[True, pairs[1:] != pairs[:-1]]] % len(names)] = np.concatenate([_unpacked(a["counts"], np.int64) for a in answers])
+    at = np.minimum(np.searchsorted(known.hot, names), len(known.hot) - 1)
+    hot = known.hot[at] == names
+    counts[hot] = known.hot_counts[at[hot]]
     first = np.cumsum(n) - n
-    base = np.log10((counts + 0.5) / (n_train + 0.5 * (known + 1)))
+    base = np.log10((counts + 0.5) / (known.n_train + 0.5 * (known.known + 1)))
     total = lambda x: np.add.reduceat(x, first)  # noqa: E731  every text has its end token
     held = _unpacked(row["held"], bool)
     cols = [pa.array(row["doc_ids"], pa.int64()), pa.array(held), pa.array(n), pa.array(total((counts > 0).astype(np.int64)[ids])),
-            pa.array(np.full(len(n), n_train)), pa.array(total(base[ids])), pa.array(total(logs[of]))]
+            pa.array(np.full(len(n), known.n_train)), pa.array(total(base[ids])), pa.array(total(logs[of]) / -_SCALE)]
     return pa.RecordBatch.from_arrays(cols, [f.split()[0] for f in _SCORES.split(", ")])
 
 
-def score(docs: DataFrame) -> DataFrame:
+def score(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, coded: int = CODED, hot: int | None = None, chain: Chain = Chain()) -> DataFrame:
     """``docs (doc_id, held, text)``: trains on the rows not held out, scores all."""
     spark = docs.sparkSession
-    blocks = written(text_blocks(docs.select("doc_id", F.coalesce("held", F.lit(False)), F.col("text").cast("binary"))), "lm-blocks")
-    size = blocks.agg(F.sum("n_all").alias("n"), F.sum("n_train").alias("m")).first()
-    n_all, n_train = int(size.n or 0), int(size.m or 0)
-    contexts = frequent_words(blocks, n_train)
-    width = len(contexts) + 2
-    n_buckets = max(shuffle_width(spark), n_all // BUCKET_TOKENS)
-    asked = requests(blocks, contexts, n_buckets).repartition(n_buckets, "bucket").checkpoint()
-
-    def after(batches):  # training tokens by context
-        for batch in batches:
-            total = np.zeros(width)
-            for r in batch.to_pylist():
-                total += np.bincount(_unpacked(r["context"], np.uint16), weights=_unpacked(r["train"], np.int64), minlength=width)
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(width), pa.int32()), pa.array(total)], ["i", "x"])
-
-    sums = asked.select("context", "train").mapInArrow(after, "i int, x double").groupBy("i").agg(F.sum("x").alias("x")).collect()
-    customers = np.zeros(width)
-    for r in sums:
-        customers[r.i] = r.x
-    trace = _totals(asked, width, customers, n_buckets)
-    known = int(trace[0].get("known", 0))
-    answers = _answers(asked, width, customers, trace, n_buckets)
-    names = ["doc_ids", "held", "n_tokens", "words", "ids", "counts", "logs"]
-    left = blocks.select("block", F.lit(-1).alias("bucket"), *[F.col(c) if c in blocks.columns else F.lit(None).cast("binary").alias(c) for c in names])
-    right = answers.select("block", "bucket", *[F.col(c) if c in ("counts", "logs") else F.lit(None).cast(blocks.schema[c].dataType).alias(c) for c in names])
+    source = docs.select("doc_id", F.coalesce("held", F.lit(False)), F.col("text").cast("binary"))
+    blocks = written(text_blocks(source, block_tokens), "lm-blocks")
+    known = training_words(blocks, coded, hot)._replace(chain=chain)
+    shared = spark.sparkContext.broadcast(known)
+    n_buckets = max(shuffle_width(spark), known.n_train // BUCKET_TOKENS)
+
+    def dealt(df: DataFrame, key: str) -> DataFrame:
+        return df.repartition(n_buckets, key).sortWithinPartitions(key)
+
+    asked = requests(blocks, shared, n_buckets)
+    told = written(dealt(_told(dealt(asked, "bucket"), shared, n_buckets), "part"), "lm-root")
+    trace = [_root_totals(told, shared, [])]
+    for _ in range(chain.root):
+        trace.append(_root_totals(told, shared, trace))
+    root = _root_answers(told, shared, trace)
+    answers = written(_answers(dealt(asked.unionByName(root, allowMissingColumns=True), "bucket"), shared, n_buckets), "lm-answers")
+    both = blocks.drop("n_train").unionByName(answers, allowMissingColumns=True)
 
     def run(batches):
-        row, got, mine = None, [], None
+        row, got = None, []
         for batch in batches:
             for r in batch.to_pylist():
-                if r["block"] != mine:
-                    if row is not None:
-                        yield from finish(row, got)
-                    row, got, mine = [], [], r["block"]
-                (row if r["bucket"] < 0 else got).append(r)
+                if r["bucket"] is not None:
+                    got.append(r)
+                    continue
+                if row is not None:
+                    yield _score(row, got, shared.value, n_buckets)
+                row, got = r, []
         if row is not None:
-            yield from finish(row, got)
+            yield _score(row, got, shared.value, n_buckets)
+
+    return dealt_by_block(both).mapInArrow(run, _SCORES)
 
-    def finish(same: list[dict], got: list[dict]):
-        # Blocks of equal content have one name and equal answers, one set for each.
-        per = len(got) // len(same)
-        got.sort(key=lambda a: a["bucket"])
-        for k, r in enumerate(same):
-            yield _score(r, got[k :: len(same)] if per else [], contexts, n_train, known, n_buckets)
 
-    together = left.unionByName(right).repartition("block").sortWithinPartitions("block", "bucket")
-    return together.mapInArrow(run, _SCORES)
+def dealt_by_block(rows: DataFrame) -> DataFrame:
+    """Each block's row, its answers behind it."""
+    return rows.repartition("block").sortWithinPartitions("block", F.col("bucket").asc_nulls_first())
 
 
 def op9_language_model(docs: DataFrame) -> DataFrame:

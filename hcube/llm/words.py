@@ -37,6 +37,36 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> U(31))
 
 
+def distinct(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sorted distinct keys (hashes), where each was first, and the number of every key.
+
+    Like ``numpy.unique``, several times faster: the upper bits are sorted with the places
+    in the lower ones, and the few keys that these can't tell apart are sorted again.
+    """
+    n = len(keys)
+    if not n:
+        return keys, np.empty(0, np.int64), np.empty(0, np.int64)
+    low = U((1 << max(n - 1, 1).bit_length()) - 1)
+    packed = np.sort((keys & ~low) | np.arange(n, dtype=U))
+    order = (packed & low).astype(np.int64)
+    packed &= ~low
+    ranked = keys[order]
+    new = ranked[1:] != ranked[:-1]
+    same = packed[1:] == packed[:-1]
+    if (new & same).any():
+        run = np.cumsum(np.r_[False, ~same])
+        mixed = np.zeros(run[-1] + 1, bool)
+        mixed[run[1:][new & same]] = True
+        at = np.flatnonzero(mixed[run])
+        again = at[np.lexsort((order[at], ranked[at]))]
+        order[at], ranked[at] = order[again], ranked[again]
+        new = ranked[1:] != ranked[:-1]
+    new = np.r_[True, new]
+    number = np.empty(n, np.int64)
+    number[order] = np.cumsum(new) - 1
+    return ranked[new], order[new], number
+
+
 def spans(buf: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Starts and ends of the words of a buffer."""
     word = ~_SPACE[buf]

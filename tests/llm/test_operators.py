@@ -234,17 +234,6 @@ def test_language_model(docs, rows):
     assert all(x.perplexity < x.base_perplexity for x in by.values()) and all(x.score < 0 for x in r)
 
 
-def test_seating_keeps_its_counts():
-    rng = np.random.default_rng(0)
-    s = lm.Seating(np.array([5, 1, 0, 12]), np.array([2, 1, 0, 4]), rng)
-    for _ in range(200):
-        d = np.array([0, 3])
-        s.leave(d)
-        s.sit(d, np.array([0.3, 1.5]), 0.5)
-        assert np.bincount(s.owner, weights=s.size, minlength=4).tolist() == [5, 1, 0, 12] == s.counts.tolist()
-        assert np.bincount(s.owner, minlength=4).tolist() == s.tables.tolist() and (s.size > 0).all()
-
-
 def test_sentencepieces(docs, rows):
     import public_tokenizers
     import sentencepiece
