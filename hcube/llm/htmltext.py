@@ -2,15 +2,19 @@
 
 A first pass hashes the element subtrees that may be template (all outside an article,
 and inside it those that are not headings, paragraphs or quotes) together with the
-page's host; Spark counts in how many pages of its host each occurs.  Subtrees in many
-pages are template, and the second pass leaves them out, besides what says itself by
-tag, role or class that it is no main text.  The list of template hashes is broadcast
-when it is below a stated size, else joined to the pages.
-
-Defined results: null html is empty and gives an empty text; a null url has the empty
-host; null or repeated page_id keep their rows; broken or unclosed markup is closed as
-browsers do for paragraphs, items and cells; an empty table gives no rows; other
-columns are not read.
+page's host; Spark counts in how many different pages of its host each occurs.  Subtrees
+in many pages are template, and the second pass leaves them out, besides what says itself
+by tag, role or class that it is no main text.  A subtree's hash is made of its own
+markup and its children's hashes, so a page is read once, however deep it nests.  The
+list of template hashes is broadcast when it is below a stated size, else joined to the
+pages.
+
+Defined results: null html is empty and gives an empty text; a null url, and one without
+a host, has the empty host; null or repeated page_id keep their rows; pages of equal html
+on one host count as one page, so copies don't make a template; broken or unclosed markup
+is closed as browsers do for paragraphs, items and cells, and a tag that never ends is
+text; very long pages are read in time proportional to their length; an empty table gives
+no rows; other columns are not read.
 """
 
 from __future__ import annotations
@@ -22,15 +26,18 @@ from urllib.parse import urlsplit
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .session import written
+
 MANY_PAGES = 5
 MANY_SHARE = 0.1
-BROADCAST_HASHES = 2_000_000
+BROADCAST_HASHES = 200_000
 
 # Tags by what they do to text.
-RAW = "script|style|noscript|template|iframe|textarea|select|svg|math|object|canvas|xmp|noembed|noframes"
+RAW = frozenset("script style noscript template iframe textarea select svg math object canvas xmp noembed noframes".split())
 DROPPED = frozenset("head nav footer aside form menu dialog button title datalist".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BLOCKS = frozenset(
@@ -60,12 +67,12 @@ DROPPED_WORDS = frozenset(
     "widget toolbar masthead skip paywall form".split()
 )
 HEADER_WORDS = frozenset(("header", "masthead"))
+# Words that say nothing beside one of the above, as in "comments-list".
+NEUTRAL_WORDS = frozenset("area bar block body bottom box button buttons container content group inner item items js left link links list main outer panel right section site top wrap wrapper".split())
 
-_TOKEN = re.compile(
-    rf"<!--.*?(?:-->|\Z)|<(?P<raw>{RAW})\b[^>]*>.*?(?:</(?P=raw)\s*>|\Z)|<[!?][^>]*>"
-    r"|<(?P<end>/)?(?P<tag>[a-zA-Z][a-zA-Z0-9:-]*)(?P<attrs>(?:[^>\"']|\"[^\"]*\"|'[^']*')*)>",
-    re.S | re.I,
-)
+_NAME = re.compile(r"/?([a-zA-Z][a-zA-Z0-9:-]*)")
+_RAW_END = {tag: re.compile(f"</{tag}", re.I | re.A) for tag in RAW}
+_PLAIN = re.compile(r"[^>\"']*")
 _ATTR = re.compile(r"\b(class|id|role|hidden|style|aria-hidden)\b(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
 _WORDS = re.compile(r"[a-z]+")
 
@@ -91,150 +98,228 @@ def _says_dropped(tag: str, attrs: str, in_article: bool) -> bool:
         if name == "role" and value in DROPPED_ROLES and not (in_article and value == "banner"):
             return True
         if name in ("class", "id"):
-            words = set(_WORDS.findall(value))
-            if words & DROPPED_WORDS or words & HEADER_WORDS and not in_article:
+            if not in_article:
+                words = set(_WORDS.findall(value))
+                if words & DROPPED_WORDS or words & HEADER_WORDS:
+                    return True
+            elif any(_all_dropped(name_) for name_ in value.split()):
                 return True
     return False
 
 
+def _all_dropped(name: str) -> bool:
+    """Inside an article: a class or id drops its element only if none of its words says otherwise."""
+    words = set(_WORDS.findall(name))
+    return bool(words & DROPPED_WORDS) and words <= DROPPED_WORDS | NEUTRAL_WORDS
+
+
 _COMMENT = re.compile(r"\b(comments?|replies|reply|related|teaser)\b", re.I)
 
 
+def tokens(source: str) -> Iterator[tuple[str, str | None, str, int, int]]:
+    """``(kind, tag, attributes, start, end)`` of all markup, in time proportional to the source.
+
+    kind: ``<`` a start tag, ``/`` an end tag, ``!`` what holds no text.  A ``<`` that no
+    ``>`` follows is text; a quote that isn't closed ends with the tag.
+    """
+    last = source.rfind(">")
+    quotes = {q: source.rfind(q) for q in "\"'"}
+    ends: dict[str, int] = {}  # place of a raw element's next end tag, as last found
+
+    def tag_end(at: int) -> int:
+        begin = at
+        while True:
+            at = _PLAIN.match(source, at).end()
+            if at > last:
+                return source.find(">", begin)
+            if source[at] == ">":
+                return at
+            if at >= quotes[source[at]]:
+                at += 1
+            else:
+                at = source.find(source[at], at + 1) + 1
+
+    at = source.find("<")
+    while 0 <= at < last:
+        after = source[at + 1]
+        if after in "!?":
+            if source.startswith("<!--", at):
+                close = source.find("-->", at + 4)
+                stop = len(source) if close < 0 else close + 3
+            else:
+                stop = source.find(">", at) + 1
+            yield "!", None, "", at, stop
+        elif name := _NAME.match(source, at + 1):
+            end = tag_end(name.end())
+            tag, stop = name[1].lower(), end + 1
+            if after == "/":
+                yield "/", tag, "", at, stop
+            elif tag in RAW:
+                if ends.get(tag, 0) < stop and ends.get(tag) != -1:
+                    found = _RAW_END[tag].search(source, stop)
+                    ends[tag] = found.start() if found else -1
+                close = ends[tag]
+                stop = len(source) if close < 0 else source.find(">", close) + 1 or len(source)
+                yield "!", None, "", at, stop
+            else:
+                yield "<", tag, source[name.end() : end], at, stop
+        else:
+            stop = at + 1
+        at = source.find("<", stop)
+
+
+class Element:
+    __slots__ = ("tag", "above", "drop", "article", "main", "key", "hash")
+
+    def __init__(self, tag: str, above: int, drop: bool, article: bool, main: bool):
+        self.tag, self.above, self.drop, self.article, self.main = tag, above, drop, article, main
+        self.key, self.hash = 0, None
+
+
 class Page:
-    """One pass over a page's tags: blocks of text with the elements that hold them."""
+    """One pass over a page's tags: blocks of text with the innermost element that holds each."""
 
-    def __init__(self, source: str):
-        self.blocks: list[tuple[str, tuple[int, ...]]] = []
-        # Elements: [tag, start, end, own words say dropped, holds or is in an article]
-        self.elements: list[list] = []
+    def __init__(self, source: str, hashed: bool = True):
+        self.blocks: list[tuple[str, int]] = []
+        self.elements: list[Element] = []
         self._open: list[int] = []
+        self._at: dict[str, list[int]] = {}  # places in _open, by tag
+        self._walls: list[int] = []
         self._text: list[str] = []
+        self._source, self._hashed, self._seen = source, hashed, 0
         at = 0
-        for m in _TOKEN.finditer(source):
-            if m.start() > at:
-                self._text.append(source[at : m.start()])
-            at = m.end()
-            tag = m["tag"]
-            if tag is None:
-                continue
-            tag = tag.lower()
-            if m["end"]:
-                self._close(tag, m.start(), at)
-            else:
-                self._start(tag, m["attrs"], m.start(), at)
+        for kind, tag, attrs, start, end in tokens(source):
+            if start > at:
+                self._text.append(source[at:start])
+            at = end
+            if kind == "/":
+                self._close(tag, end)
+            elif kind == "<":
+                self._start(tag, attrs, start, end)
         self._text.append(source[at:])
         self._flush()
-        for k in self._open:
-            self.elements[k][2] = len(source)
+        self._pop(0, len(source))
 
     def _flush(self) -> None:
         if self._text:
             text = " ".join(references.unescape("".join(self._text)).split())
             if text:
-                self.blocks.append((text, tuple(self._open)))
+                self.blocks.append((text, self._open[-1] if self._open else -1))
             self._text = []
 
+    def _hash_upto(self, end: int) -> None:
+        """Markup and text up to ``end`` belong to the innermost open element."""
+        if self._hashed and self._open and end > self._seen:
+            self.elements[self._open[-1]].hash.update(self._source[self._seen : end].encode("utf-8", "surrogatepass"))
+        self._seen = max(end, self._seen)
+
     def _start(self, tag: str, attrs: str, start: int, end: int) -> None:
         for other in ENDS.get(tag, ()):
-            for k in range(len(self._open) - 1, -1, -1):
-                name = self.elements[self._open[k]][0]
-                if name == other:
-                    self._pop(k, start)
-                    break
-                if name in WALLS:
-                    break
+            at = self._at.get(other)
+            if at and (not self._walls or at[-1] >= self._walls[-1]):
+                self._pop(at[-1], start)
         if tag in BLOCKS:
             self._flush()
         elif tag in ("br", "td", "th", "img", "input", "wbr"):
             self._text.append("" if tag == "wbr" else " ")
         if tag in VOID or attrs.endswith("/") and tag not in BLOCKS:
             return
-        in_article = any(self.elements[k][4] for k in self._open) or tag == "article"
+        above = self.elements[self._open[-1]] if self._open else None
+        in_article = tag == "article" or above is not None and above.article
         # What drops an element for itself starts a block of its own, inline or not.
         drop = _says_dropped(tag, attrs, in_article)
         if drop:
             self._flush()
-        self.elements.append([tag, start, None, drop, in_article])
-        self._open.append(len(self.elements) - 1)
-
-    def _close(self, tag: str, start: int, end: int) -> None:
-        for k in range(len(self._open) - 1, -1, -1):
-            name = self.elements[self._open[k]][0]
-            if name == tag:
-                self._pop(k, end)
-                return
-            if name in WALLS and tag not in BLOCKS:
-                return
+        self._hash_upto(start)
+        me = Element(tag, self._open[-1] if self._open else -1, drop, in_article, tag == "main" or above is not None and above.main)
+        if self._hashed:
+            me.hash = xxhash.xxh64()
+        self._at.setdefault(tag, []).append(len(self._open))
+        if tag in WALLS:
+            self._walls.append(len(self._open))
+        self._open.append(len(self.elements))
+        self.elements.append(me)
+
+    def _close(self, tag: str, end: int) -> None:
+        at = self._at.get(tag)
+        if at and (tag in BLOCKS or not self._walls or at[-1] >= self._walls[-1]):
+            self._pop(at[-1], end)
 
     def _pop(self, k: int, end: int) -> None:
-        gone = self._open[k:]
-        if any(self.elements[x][0] in BLOCKS or self.elements[x][3] for x in gone):
+        gone = [self.elements[x] for x in self._open[k:]]
+        if any(x.tag in BLOCKS or x.drop for x in gone):
             self._flush()
-        for x in gone:
-            self.elements[x][2] = end
-        del self._open[k:]
+        self._hash_upto(end)
+        for x in reversed(gone):
+            self._open.pop()
+            self._at[x.tag].pop()
+            if x.tag in WALLS:
+                self._walls.pop()
+            if self._hashed:
+                x.key = x.hash.intdigest()
+                x.hash = None
+                if self._open:
+                    self.elements[self._open[-1]].hash.update(x.key.to_bytes(8, "little"))
 
     def candidates(self) -> list[int]:
         """Elements whose subtree may be template."""
         return [
-            k for k, (tag, _, _, _, inside) in enumerate(self.elements)
-            if tag in BLOCKS and tag not in ("html", "body", "head", "title", "main", "article")
-            and not (inside and tag in KEPT_IN_ARTICLE)
+            k for k, e in enumerate(self.elements)
+            if e.tag in BLOCKS and e.tag not in ("html", "body", "head", "title", "main", "article")
+            and not (e.article and e.tag in KEPT_IN_ARTICLE)
         ]
 
     def text(self, template: set[int]) -> str:
         """Blocks of the article (else of main, else of the page) outside dropped and template elements."""
-        bad = {k for k, e in enumerate(self.elements) if e[3]} | template
-        good = [(t, held) for t, held in self.blocks if not bad.intersection(held)]
+        bad = []
+        for k, e in enumerate(self.elements):
+            bad.append(e.drop or k in template or e.above >= 0 and bad[e.above])
+        good = [(t, k) for t, k in self.blocks if k < 0 or not bad[k]]
         for region in ("article", "main"):
-            inside = [t for t, held in good if any(self.elements[k][0] == region for k in held)]
+            inside = [t for t, k in good if k >= 0 and getattr(self.elements[k], region)]
             if inside:
                 return "\n".join(inside)
         return "\n".join(t for t, _ in good)
 
 
-def _keys(page: Page, source: str, host: str) -> tuple[list[int], np.ndarray]:
-    import xxhash
-
+def _keys(page: Page, host: str) -> tuple[list[int], np.ndarray]:
     which = page.candidates()
-    prefix = host.encode() + b"\0"
-    keys = [
-        xxhash.xxh64_intdigest(prefix + source[page.elements[k][1] : page.elements[k][2]].encode("utf-8", "surrogatepass"))
-        for k in which
-    ]
+    prefix = host.encode("utf-8", "surrogatepass") + b"\0"
+    keys = [xxhash.xxh64_intdigest(prefix + page.elements[k].key.to_bytes(8, "little")) for k in which]
     return which, np.array(keys, np.uint64).view(np.int64)
 
 
 def template_hashes(pages: DataFrame, many: int = MANY_PAGES, share: float = MANY_SHARE) -> DataFrame:
-    """``(key)``: hashes of (host, subtree) found in many pages of the host."""
+    """``(key)``: hashes of (host, subtree) found in many different pages of the host."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            keys, hosts = [], []
-            for url, source in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            hosts, names, keys, n = [], [], [], []
+            for url, source in zip(*(c.to_pylist() for c in batch.columns)):
                 host = host_of(url)
-                mine = np.unique(_keys(Page(source or ""), source or "", host)[1])
-                keys.append(mine)
-                hosts += [host] * len(mine)
+                hosts.append(host)
+                names.append(xxhash.xxh64_intdigest((source or "").encode("utf-8", "surrogatepass")))
+                keys.append(np.unique(_keys(Page(source or ""), host)[1]))
+                n.append(len(keys[-1]))
+            # A row without a key counts the page itself.
+            of = np.repeat(np.arange(len(n)), n)
+            key = pa.concat_arrays([pa.nulls(len(n), pa.int64()), pa.array(np.concatenate(keys) if keys else [], pa.int64())])
+            name = np.array(names, np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(hosts, pa.string()), pa.array(np.concatenate(keys) if keys else [], pa.int64())], ["host", "key"]
+                [pa.array([*hosts, *(hosts[k] for k in of)], pa.string()), key, pa.array(np.r_[name, name[of]])], ["host", "key", "page"]
             )
 
-    seen = pages.select("url", "html").mapInArrow(run, "host string, key long").groupBy("host", "key").agg(F.count("*").alias("n"))
-    per_host = pages.select(_host_column().alias("host")).groupBy("host").agg(F.count("*").alias("pages"))
-    often = seen.filter(F.col("n") >= many)
+    seen = pages.select("url", "html").mapInArrow(run, "host string, key long, page long")
+    counted = written(seen.groupBy("host", "key").agg(F.count_distinct("page").alias("n")).filter(F.col("key").isNull() | (F.col("n") >= many)), "page-parts")
+    per_host = counted.filter(F.col("key").isNull()).select("host", F.col("n").alias("pages"))
+    often = counted.filter(F.col("key").isNotNull())
     return often.join(per_host, "host").filter(F.col("n") >= F.col("pages") * share).select("key").distinct()
 
 
-def _host_column():
-    """The host as SQL, equal to ``host_of`` for well-formed urls."""
-    return F.coalesce(F.lower(F.regexp_extract(F.col("url"), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1)), F.lit(""))
-
-
 def extract(pages: DataFrame, broadcast_hashes: int = BROADCAST_HASHES) -> DataFrame:
     """``(page_id, url, text, n_chars)``, one row per page."""
     spark = pages.sparkSession
-    template = template_hashes(pages)
+    template = written(template_hashes(pages), "page-templates")
     found = template.limit(broadcast_hashes + 1).collect()
     need = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html")
     if len(found) <= broadcast_hashes:
@@ -248,7 +333,7 @@ def extract(pages: DataFrame, broadcast_hashes: int = BROADCAST_HASHES) -> DataF
             for batch in batches:
                 rows, keys = [], []
                 for row_, url, text in zip(*(c.to_pylist() for c in batch.columns)):
-                    mine = np.unique(_keys(Page(text or ""), text or "", host_of(url))[1]).tolist()
+                    mine = np.unique(_keys(Page(text or ""), host_of(url))[1]).tolist()
                     rows += [row_] * len(mine)
                     keys += mine
                 yield pa.RecordBatch.from_arrays([pa.array(rows, pa.int64()), pa.array(keys, pa.int64())], ["row", "key"])
@@ -261,11 +346,11 @@ def extract(pages: DataFrame, broadcast_hashes: int = BROADCAST_HASHES) -> DataF
         for batch in batches:
             texts = []
             for url, source_, keys in zip(*(batch.column(k).to_pylist() for k in (1, 2, 3))):
-                page = Page(source_ or "")
                 known = small.value if small is not None else np.array(keys or [], np.int64)
+                page = Page(source_ or "", len(known) > 0)
                 template_ = set()
                 if len(known):
-                    which, own_keys = _keys(page, source_ or "", host_of(url))
+                    which, own_keys = _keys(page, host_of(url))
                     template_ = {k for k, hit in zip(which, np.isin(own_keys, known)) if hit}
                 texts.append(page.text(template_))
             yield pa.RecordBatch.from_arrays(

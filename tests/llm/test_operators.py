@@ -259,6 +259,41 @@ def test_pages(spark):
         assert all(got[10 + k] == f"story {k}" for k in range(6))
 
 
+PAGES = "page_id long, url string, html string"
+
+
+@pytest.mark.parametrize("limit", [htmltext.BROADCAST_HASHES, 0])
+def test_templates_are_those_of_many_different_pages(spark, limit):
+    """Against a plain count of subtrees by host; copies of a page count once."""
+    menu, box = "<div class='x'><p>Our office is open</p></div>", "<section><p>Call us <b>now</b></p></section>"
+    pages = [(k, f"http://h{k % 2}.example/{k}", f"<body>{menu if k % 3 else ''}<div><p>story {k}</p></div>{box if k < 4 else ''}</body>") for k in range(24)]
+    pages += [(100 + k, "http://h0.example/c", "<body><div><p>copied page</p></div></body>") for k in range(9)]
+    got = {r.page_id: r.text for r in htmltext.extract(spark.createDataFrame(pages, PAGES), limit).collect()}
+    for k, url, html in pages:
+        text = "copied page" if k >= 100 else f"story {k}" + ("\nCall us now" if k < 4 else "")
+        assert got[k] == text
+
+
+def test_class_words_inside_an_article():
+    """Words of a class drop an element of an article only if no word says otherwise."""
+    say = lambda body: htmltext.Page(f"<article><p>start</p>{body}</article>").text(set())
+    for kept in ('<p class="promo-code-history">a</p>', '<section id="related-work">a</section>', '<div class="social-policy">a</div>'):
+        assert say(kept) == "start\na"
+    for gone in ('<div class="share-buttons">a</div>', '<div id="comments">a</div>', '<section class="x related">a</section>', "<aside>a</aside>", "<form>a</form>"):
+        assert say(gone) == "start"
+
+
+@pytest.mark.parametrize(
+    "html", ["<a " * 350_000, "<div>x" * 150_000, "<b>" * 150_000 + "</i>" * 150_000, "<p><table>" + "<b>" * 100_000 + "<div></div>" * 50_000, "<!--" * 250_000, "<script>" * 120_000, "<a '\"" * 200_000 + ">"]
+)
+def test_a_megabyte_of_broken_markup(html):
+    import time
+
+    began = time.process_time()
+    htmltext.Page(html).text(set())
+    assert time.process_time() - began < 30
+
+
 def test_licences(spark):
     mit = (
         "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and\nassociated files. "
