@@ -45,13 +45,13 @@ from pyspark import Broadcast, TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .session import shuffle_width, written
+from .session import discard, shuffle_width, written
 from .words import U, distinct, mix, word_hashes
 
 END, START = U(0x0E0D5EED0E0D5EED), U(0x57A7757A7757A775)
 BLOCK_TOKENS = 1 << 21
 BUCKET_TOKENS = 1 << 21
-CODED = 65_000  # words that travel as 16-bit numbers; the others as hashes
+CODED = 1 << 19  # words that travel as their rank; the others as 48 bits of their hash
 HOT, HOT_SHARE = 1 << 20, 1 << 20
 #: Discounts and strengths of pairs, single words and the root.
 DISCOUNTS, STRENGTHS = (0.85, 0.75, 0.65), (1.0, 1.0, 1.0)
@@ -65,7 +65,7 @@ class Chain(NamedTuple):
     early: int = 2
     root: int = 3
     burn_in: int = 2
-    samples: int = 4
+    samples: int = 3
 
 
 _BLOCK = "block long, doc_ids array<long>, held binary, n_tokens binary, words binary, ids binary, n_train long"
@@ -96,6 +96,11 @@ def text_blocks(docs: DataFrame, block_tokens: int = BLOCK_TOKENS) -> DataFrame:
         inner[np.cumsum(n) - 1] = False
         tokens[inner] = hashes
         words, _, ids = distinct(tokens)
+        # Common words get small numbers, which compress better.
+        common = np.argsort(-np.bincount(ids), kind="stable")
+        place = np.empty(len(words), np.int64)
+        place[common] = np.arange(len(words))
+        words, ids = words[common], place[ids]
         cols = [
             pa.array([name]), pa.array([doc_ids], pa.list_(pa.int64())),
             *(pa.array([_packed(x)], pa.binary()) for x in (held, n.astype(np.int64), words, ids.astype(np.uint32))),
@@ -132,12 +137,14 @@ class Words(NamedTuple):
 
     ``hot``: hashes of middle words that are dealt to several buckets, start and end
     among them, with ``hot_counts``; ``coded``: hashes of at most ``CODED`` commonest
-    words, ``shares``: their share of the tokens; both sorted by hash.
+    words sorted by hash, ``ranks`` and ``shares``: their places by frequency and their
+    shares of the tokens.
     """
 
     hot: np.ndarray
     hot_counts: np.ndarray
     coded: np.ndarray
+    ranks: np.ndarray
     shares: np.ndarray
     n_train: int
     known: int
@@ -168,15 +175,19 @@ def training_words(blocks: DataFrame, coded: int = CODED, hot: int | None = None
     )
     size = counts.agg(F.sum("n").alias("n"), F.count("*").alias("v")).first()
     n_train, known = int(size.n or 0), int(size.v)
-    top = counts.orderBy(F.desc("n"), "w").limit(coded).collect()
+    top = counts.orderBy(F.desc("n"), "w").limit(coded).toArrow()
     many = max(HOT, n_train // HOT_SHARE) if hot is None else hot
     marks = [int(x.view(np.int64)) for x in (START, END)]
     over = counts.filter((F.col("n") > many) | F.col("w").isin(marks)).collect()
     found = {x: 0 for x in marks} | {r.w: r.n for r in over}
+    discard(counts)
     hot = sorted(found, key=lambda x: x & (2**64 - 1))
-    top.sort(key=lambda r: r.w & (2**64 - 1))
-    w, n = np.array([r.w for r in top], np.int64).view(U), np.array([r.n for r in top], np.int64)
-    return Words(np.array(hot, np.int64).view(U), np.array([found[x] for x in hot], np.int64), w, n / max(n_train, 1), n_train, known)
+    w, n = top["w"].to_numpy().view(U), top["n"].to_numpy()
+    ranks = np.lexsort((w, -n)).argsort()
+    order = np.argsort(w)
+    return Words(
+        np.array(hot, np.int64).view(U), np.array([found[x] for x in hot], np.int64), w[order], ranks[order].astype(np.uint32), n[order] / max(n_train, 1), n_train, known
+    )
 
 
 def block_triples(row: dict, words: np.ndarray) -> tuple[np.ndarray, ...]:
@@ -192,30 +203,28 @@ def block_triples(row: dict, words: np.ndarray) -> tuple[np.ndarray, ...]:
     middle[1:], far[2:] = ids[:-1], ids[:-2]
     middle[begin] = far[begin] = width - 1
     far[begin[n > 1] + 1] = width - 1
-    # A product with an odd number keeps different triples apart (width is at most 2^21).
-    _, first, of = distinct(((middle * width + far) * width + ids).view(U) * U(0x9E3779B97F4A7C15))
+    if width <= 1 << 21:  # three numbers in 63 bits; a product with an odd number keeps them apart
+        key = ((middle * width + far) * width + ids).view(U) * U(0x9E3779B97F4A7C15)
+    else:  # a very long text: by 64-bit hashes
+        key = mix(mix((middle * width + far).view(U)) + ids.view(U))
+    _, first, of = distinct(key)
     train = np.bincount(of[np.repeat(~held, n)], minlength=len(first))
     return middle[first], far[first], ids[first], train, of
 
 
-def _bucket_of(middle: np.ndarray, far: np.ndarray, hot: np.ndarray, n_buckets: int) -> np.ndarray:
-    at = np.minimum(np.searchsorted(hot, middle), len(hot) - 1)
-    key = np.where(hot[at] == middle, mix(middle ^ mix(far)), middle)
-    return ((key >> U(16)) % U(n_buckets)).astype(np.int64)
-
-
-def _codes(words: np.ndarray, coded: np.ndarray) -> np.ndarray:
-    """16-bit numbers of words, 65535 for those that have none."""
-    if not len(coded):
-        return np.full(len(words), 65535, np.uint16)
-    at = np.minimum(np.searchsorted(coded, words), len(coded) - 1)
-    return np.where(coded[at] == words, at, 65535).astype(np.uint16)
+def _codes(words: np.ndarray, known: Words) -> np.ndarray:
+    """Ranks of words, one beyond the last for those that have none."""
+    if not len(known.coded):
+        return np.zeros(len(words), np.uint32)
+    at = np.minimum(np.searchsorted(known.coded, words), len(known.coded) - 1)
+    return np.where(known.coded[at] == words, known.ranks[at], len(known.coded)).astype(np.uint32)
 
 
-def _decoded(codes: np.ndarray, rest: np.ndarray, coded: np.ndarray) -> np.ndarray:
-    out = np.empty(len(codes), U)
-    found = codes != 65535
-    out[found], out[~found] = coded[codes[found]], rest
+def _decoded(codes: np.ndarray, rest: np.ndarray, known: Words) -> np.ndarray:
+    by_rank = np.zeros(len(known.coded) + 1, U)
+    by_rank[known.ranks] = known.coded
+    out = by_rank[codes]
+    out[codes == len(known.coded)] = rest
     return out
 
 
@@ -223,8 +232,17 @@ def _order(row: dict, words: np.ndarray, known: Words, n_buckets: int):
     """A block's triples in the order of its requests: by bucket, then by middle word."""
     middle, far, word, train, of = block_triples(row, words)
     names = np.r_[words, START]
-    bucket = _bucket_of(names[middle], names[far], known.hot, n_buckets)
-    order = np.argsort(bucket * len(names) + middle, kind="stable")
+    hot = known.hot[np.minimum(np.searchsorted(known.hot, names), len(known.hot) - 1)] == names
+    cold_bucket = ((names >> U(16)) % U(n_buckets)).astype(np.int64)
+    bucket = cold_bucket[middle]
+    dealt = np.flatnonzero(hot[middle])
+    bucket[dealt] = (mix(names[middle[dealt]] + mix(names)[far[dealt]]) >> U(16)) % U(n_buckets)
+    low, high = (max(n - 1, 1).bit_length() for n in (len(middle), len(names)))
+    if low + high + n_buckets.bit_length() <= 64:  # bucket, middle word and place sorted as one number
+        packed = np.sort((bucket.astype(U) << U(high) | middle.astype(U)) << U(low) | np.arange(len(middle), dtype=U))
+        order = (packed & U((1 << low) - 1)).astype(np.int64)
+    else:
+        order = np.lexsort((middle, bucket))
     return middle, far, word, train, of, names, bucket, order
 
 
@@ -239,7 +257,7 @@ def requests(blocks: DataFrame, shared: Broadcast, n_buckets: int) -> DataFrame:
         for batch in batches:
             for row in batch.to_pylist():
                 middle, far, word, train, _, names, bucket, order = _order(row, _unpacked(row["words"], U), known, n_buckets)
-                b_sorted, m_sorted, codes = bucket[order], middle[order], _codes(names, known.coded)
+                b_sorted, m_sorted, codes = bucket[order], middle[order], _codes(names, known)
                 cuts = np.flatnonzero(np.r_[True, b_sorted[1:] != b_sorted[:-1]])
                 out = []
                 for a, z in zip(cuts, [*cuts[1:], len(order)]):
@@ -247,7 +265,7 @@ def requests(blocks: DataFrame, shared: Broadcast, n_buckets: int) -> DataFrame:
                     both = np.r_[far[order[a:z]], word[order[a:z]]]
                     sent = codes[both]
                     out.append((row["block"], int(b_sorted[a]), _packed(names[m_sorted[first]]), _packed(np.diff(np.r_[first, z]).astype(np.uint32)),
-                                _packed(sent), _packed(names[both[sent == 65535]]), _packed(train[order[a:z]].astype(np.uint32))))
+                                _packed(sent), _packed(names[both[sent == len(known.coded)]] & U((1 << 48) - 1)), _packed(train[order[a:z]].astype(np.uint32))))
                 cols = list(zip(*out))
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[2:]),
@@ -370,9 +388,9 @@ class Bucket:
     def __init__(self, middle: np.ndarray, far: np.ndarray, word: np.ndarray, train: np.ndarray, known: Words):
         self.known = known
         # Pairs, dishes of parents and triples are compared by 64-bit hashes.
-        far_name = mix(middle ^ mix(far ^ U(0xA5A5A5A5)))
-        dish_name = mix(middle ^ mix(word ^ U(0x5A5A5A5A)))
-        self.key, first, self.asked = distinct(mix(far_name + dish_name * U(0x9E3779B97F4A7C15)))
+        far_name = mix(middle + far * U(0xD6E8FEB86659FD93))
+        dish_name = mix(middle + word * U(0xA0761D6478BD642F))
+        self.key, first, self.asked = distinct(far_name + dish_name * U(0x9E3779B97F4A7C15))
         self.c = np.bincount(self.asked, weights=train, minlength=len(first)).astype(np.int64)
         pair_names, _, self.pair = distinct(far_name[first])
         self.dish_names, at, self.dish = distinct(dish_name[first])
@@ -488,7 +506,7 @@ def _buckets(batches, known: Words) -> Iterator[tuple[int, list[tuple[int, int,
         triples, asked = [], []
         for r in rows:
             mine, n, train = _unpacked(r["middle"], U), _unpacked(r["n_triples"], np.uint32), _unpacked(r["train"], np.uint32)
-            both = _decoded(_unpacked(r["codes"], np.uint16), _unpacked(r["rest"], U), known.coded)
+            both = _decoded(_unpacked(r["codes"], np.uint32), _unpacked(r["rest"], U), known)
             triples.append((np.repeat(mine, n), both[: len(train)], both[len(train) :], train))
             asked.append((r["block"], mine, len(train)))
         yield bucket, asked, Bucket(*map(np.concatenate, zip(*triples)), known), said
@@ -707,7 +725,7 @@ def score(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, coded: int = CODED,
     n_buckets = max(shuffle_width(spark), known.n_train // BUCKET_TOKENS)
 
     def dealt(df: DataFrame, key: str) -> DataFrame:
-        return df.repartition(n_buckets, key).sortWithinPartitions(key)
+        return df.repartitionById(n_buckets, key).sortWithinPartitions(key)
 
     asked = requests(blocks, shared, n_buckets)
     told = written(dealt(_told(dealt(asked, "bucket"), shared, n_buckets), "part"), "lm-root")
@@ -716,6 +734,7 @@ def score(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, coded: int = CODED,
         trace.append(_root_totals(told, shared, trace))
     root = _root_answers(told, shared, trace)
     answers = written(_answers(dealt(asked.unionByName(root, allowMissingColumns=True), "bucket"), shared, n_buckets), "lm-answers")
+    discard(told)
     both = blocks.drop("n_train").unionByName(answers, allowMissingColumns=True)
 
     def run(batches):
