@@ -45,7 +45,7 @@ from pyspark import Broadcast, TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .session import discard, shuffle_width, written
+from .session import discard, free, shuffle_width, written
 from .words import U, distinct, mix, word_hashes
 
 END, START = U(0x0E0D5EED0E0D5EED), U(0x57A7757A7757A775)
@@ -246,7 +246,7 @@ def _order(row: dict, words: np.ndarray, known: Words, n_buckets: int):
     return middle, far, word, train, of, names, bucket, order
 
 
-_ASKED = "block long, bucket int, middle binary, n_triples binary, codes binary, rest binary, train binary, answer binary"
+_ASKED = "block long, bucket int, middle binary, middle_rest binary, n_triples binary, codes binary, rest binary, train binary, answer binary"
 
 
 def requests(blocks: DataFrame, shared: Broadcast, n_buckets: int) -> DataFrame:
@@ -264,7 +264,8 @@ def requests(blocks: DataFrame, shared: Broadcast, n_buckets: int) -> DataFrame:
                     first = a + np.flatnonzero(np.r_[True, np.diff(m_sorted[a:z]) != 0])
                     both = np.r_[far[order[a:z]], word[order[a:z]]]
                     sent = codes[both]
-                    out.append((row["block"], int(b_sorted[a]), _packed(names[m_sorted[first]]), _packed(np.diff(np.r_[first, z]).astype(np.uint32)),
+                    mine = codes[m_sorted[first]]
+                    out.append((row["block"], int(b_sorted[a]), _packed(mine), _packed(names[m_sorted[first[mine == len(known.coded)]]]), _packed(np.diff(np.r_[first, z]).astype(np.uint32)),
                                 _packed(sent), _packed(names[both[sent == len(known.coded)]] & U((1 << 48) - 1)), _packed(train[order[a:z]].astype(np.uint32))))
                 cols = list(zip(*out))
                 yield pa.RecordBatch.from_arrays(
@@ -505,7 +506,8 @@ def _buckets(batches, known: Words) -> Iterator[tuple[int, list[tuple[int, int,
             return
         triples, asked = [], []
         for r in rows:
-            mine, n, train = _unpacked(r["middle"], U), _unpacked(r["n_triples"], np.uint32), _unpacked(r["train"], np.uint32)
+            mine = _decoded(_unpacked(r["middle"], np.uint32), _unpacked(r["middle_rest"], U), known)
+            n, train = _unpacked(r["n_triples"], np.uint32), _unpacked(r["train"], np.uint32)
             both = _decoded(_unpacked(r["codes"], np.uint32), _unpacked(r["rest"], U), known)
             triples.append((np.repeat(mine, n), both[: len(train)], both[len(train) :], train))
             asked.append((r["block"], mine, len(train)))
@@ -525,7 +527,7 @@ def _buckets(batches, known: Words) -> Iterator[tuple[int, list[tuple[int, int,
 
 # ---- the root ----
 
-_TOLD = "bucket int, part int, hot binary, word binary, n binary"
+_TOLD = "bucket int, part int, hot binary, codes binary, rest binary, n binary"
 
 
 def _told(asked: DataFrame, shared: Broadcast, n_buckets: int) -> DataFrame:
@@ -535,6 +537,7 @@ def _told(asked: DataFrame, shared: Broadcast, n_buckets: int) -> DataFrame:
         for bucket, _, rooms, _ in _buckets(batches, shared.value):
             rooms.early()
             hot, word, n, _ = rooms.sent()
+            codes = _codes(word, shared.value)
             part = ((word >> U(16)) % U(n_buckets)).astype(np.int32)
             order = np.argsort(part, kind="stable")
             cuts = np.flatnonzero(np.r_[True, np.diff(part[order]) != 0])
@@ -542,7 +545,7 @@ def _told(asked: DataFrame, shared: Broadcast, n_buckets: int) -> DataFrame:
                 mine = order[a:z]
                 yield pa.RecordBatch.from_arrays(
                     [pa.array([bucket], pa.int32()), pa.array([part[mine[0]]], pa.int32()),
-                     *(pa.array([_packed(x[mine])], pa.binary()) for x in (hot, word, n))],
+                     *(pa.array([_packed(x)], pa.binary()) for x in (hot[mine], codes[mine], word[mine[codes[mine] == len(shared.value.coded)]], n[mine]))],
                     [f.split()[0] for f in _TOLD.split(", ")],
                 )
 
@@ -604,7 +607,8 @@ class Root:
 def _parts(batches, known: Words) -> Iterator[tuple[int, list[tuple[int, int]], Root]]:
     def finish(part: int, rows: list[dict]):
         rows.sort(key=lambda r: r["bucket"])
-        cols = [[_unpacked(r[k], t) for r in rows] for k, t in (("hot", U), ("word", U), ("n", np.int64))]
+        cols = [[_unpacked(r["hot"], U) for r in rows], [_decoded(_unpacked(r["codes"], np.uint32), _unpacked(r["rest"], U), known) for r in rows]]
+        cols.append([_unpacked(r["n"], np.int64) for r in rows])
         return part, [(r["bucket"], len(x)) for r, x in zip(rows, cols[2])], Root(*map(np.concatenate, cols), known)
 
     rows, mine = [], None
@@ -732,6 +736,7 @@ def score(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, coded: int = CODED,
     trace = [_root_totals(told, shared, [])]
     for _ in range(chain.root):
         trace.append(_root_totals(told, shared, trace))
+        free(spark)
     root = _root_answers(told, shared, trace)
     answers = written(_answers(dealt(asked.unionByName(root, allowMissingColumns=True), "bucket"), shared, n_buckets), "lm-answers")
     discard(told)

@@ -5,6 +5,7 @@ from __future__ import annotations
 import contextlib
 import gc
 import tempfile
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -61,8 +62,11 @@ def small_batches(spark: SparkSession, size: str = "8m"):
 
 
 def free(spark: SparkSession) -> None:
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    """Collects garbage here and in the driver's JVM, so that shuffle files of finished jobs go."""
+    for _ in range(2):  # what is let go here reaches the JVM a moment later
+        gc.collect()
+        time.sleep(0.2)
+        spark.sparkContext._jvm.System.gc()
 
 
 def shuffle_width(spark: SparkSession) -> int:
