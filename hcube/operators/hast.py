@@ -1,8 +1,8 @@
 """The hierarchy-aligned summed tree in its logical form: one row per nonempty node.
 
-All depths come from the facts by one shuffle: cells are dealt by their depth-1 members,
-and as every deeper grouping key contains those, each further depth is an aggregate of
-the one below it where it lies.
+Cells are one aggregate of the facts; each further depth is an aggregate of the one below
+it, added up before its shuffle and dealt by its own keys, so the tasks that are busy
+follow the number of nodes of a depth and not the number of the topmost members.
 """
 
 from __future__ import annotations
@@ -35,11 +35,22 @@ class Tree:
     def leaf(self) -> dict[str, DataFrame]:
         return {d.name: hierarchy.leaves(self.facts, d) for d in self.cube.dims}
 
+    @cached_property
+    def _tables(self) -> dict[tuple[str, str], DataFrame]:
+        return {}
+
+    def _once(self, kind: str, dim: str, make) -> DataFrame:
+        """Tables that every batch of queries needs are written once where nodes are."""
+        if (kind, dim) not in self._tables:
+            made = make(self.leaf[dim], self._dim(dim))
+            self._tables[kind, dim] = materialise(made, f"{kind}-{dim}") if self.stored else made
+        return self._tables[kind, dim]
+
     def members(self, dim: str) -> DataFrame:
-        return hierarchy.members(self.leaf[dim], self._dim(dim))
+        return self._once("members", dim, hierarchy.members)
 
     def vocabulary(self, dim: str) -> DataFrame:
-        return hierarchy.vocabulary(self.leaf[dim], self._dim(dim))
+        return self._once("vocabulary", dim, hierarchy.vocabulary)
 
     def _dim(self, name: str):
         return next(d for d in self.cube.dims if d.name == name)
@@ -111,8 +122,7 @@ def build_hast(cell_table: DataFrame, cube: Cube, keep=None) -> dict[int, DataFr
     keep = keep or (lambda df, k: df)
     h = cube.height
     names = _aggregate_names(cube)
-    now = cell_table.repartition(*ids(cube, 1))
-    now = keep(now.select(*ids(cube, h), *[f"p_{k}" for k in range(1, h + 1)], *names), h)
+    now = keep(cell_table.select(*ids(cube, h), *[f"p_{k}" for k in range(1, h + 1)], *names), h)
     out = {h: now}
     for k in range(h - 1, 0, -1):
         now = keep(now.groupBy(*ids(cube, k), *[f"p_{j}" for j in range(1, k + 1)]).agg(*merged(cube)), k)

@@ -1,8 +1,11 @@
 """Compact form: occupancy bits, block limits and coded values, in shards of subtrees.
 
 A shard is the subtree below one node of the cut depth, its sequences in level order from its own
-root; what lies above the cut is a crown of a few rows that stays relational.  Only whole
-shards cross into Python.
+root, beside the degree sequences of the hierarchies below that node's members; what lies
+above the cut is a crown of a few rows that stays relational.  The cut is the shallowest
+depth whose largest subtree holds at most ``CELLS`` cells (``choose_cut``), so one node
+may be a whole small cube and no node of a large one is more than a task's work.  Only
+whole shards cross into Python.
 """
 
 from __future__ import annotations
@@ -12,11 +15,11 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.bits import BitVec, Dac, dac_best_width, unzigzag, zigzag
+from ..functions.louds import LevelOrder
 from .hast import Tree
 
 
@@ -97,32 +100,62 @@ class Sequences:
             frontier = nxt
         return total, visited
 
-    def walk_batch(self, owner: np.ndarray, first: np.ndarray, size: np.ndarray, slots: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Sums and visits of many walks at once, one step of all of them at a time.
+    def descend(self, hierarchies: list[LevelOrder], depth: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Sums, values summed and nodes met of many label queries at once, one depth of all of them at a time.
 
-        Walk q takes steps ``owner[q]..owner[q + 1] - 1``; step s follows each of
-        ``slots[first[s] : first[s] + size[s]]``.  Without steps it is the root's value.
+        Row q has by dimension the depth of its label below this root and the member's id
+        there.  Each label's path is walked up its hierarchy's bits; then all queries go
+        down together, in a dimension to the one child towards its label, below a reached
+        label to all children, and end where a slot's bit is 0.  Counted are nodes that are
+        not empty (at the last depth, whose bits aren't kept, those whose value isn't 0).
         """
-        n = len(owner) - 1
-        length = np.diff(owner)
-        total, visited = np.zeros(n, np.int64), np.ones(n, np.int64)
-        total[length == 0] = unzigzag(self.v.get_many(np.zeros(1, np.int64)))[0]
-        q = np.flatnonzero(length > 0)
-        start, k = np.zeros(len(q), np.int64), 0
-        while len(q):
-            step = owner[q] + k
-            many = size[step]
-            at = np.repeat(first[step] - np.cumsum(many) + many, many) + np.arange(many.sum())
-            q, at = np.repeat(q, many), np.repeat(start, many) + slots[at]
-            visited += np.bincount(q, minlength=n)
-            k += 1
-            last = length[q] == k
-            np.add.at(total, q[last], unzigzag(self.v.get_many(at[last] + 1)))
-            q, at = q[~last], at[~last]
-            full = at < len(self.ta)
+        n, count = len(hierarchies), len(depth)
+        total, summed, visited = np.zeros(count, np.int64), np.zeros(count, np.int64), np.ones(count, np.int64)
+        deepest = depth.max(axis=1) if count else np.zeros(0, np.int64)
+        paths = [x.paths(depth[:, i], ids[:, i]) for i, x in enumerate(hierarchies)]
+        at_root = deepest == 0
+        total[at_root] = unzigzag(self.v.get_many(np.zeros(1, np.int64)))[0]
+        summed[at_root] = 1
+        q = np.flatnonzero(~at_root)
+        start, member = np.zeros(len(q), np.int64), [np.zeros(len(q), np.int64)] * n
+        for k in range(1, int(deepest.max(initial=0)) + 1):
+            low, many, fans = [], [], []
+            every = np.ones(len(q), np.int64)
+            for i, x in enumerate(hierarchies):
+                fan, on_path = x.fan[member[i]], depth[q, i] >= k
+                low.append(np.where(on_path, paths[i][q, min(k, paths[i].shape[1]) - 1], 0))
+                many.append(np.where(on_path, 1, fan))
+                fans.append(fan)
+                every = every * many[i]
+            if (every == 1).all():
+                row, rest = slice(None), None
+            else:
+                row = np.repeat(np.arange(len(q)), every)
+                rest = np.arange(len(row)) - np.repeat(np.cumsum(every) - every, every)
+            at, radix, nxt = start[row].copy(), 1, []
+            for i, x in enumerate(hierarchies):
+                child = low[i][row]
+                if rest is not None:
+                    mine = many[i][row]
+                    child = child + rest % mine
+                    rest = rest // mine
+                at += radix * child
+                radix = radix * fans[i][row]
+                nxt.append(x.first[member[i][row]] + child)
+            q = q[row]
+            last = deepest[q] == k
+            if last.any():
+                value = unzigzag(self.v.get_many(at[last] + 1))
+                np.add.at(total, q[last], value)
+                found = np.bincount(q[last][value != 0], minlength=count)
+                summed += found
+                visited += found
+            full = ~last & (at < len(self.ta))
             full[full] = self.ta.get_many(at[full])
-            q, start = q[full], self.tc.select0_many(self.ta.rank1_many(at[full])) + 1
-        return total, visited
+            q, member = q[full], [x[full] for x in nxt]
+            visited += np.bincount(q, minlength=count)
+            start = self.tc.select0_many(self.ta.rank1_many(at[full])) + 1
+        return total, summed, visited
 
     def size_bits(self) -> dict[str, int]:
         return {"occupancy": len(self.ta), "limits": len(self.tc), "values": self.v.size_bits()}
@@ -153,28 +186,67 @@ def _fans(t: Tree, k: int) -> DataFrame:
     return rows.select(*paths, fan.alias("fan"))
 
 
-CUT = 1
+CELLS = 1 << 21
+ASKED = 1 << 16
 
 
 def _cut_keys(cut: int) -> list[str]:
-    return [f"p_{j}" for j in range(1, cut + 1)]
+    """Names of a shard's key; a cut at the root has one shard, key 0."""
+    return [f"p_{j}" for j in range(1, cut + 1)] or ["p_0"]
+
+
+def _keyed(rows: DataFrame, cut: int) -> DataFrame:
+    return rows if cut else rows.withColumn("p_0", F.lit(0).cast("long"))
+
+
+def shard_sizes(t: Tree, cut: int) -> DataFrame:
+    """Cells below each node of depth ``cut``: what a shard of that cut would hold."""
+    return _keyed(t.nodes[t.cube.height], cut).groupBy(*_cut_keys(cut)).agg(F.count("*").alias("cells"))
+
+
+def choose_cut(t: Tree, most: int = CELLS) -> int:
+    """The shallowest depth whose largest subtree holds at most ``most`` cells."""
+    for cut in range(t.cube.height):
+        if (shard_sizes(t, cut).agg(F.max("cells")).first()[0] or 0) <= most:
+            return cut
+    return t.cube.height
 
 
-def pack(t: Tree, measure: str, cut: int = CUT) -> DataFrame:
-    """One row per node of depth ``cut``: its subtree's sequences.
+def hierarchies_below(t: Tree, dim, cut: int) -> DataFrame:
+    """``(id, louds, n_louds, lows)`` of each member of depth ``cut``: its subtree's degrees in level order.
 
-    A shard is one task's work and one row, so the cut is chosen by what the largest
-    subtree holds: deeper where a depth-1 member owns much of the cube (``shard_sizes``).
+    ``lows[k]``: the first of its descendants' ids at depth ``cut + k``, which lie together.
     """
+    h, leaf = t.cube.height, t.leaf[dim.name]
+    top = F.col(f"id_{cut}") if cut else F.lit(0).cast("long")
+    parts = []
+    for k in range(cut, h + 1):
+        mine = F.col(f"id_{k}") if k else F.lit(0).cast("long")
+        fan = F.col(f"fan_{k + 1}") if k < h else F.lit(0)
+        parts.append(leaf.select(top.alias("id"), F.lit(k).alias("depth"), mine.alias("member"), fan.cast("long").alias("fan")).distinct())
+
+    def one(table: pa.Table) -> pa.Table:
+        depth, member, fan = (table[c].to_numpy() for c in ("depth", "member", "fan"))
+        fan = fan[np.lexsort((member, depth))]
+        bits = np.ones(int(fan.sum()) + len(fan), np.uint8)
+        bits[np.cumsum(fan + 1) - 1] = 0
+        lows = [int(member[depth == k].min()) for k in range(cut, h + 1)]
+        return pa.table({"id": table["id"][:1], "louds": [BitVec(bits).to_bytes()], "n_louds": [len(bits)], "lows": pa.array([lows], pa.list_(pa.int64()))})
+
+    return reduce(DataFrame.unionByName, parts).groupBy("id").applyInArrow(one, "id long, louds binary, n_louds long, lows array<long>")
+
+
+def pack(t: Tree, measure: str, cut: int) -> DataFrame:
+    """One row per node of depth ``cut``: its subtree's sequences, and its members' hierarchies below it."""
     h, keys = t.cube.height, _cut_keys(cut)
-    if not 1 <= cut <= h:
-        raise ValueError("the cut is a depth from 1 to the height")
+    if not 0 <= cut <= h:
+        raise ValueError("the cut is a depth from 0 to the height")
     parts = []
     for k in range(cut, h + 1):
         path = lambda upto: F.array(*[F.col(f"p_{j}") for j in range(cut + 1, upto + 1)]).cast("array<long>")
-        parts.append(t.nodes[k].select(*keys, F.lit(k).alias("depth"), F.lit(False).alias("is_fan"), path(k).alias("path"), F.col(measure).cast("long").alias("n")))
+        parts.append(_keyed(t.nodes[k], cut).select(*keys, F.lit(k).alias("depth"), F.lit(False).alias("is_fan"), path(k).alias("path"), F.col(measure).cast("long").alias("n")))
         if k > cut:
-            parts.append(_fans(t, k).select(*keys, F.lit(k).alias("depth"), F.lit(True).alias("is_fan"), path(k - 1).alias("path"), F.col("fan").alias("n")))
+            parts.append(_keyed(_fans(t, k), cut).select(*keys, F.lit(k).alias("depth"), F.lit(True).alias("is_fan"), path(k - 1).alias("path"), F.col("fan").alias("n")))
     rows = reduce(DataFrame.unionByName, parts)
 
     def one(table: pa.Table) -> pa.Table:
@@ -186,7 +258,7 @@ def pack(t: Tree, measure: str, cut: int = CUT) -> DataFrame:
             return mine["path"].combine_chunks().flatten().to_numpy().reshape(len(n), k - cut - fan), n
 
         root = int(table.filter(pa.array((depth == cut) & ~is_fan))["n"][0].as_py())
-        below = range(cut + 1, h + 1)
+        below = range(cut + 1, h + 1) if (depth > cut).any() else ()
         s = Sequences.build(root, [part(k, False) for k in below], [part(k, True) for k in below])
         return pa.table({
             **{c: table[c][:1] for c in keys}, "root": [root], "ta": [s.ta.to_bytes()], "n_ta": [len(s.ta)], "tc": [s.tc.to_bytes()], "n_tc": [len(s.tc)],
@@ -194,81 +266,74 @@ def pack(t: Tree, measure: str, cut: int = CUT) -> DataFrame:
         })
 
     shard = ", ".join(f"{c} long" for c in keys) + ", root long, ta binary, n_ta long, tc binary, n_tc long, v binary, width int, bits long"
-    return rows.groupBy(*keys).applyInArrow(one, shard)
-
-
-def shard_sizes(t: Tree, cut: int) -> DataFrame:
-    """Cells below each node of depth ``cut``: what a shard of that cut would hold."""
-    return t.nodes[t.cube.height].groupBy(*_cut_keys(cut)).agg(F.count("*").alias("cells"))
+    out = rows.groupBy(*keys).applyInArrow(one, shard)
+    named = _keyed(t.nodes[cut], cut).select(*keys, *[(F.col(f"{d.name}_id_{cut}") if cut else F.lit(0).cast("long")).alias(f"{d.name}_id") for d in t.cube.dims])
+    for d in t.cube.dims:
+        below = hierarchies_below(t, d, cut).select(F.col("id").alias(f"{d.name}_id"), F.struct("louds", "n_louds", "lows").alias(f"{d.name}_below"))
+        named = named.join(below, f"{d.name}_id")
+    return out.join(named.drop(*[f"{d.name}_id" for d in t.cube.dims]), keys)
 
 
 def unpack(row: dict) -> Sequences:
     return Sequences(BitVec.from_bytes(row["ta"], row["n_ta"]), BitVec.from_bytes(row["tc"], row["n_tc"]), Dac.from_bytes(row["v"]), 0)
 
 
-def walk(shards: DataFrame, paths: DataFrame, cut: int = CUT) -> DataFrame:
-    """``paths(qid, p_1.., steps array<array<long>>)``: sums below the shards, ``(qid, total, n_visited, nanos)``.
+def label_rows(t: Tree, resolved: DataFrame, cut: int) -> DataFrame:
+    """``(qid, key.., <dim>_at, <dim>_member)``: the shards that each query's labels meet, from the crown.
 
-    Each step lists the slots to follow; queries go to their shard by its key, and all
-    of a shard's walk together.  A query that spans several shards has a row for each;
-    ``nanos`` is the time spent in the walks.
+    ``at``: the label's depth below the shard's root, ``member`` its id there.  Labels above
+    the cut meet all nodes of the cut below them; there are at most (cut + 1)^n tuples of such depths.
     """
-    keys = _cut_keys(cut)
-
-    def run(asked: pa.Table, shard: pa.Table) -> pa.Table:
-        qid = asked["qid"]
-        if not shard.num_rows or not asked.num_rows:
-            return pa.table({"qid": qid, "total": np.zeros(asked.num_rows, np.int64), "n_visited": np.ones(asked.num_rows, np.int64), "nanos": np.zeros(asked.num_rows, np.int64)})
-        steps = asked["steps"].combine_chunks()
-        slots = steps.flatten()
-        offsets = lambda x: np.r_[0, np.cumsum(pc.list_value_length(x).to_numpy(zero_copy_only=False))].astype(np.int64)
-        inner = offsets(slots)
-        seq, follow = unpack(shard.to_pylist()[0]), slots.flatten().to_numpy(zero_copy_only=False).astype(np.int64)
-        began, took = time.perf_counter_ns(), np.zeros(asked.num_rows, np.int64)
-        total, visited = seq.walk_batch(offsets(steps), inner[:-1], np.diff(inner), follow)
-        took[0] = time.perf_counter_ns() - began
-        return pa.table({"qid": qid, "total": total, "n_visited": visited, "nanos": took})
-
-    met = paths.groupBy(*keys).cogroup(shards.groupBy(*keys)).applyInArrow(run, "qid long, total long, n_visited long, nanos long")
-    return met.groupBy("qid").agg(F.sum("total").alias("total"), F.sum("n_visited").alias("n_visited"), F.sum("nanos").alias("nanos"))
-
-
-def _shard_rows(rows: DataFrame, t: Tree, deepest: int, cut: int) -> DataFrame:
-    from .hast import slot
-
-    slots = [slot(t.cube, k) for k in range(1, deepest + 1)]
-    steps = F.array(*[F.array(x) for x in slots[cut:]]).cast("array<array<long>>")
-    return rows.select("qid", *[x.alias(c) for x, c in zip(slots, _cut_keys(cut))], steps.alias("steps"))
-
+    from ..plans.planner import tuples
 
-def uniform_paths(t: Tree, resolved: DataFrame, depth: int, cut: int = CUT) -> DataFrame:
-    """Shard rows of queries whose labels all stand at ``depth`` (at least the cut): one slot a step."""
-    out, dims = resolved.filter("status = 'ok'"), t.cube.dims
+    dims, keys, h = t.cube.dims, _cut_keys(cut), t.cube.height
+    ok = resolved.filter("status = 'ok'")
     for d in dims:
-        cols = [F.col(f"{x}_{k}").alias(f"{d.name}_{x}_{k}") for k in range(1, depth + 1) for x in ("ord", "fan")]
-        step = t.leaf[d.name].select(F.col(f"id_{depth}").alias(f"{d.name}_id_{depth}"), *cols).distinct()
-        out = out.join(step, f"{d.name}_id_{depth}")
-    return _shard_rows(out, t, depth, cut)
+        member = F.element_at(F.array(F.lit(0).cast("long"), *[F.col(f"{d.name}_id_{k}") for k in range(1, h + 1)]), F.col(f"{d.name}_depth").cast("int") + 1)
+        ok = ok.withColumns({f"{d.name}_at": F.greatest(F.col(f"{d.name}_depth") - cut, F.lit(0)).cast("long"), f"{d.name}_member": member})
+    out = [c for d in dims for c in (f"{d.name}_at", f"{d.name}_member")]
+    if not cut:
+        return _keyed(ok, 0).select("qid", *keys, *out)
+    parts = []
+    for above in sorted({tuple(min(k, cut) for k in depths) for depths in tuples(t, resolved)}):
+        mine = ok
+        for d, k in zip(dims, above):
+            mine = mine.filter(F.least(f"{d.name}_depth", F.lit(cut)) == k)
+        on = [f"{d.name}_id_{k}" for d, k in zip(dims, above) if k]
+        crown = t.nodes[cut].select(*keys, *on)
+        mine = mine.select("qid", *on, *out)
+        parts.append((mine.join(crown, on) if on else mine.crossJoin(crown)).select("qid", *keys, *out))
+    return reduce(DataFrame.unionByName, parts)
 
 
-def mixed_paths(t: Tree, resolved: DataFrame, cut: int = CUT) -> DataFrame:
-    """Shard rows of any label queries: below a reached label all children, listed per member path.
+def descend(t: Tree, shards: DataFrame, resolved: DataFrame, cut: int, asked: int = ASKED) -> DataFrame:
+    """Label queries answered on the bits of their shards: ``(qid, total, n_summed, n_visited, nanos)``.
 
-    The member tuples of the deepest depth, or of the cut where that is deeper, are
-    listed and turned to slot paths; each is one row.
+    All queries of a shard go down together, at most about ``asked`` in one task; a query
+    that spans several shards has a part in each.  ``nanos`` is the time from labels' ids
+    to sums inside the tasks.
     """
-    from ..plans.planner import tuples
-
-    parts = []
-    for depths in tuples(t, resolved):
-        deepest = max(*depths, cut)
-        mine = resolved.filter("status = 'ok'")
-        for d, k in zip(t.cube.dims, depths):
-            mine = mine.filter(F.col(f"{d.name}_depth") == k)
-        rows = mine.select("qid", *[f"{d.name}_id_{k}" for d, k in zip(t.cube.dims, depths) if k])
-        for d, k in zip(t.cube.dims, depths):
-            cols = [F.col(f"{x}_{j}").alias(f"{d.name}_{x}_{j}") for j in range(1, deepest + 1) for x in ("id", "ord", "fan")]
-            down = t.leaf[d.name].select(*cols).distinct()
-            rows = rows.join(down, f"{d.name}_id_{k}") if k else rows.crossJoin(down)
-        parts.append(_shard_rows(rows, t, deepest, cut))
-    return reduce(DataFrame.unionByName, parts)
+    dims, keys = [d.name for d in t.cube.dims], [*_cut_keys(cut), "part"]
+    rows = label_rows(t, resolved, cut)
+    sized = rows.groupBy(*keys[:-1]).agg(F.ceil(F.count("*") / asked).cast("long").alias("parts"))
+    rows = rows.join(sized, keys[:-1]).withColumn("part", F.pmod(F.xxhash64("qid"), F.col("parts"))).drop("parts")
+    copies = sized.select(*keys[:-1], F.explode(F.expr("sequence(0L, parts - 1)")).alias("part")).join(shards, keys[:-1])
+    copies = copies.select(*[F.col(c).alias(f"of_{c}") for c in keys], *[c for c in copies.columns if c not in keys])
+
+    def run(asks: pa.Table, shard: pa.Table) -> pa.Table:
+        count = asks.num_rows
+        total, summed, visited, took = (np.zeros(count, np.int64) for _ in range(4))
+        if shard.num_rows and count:
+            row = shard.to_pylist()[0]
+            seq = unpack(row)
+            below = [LevelOrder(BitVec.from_bytes(x["louds"], x["n_louds"]), x["lows"]) for x in (row[f"{d}_below"] for d in dims)]
+            depth, member = (np.stack([asks[f"{d}_{c}"].to_numpy(zero_copy_only=False) for d in dims], 1).astype(np.int64) for c in ("at", "member"))
+            began = time.perf_counter_ns()
+            total, summed, visited = seq.descend(below, depth, member)
+            took[0] = time.perf_counter_ns() - began
+        return pa.table({"qid": asks["qid"], "total": total, "n_summed": summed, "n_visited": visited, "nanos": took})
+
+    met = rows.groupBy(*keys).cogroup(copies.groupBy(*[f"of_{c}" for c in keys])).applyInArrow(run, "qid long, total long, n_summed long, n_visited long, nanos long")
+    values = ("total", "n_summed", "n_visited", "nanos")
+    got = met.groupBy("qid").agg(*[F.sum(c).alias(c) for c in values])
+    return resolved.filter("status = 'ok'").select("qid").join(got, "qid", "left").na.fill(0)

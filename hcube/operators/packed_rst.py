@@ -111,6 +111,17 @@ def sequences(tree: dict[int, DataFrame], n: int, k: int) -> RegularSequences:
     return RegularSequences.build(tree[0].first()["total"], [(x[:, :-1], x[:, -1]) for x in found], n, k)
 
 
+def choose_cut(tree: dict[int, DataFrame], n: int, k: int, most: int = 1 << 21) -> int:
+    """The shallowest depth whose fullest block holds at most ``most`` cells."""
+    h = max(tree)
+    for cut in range(h):
+        side = k ** (h - cut)
+        cells = tree[h].groupBy(*[F.expr(f"b{i} div {side}").alias(f"s{i}") for i in range(1, n + 1)]).agg(F.count("*").alias("cells"))
+        if (cells.agg(F.max("cells")).first()[0] or 0) <= most:
+            return cut
+    return h
+
+
 def pack(tree: dict[int, DataFrame], n: int, k: int, cut: int = 1) -> DataFrame:
     """``(s1..sn, t, n_t, v, bits)``: one row per nonempty block of depth ``cut``, at most k^(n (h - cut)) cells each."""
     h = max(tree)
@@ -124,7 +135,7 @@ def pack(tree: dict[int, DataFrame], n: int, k: int, cut: int = 1) -> DataFrame:
     def one(table: pa.Table) -> pa.Table:
         depth = table["depth"].to_numpy()
         blocks, value = np.stack([table[x].to_numpy() for x in b], 1), table["total"].to_numpy()
-        seq = RegularSequences.build(int(value[depth == cut][0]), [(blocks[depth == d], value[depth == d]) for d in range(cut + 1, h + 1)], n, k)
+        seq = RegularSequences.build(int(value[depth == cut][0]), [(blocks[depth == d], value[depth == d]) for d in range(cut + 1, h + 1) if (depth > cut).any()], n, k)
         return pa.table({**{x: table[x][:1] for x in s}, "t": [seq.t.to_bytes()], "n_t": [len(seq.t)], "v": [seq.v.to_bytes()], "bits": [sum(seq.size_bits().values())]})
 
     return reduce(DataFrame.unionByName, parts).groupBy(*s).applyInArrow(one, ", ".join(f"{x} long" for x in s) + ", t binary, n_t long, v binary, bits long")

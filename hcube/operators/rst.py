@@ -23,13 +23,10 @@ def build_rst(cells: DataFrame, n: int, k: int, h: int, measure: str = "v") -> d
     """Depth 0..h: ``b1..bn`` block coordinates, ``total``, ``cnt``; each depth from the one below it."""
     b = [f"b{i}" for i in range(1, n + 1)]
     now = cells.groupBy(*[F.col(f"k{i}").alias(x) for i, x in enumerate(b, 1)]).agg(F.sum(measure).alias("total"), F.count("*").alias("cnt"))
-    # Dealt by the depth-1 block once; deeper keys don't hold it, so it travels as a column.
-    top = [F.expr(f"{x} div {k ** max(h - 1, 0)}").alias(f"t{x}") for x in b]
-    now = now.select(*b, "total", "cnt", *top).repartition(*[f"t{x}" for x in b])
-    out = {h: now.select(*b, "total", "cnt")}
+    out = {h: now}
     for depth in range(h - 1, 0, -1):
-        now = now.groupBy(*[f"t{x}" for x in b], *[F.expr(f"{x} div {k}").alias(x) for x in b]).agg(F.sum("total").alias("total"), F.sum("cnt").alias("cnt"))
-        out[depth] = now.select(*b, "total", "cnt")
+        now = now.groupBy(*[F.expr(f"{x} div {k}").alias(x) for x in b]).agg(F.sum("total").alias("total"), F.sum("cnt").alias("cnt"))
+        out[depth] = now
     if h:
         root = now.agg(F.coalesce(F.sum("total"), F.lit(0)).alias("total"), F.coalesce(F.sum("cnt"), F.lit(0)).alias("cnt"))
         out[0] = root.select(*[F.lit(0).cast("long").alias(x) for x in b], "total", "cnt")

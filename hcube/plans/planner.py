@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.hast import Tree, ids
+from ..sources.store import materialise
 from ..spec import ROOT
 
 
@@ -36,6 +37,12 @@ def resolve(t: Tree, queries: DataFrame) -> DataFrame:
     })
 
 
+def resolved(t: Tree, queries: DataFrame) -> DataFrame:
+    """``resolve``, written once where the tree is: a batch is read again for every tuple of depths."""
+    out = resolve(t, queries)
+    return materialise(out, "asked") if t.stored else out
+
+
 def tuples(t: Tree, resolved: DataFrame) -> list[tuple[int, ...]]:
     """Depth tuples of the batch, at most (H + 1)^n."""
     names = [f"{d.name}_depth" for d in t.cube.dims]
@@ -53,7 +60,7 @@ def answer(t: Tree, queries: DataFrame, counters: bool = True) -> DataFrame:
     ancestors are the queried members (for each shallower one, all its descendants).
     """
     cube = t.cube
-    asked = resolve(t, queries)
+    asked = resolved(t, queries)
     parts = []
     for depths in tuples(t, asked):
         deepest = max(depths)
@@ -80,7 +87,7 @@ def answer(t: Tree, queries: DataFrame, counters: bool = True) -> DataFrame:
 def answer_exploded(t: Tree, queries: DataFrame) -> DataFrame:
     """The same for few descendants: each query lists the member tuples it needs and probes for them."""
     cube = t.cube
-    asked = resolve(t, queries).filter("status = 'ok'")
+    asked = resolved(t, queries).filter("status = 'ok'")
     parts = []
     for depths in tuples(t, asked):
         deepest = max(depths)
@@ -119,7 +126,7 @@ def choose_mode(t: Tree, queries: DataFrame, limit: int = EXPLODE_LIMIT) -> str:
 def visits(t: Tree, queries: DataFrame) -> DataFrame:
     """``(qid, n_visited, n_summed)`` of the walk from the root, empty branches left out."""
     cube = t.cube
-    asked = resolve(t, queries).filter("status = 'ok'")
+    asked = resolved(t, queries).filter("status = 'ok'")
     parts = []
     for depths in tuples(t, asked):
         mine = asked

@@ -139,15 +139,16 @@ def register(r: Registry) -> None:
 
     r.add("label_via_ranges", via_ranges, f"SELECT qid, v AS total FROM ({truth})")
 
-    def compact(s, kind, fixed=None):
+    def compact(s, kind, fixed=None, cut=None):
         t = grid_tree(s, g8)
-        asked = planner.resolve(t, querysets.query_set(t, LABELS, kind, fixed))
-        paths = packed.uniform_paths(t, asked, fixed) if kind == "one" else packed.mixed_paths(t, asked)
-        got = packed.walk(packed.pack(t, "v"), paths)
-        return asked.select("qid").join(got, "qid", "left").select("qid", F.coalesce("total", F.lit(0)).cast("long").alias("v"))
-
-    r.add("compact_walk_points", lambda s, d: compact(s, "one", 3), f"SELECT qid, v FROM ({querysets.truth_sql(cube8, facts8, LABELS, 'one', 3)})")
-    r.add("compact_walk_mixed", lambda s, d: compact(s, "mixed"), f"SELECT qid, v FROM ({truth})")
+        asked = planner.resolved(t, querysets.query_set(t, LABELS, kind, fixed))
+        cut = packed.choose_cut(t) if cut is None else cut
+        got = packed.descend(t, packed.pack(t, "v", cut), asked, cut)
+        return asked.select("qid").join(got, "qid", "left").select("qid", *[F.coalesce(c, F.lit(0)).cast("long").alias(a) for c, a in (("total", "v"), ("n_summed", "n_summed"), ("n_visited", "n_visited"))])
+
+    r.add("compact_walk_points", lambda s, d: compact(s, "one", 3).select("qid", "v"), f"SELECT qid, v FROM ({querysets.truth_sql(cube8, facts8, LABELS, 'one', 3)})")
+    r.add("compact_walk_mixed", lambda s, d: compact(s, "mixed").select("qid", "v"), f"SELECT qid, v FROM ({truth})")
+    r.add("compact_walk_shards", lambda s, d: compact(s, "mixed", cut=1).select("qid", "v"), f"SELECT qid, v FROM ({truth})")
     hast_sql = _hast_visits_sql(cube8, facts8, LABELS, "mixed")
     ask8 = lambda s: querysets.query_set(grid_tree(s, g8), LABELS, "mixed")
     r.add("visits_hast", lambda s, d: planner.visits(grid_tree(s, g8), ask8(s)).select("qid", "n_summed", "n_visited"), hast_sql)

@@ -14,11 +14,13 @@ from __future__ import annotations
 import argparse
 import json
 import time
+from typing import NamedTuple
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import packed, packed_rst, rst
+from ..operators.hast import Tree
 from ..plans import planner
 from ..sources.store import materialise
 from .grids import Grid
@@ -27,12 +29,24 @@ from .querysets import free_draws, label_boxes
 KINDS = ("cells", "above_cells", "mixed")
 
 
-def prepared(spark: SparkSession, grid: Grid) -> tuple:
-    """Both trees of a grid in compact form, written: (tree, its shards, regular height, its shards)."""
+class Made(NamedTuple):
+    """Both trees of a grid in compact form, written."""
+
+    tree: Tree
+    cut: int
+    shards: DataFrame
+    height: int
+    regular_cut: int
+    regular: DataFrame
+
+
+def prepared(spark: SparkSession, grid: Grid) -> Made:
     t = grid.tree(spark)
+    cut = packed.choose_cut(t)
     h = rst.height_for(grid.m, 2)
     regular = {d: materialise(x, f"regular-{d}") for d, x in rst.build_rst(grid.cells(spark), grid.n, 2, h).items()}
-    return t, materialise(packed.pack(t, "v"), "shards"), h, materialise(packed_rst.pack(regular, grid.n, 2), "regular-shards")
+    regular_cut = packed_rst.choose_cut(regular, grid.n, 2)
+    return Made(t, cut, materialise(packed.pack(t, "v", cut), "shards"), h, regular_cut, materialise(packed_rst.pack(regular, grid.n, 2, regular_cut), "regular-shards"))
 
 
 def batch(t, kind: str, n_queries: int, seed: int = 0) -> DataFrame:
@@ -41,26 +55,24 @@ def batch(t, kind: str, n_queries: int, seed: int = 0) -> DataFrame:
     return materialise(free_draws(t, n_queries, draw, fixed, seed), "batch")
 
 
-def ask_hast(t, shards: DataFrame, asked: DataFrame) -> DataFrame:
-    """``(qid, total, n_summed, n_visited, nanos)``: mixed labels list one path per stored sum."""
-    paths = packed.mixed_paths(t, planner.resolve(t, asked))
-    sums = paths.groupBy("qid").agg(F.count("*").alias("n_summed"))
-    return packed.walk(shards, paths).join(sums, "qid").select("qid", "total", "n_summed", "n_visited", "nanos")
+def ask_hast(made: Made, asked: DataFrame) -> DataFrame:
+    """``(qid, total, n_summed, n_visited, nanos)``"""
+    return packed.descend(made.tree, made.shards, planner.resolved(made.tree, asked), made.cut)
 
 
-def ask_rst(grid: Grid, t, h: int, shards: DataFrame, asked: DataFrame) -> DataFrame:
-    return packed_rst.walk(shards, label_boxes(t, asked), grid.n, 2, h)
+def ask_rst(grid: Grid, made: Made, asked: DataFrame) -> DataFrame:
+    return packed_rst.walk(made.regular, label_boxes(made.tree, asked), grid.n, 2, made.height, made.regular_cut)
 
 
 def compare(spark: SparkSession, grid: Grid, kinds=KINDS, n_queries: int = 10_000, seed: int = 0, made=None) -> list[dict]:
     """One row per kind: microseconds a query and sums a query of both trees, and whether the answers agree."""
-    t, mine, h, regular = made or prepared(spark, grid)
+    made = made or prepared(spark, grid)
     rows = []
     for kind in kinds:
-        asked = batch(t, kind, n_queries, seed)
+        asked = batch(made.tree, kind, n_queries, seed)
         out = {"grid": grid.name, "organisation": grid.organisation, "empty": grid.empty, "kind": kind, "queries": n_queries}
         answers = {}
-        for name, ask in (("hast", lambda: ask_hast(t, mine, asked)), ("rst", lambda: ask_rst(grid, t, h, regular, asked))):
+        for name, ask in (("hast", lambda: ask_hast(made, asked)), ("rst", lambda: ask_rst(grid, made, asked))):
             began = time.time()
             answers[name] = materialise(ask(), f"answers-{name}")
             wall = time.time() - began

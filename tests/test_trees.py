@@ -68,14 +68,15 @@ def test_tree_invariants_and_modes(spark):
     assert rows(a.select("qid", "v")) == rows(planner.answer_exploded(t, q).select("qid", "v"))
     visits = planner.visits(t, q)
     assert rows(visits.select("qid", "n_summed")) == rows(a.select("qid", "n_summed"))
-    # Packed walks give the same sums, at one depth and at several.
+    # Descents on the bits give the same sums wherever shards are cut, and the same nodes from the root.
     asked = planner.resolve(t, q)
-    got = {r.qid: r.total for r in packed.walk(packed.pack(t, "v"), packed.mixed_paths(t, asked)).collect()}
-    assert all(got.get(r.qid, 0) == r.v for r in a.collect())
-    for cut in (2, h):
+    found = packed.descend(t, packed.pack(t, "v", 0), asked, 0)
+    assert rows(found.select("qid", "total")) == rows(a.select("qid", "v"))
+    assert rows(found.select("qid", "n_visited", "n_summed")) == rows(visits.select("qid", "n_visited", "n_summed"))
+    for cut in (1, 2, h):
         assert packed.shard_sizes(t, cut).agg({"cells": "sum"}).first()[0] == t.nodes[h].count()
-        deeper = {r.qid: r.total for r in packed.walk(packed.pack(t, "v", cut), packed.mixed_paths(t, asked, cut), cut).collect()}
-        assert deeper == got
+        assert rows(packed.descend(t, packed.pack(t, "v", cut), asked, cut, 7).select("qid", "total")) == rows(a.select("qid", "v"))
+    assert [packed.choose_cut(t, most) for most in (10**6, 200, 1)] == [0, 1, h]
     seq = packed.sequences_of(t, "v")
     assert len(seq.tc) == sum(hast.slot_count(t, k).first().slots for k in range(1, h + 1))
     slots = [f"p_{k}" for k in range(1, h + 1)]
@@ -144,12 +145,16 @@ def test_edges(spark):
         Cube("h", "t", (Dimension("x", (("a", "a"),)), Dimension("y", (("a", "a"), ("b", "b")))), ())
 
 
-def test_one_exchange_below_the_cut(spark, sf):
+def test_busy_tasks_follow_the_nodes(spark, sf):
+    """Each depth is dealt by its own keys after a partial aggregate, so not by its few topmost members."""
     t = hast.tree(spark, cubes.C3, sf)
-    cells = t.nodes[2]  # stored
-    again = hast.build_hast(cells.drop(*[c for c in cells.columns if c.startswith("never")]), cubes.C3)
+    again = hast.build_hast(t.nodes[2], cubes.C3)
     plan = again[1]._jdf.queryExecution().executedPlan().toString()
-    assert len(re.findall(r"Exchange hashpartitioning", plan)) == 1
+    dealt = re.findall(r"Exchange hashpartitioning\((.*?), \d+\)", plan)
+    assert len(dealt) == 1 and "partial_sum" in plan and "REPARTITION" not in plan
+    grid = grids.Grid(3, 8)
+    plan = rst.build_rst(grid.cells(spark), 3, 2, 3)[2]._jdf.queryExecution().executedPlan().toString()
+    assert "REPARTITION" not in plan and plan.count("Exchange hashpartitioning") == 2
     node = t.nodes[2].filter("flag_id_2 = 1").select("qty")._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull(flag_id_2), EqualTo(flag_id_2,1)]" in node and "Python" not in plan
 
