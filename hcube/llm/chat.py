@@ -112,10 +112,12 @@ def pair_neighbours(conversations: DataFrame) -> DataFrame:
 
 
 def op2_preference_format(conversations: DataFrame) -> DataFrame:
-    """Preference rows of the whole table, with the trained characters counted."""
+    """Preference rows of the whole table; masks are the trained spans, ``start-end`` joined by commas."""
+    mask = lambda k: F.array_join(F.transform(F.col(k), lambda s: F.concat_ws("-", s["start"], s["end"])), ",")
     total = lambda k: F.aggregate(F.col(k), F.lit(0).cast("long"), lambda a, s: a + s["end"] - s["start"])
     return preference_pairs(pair_neighbours(conversations)).select(
         "pair_id", "n_prompt_turns", "prompt", "chosen", "rejected",
         total("chosen_spans").alias("chosen_trained_chars"),
         total("rejected_spans").alias("rejected_trained_chars"),
+        mask("chosen_spans").alias("chosen_mask"), mask("rejected_spans").alias("rejected_mask"),
     )

@@ -71,6 +71,11 @@ class Chain(NamedTuple):
 _BLOCK = "block long, doc_ids array<long>, held binary, n_tokens binary, words binary, ids binary, n_train long"
 
 
+def ragged(first: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """Places first, first + 1, ... of every run, behind each other."""
+    return np.repeat(first - np.cumsum(n) + n, n) + np.arange(n.sum())
+
+
 def _packed(x: np.ndarray) -> bytes:
     """Bytes of an array plane by plane, compressed: counts, numbers and rounded logs are small."""
     planes = np.ascontiguousarray(x).view(np.uint8).reshape(len(x), x.dtype.itemsize).T
@@ -138,7 +143,7 @@ class Words(NamedTuple):
     ``hot``: hashes of middle words that are dealt to several buckets, start and end
     among them, with ``hot_counts``; ``coded``: hashes of at most ``CODED`` commonest
     words sorted by hash, ``ranks`` and ``shares``: their places by frequency and their
-    shares of the tokens.
+    shares of the tokens, ``by_rank``: the hashes by frequency, one place more at the end.
     """
 
     hot: np.ndarray
@@ -146,6 +151,7 @@ class Words(NamedTuple):
     coded: np.ndarray
     ranks: np.ndarray
     shares: np.ndarray
+    by_rank: np.ndarray
     n_train: int
     known: int
     chain: Chain = Chain()
@@ -186,7 +192,8 @@ def training_words(blocks: DataFrame, coded: int = CODED, hot: int | None = None
     ranks = np.lexsort((w, -n)).argsort()
     order = np.argsort(w)
     return Words(
-        np.array(hot, np.int64).view(U), np.array([found[x] for x in hot], np.int64), w[order], ranks[order].astype(np.uint32), n[order] / max(n_train, 1), n_train, known
+        np.array(hot, np.int64).view(U), np.array([found[x] for x in hot], np.int64), w[order], ranks[order].astype(np.uint32), n[order] / max(n_train, 1),
+        np.append(w[np.argsort(ranks)], U(0)), n_train, known,
     )
 
 
@@ -220,12 +227,13 @@ def _codes(words: np.ndarray, known: Words) -> np.ndarray:
     return np.where(known.coded[at] == words, known.ranks[at], len(known.coded)).astype(np.uint32)
 
 
-def _decoded(codes: np.ndarray, rest: np.ndarray, known: Words) -> np.ndarray:
-    by_rank = np.zeros(len(known.coded) + 1, U)
-    by_rank[known.ranks] = known.coded
-    out = by_rank[codes]
-    out[codes == len(known.coded)] = rest
-    return out
+def _decoded(rows: list[dict], codes: str, rest: str, known: Words) -> tuple[np.ndarray, np.ndarray]:
+    """Words of all rows behind each other, and how many each row has."""
+    parts = [_unpacked(r[codes], np.uint32) for r in rows]
+    every = np.concatenate(parts)
+    out = known.by_rank[every]
+    out[every == len(known.coded)] = np.concatenate([_unpacked(r[rest], U) for r in rows])
+    return out, np.array([len(x) for x in parts])
 
 
 def _order(row: dict, words: np.ndarray, known: Words, n_buckets: int):
@@ -504,14 +512,15 @@ def _buckets(batches, known: Words) -> Iterator[tuple[int, list[tuple[int, int,
         rows = sorted((r for r in rows if r["answer"] is None), key=lambda r: r["block"])
         if not rows:
             return
-        triples, asked = [], []
-        for r in rows:
-            mine = _decoded(_unpacked(r["middle"], np.uint32), _unpacked(r["middle_rest"], U), known)
-            n, train = _unpacked(r["n_triples"], np.uint32), _unpacked(r["train"], np.uint32)
-            both = _decoded(_unpacked(r["codes"], np.uint32), _unpacked(r["rest"], U), known)
-            triples.append((np.repeat(mine, n), both[: len(train)], both[len(train) :], train))
-            asked.append((r["block"], mine, len(train)))
-        yield bucket, asked, Bucket(*map(np.concatenate, zip(*triples)), known), said
+        middles, n_middles = _decoded(rows, "middle", "middle_rest", known)
+        # Each row has its farther words and then its words.
+        both, n_both = _decoded(rows, "codes", "rest", known)
+        n = n_both // 2
+        first = ragged(np.cumsum(n_both) - n_both, n)
+        far, word = both[first], both[first + np.repeat(n, n)]
+        each, train = (np.concatenate([_unpacked(r[c], np.uint32) for r in rows]) for c in ("n_triples", "train"))
+        asked = [(r["block"], mine, int(k)) for r, mine, k in zip(rows, np.split(middles, np.cumsum(n_middles)[:-1]), n)]
+        yield bucket, asked, Bucket(np.repeat(middles, each), far, word, train, known), said
 
     rows, mine = [], None
     for batch in batches:
@@ -607,9 +616,9 @@ class Root:
 def _parts(batches, known: Words) -> Iterator[tuple[int, list[tuple[int, int]], Root]]:
     def finish(part: int, rows: list[dict]):
         rows.sort(key=lambda r: r["bucket"])
-        cols = [[_unpacked(r["hot"], U) for r in rows], [_decoded(_unpacked(r["codes"], np.uint32), _unpacked(r["rest"], U), known) for r in rows]]
-        cols.append([_unpacked(r["n"], np.int64) for r in rows])
-        return part, [(r["bucket"], len(x)) for r, x in zip(rows, cols[2])], Root(*map(np.concatenate, cols), known)
+        word, n = _decoded(rows, "codes", "rest", known)
+        hot, customers = (np.concatenate([_unpacked(r[k], t) for r in rows]) for k, t in (("hot", U), ("n", np.int64)))
+        return part, [(r["bucket"], int(k)) for r, k in zip(rows, n)], Root(hot, word, customers, known)
 
     rows, mine = [], None
     for batch in batches:

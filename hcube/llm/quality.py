@@ -55,7 +55,7 @@ DEFAULT_RULES = (
     Rule("word_length", "word_chars", "n_words", 2.0, 14.0),
     Rule("symbols", "n_symbols", "n_words", None, 0.1),
     Rule("exclamations", "n_exclaims", "n_words", None, 0.5),
-    Rule("stop_words", "n_stop_words", None, 1.0, None),
+    Rule("stop_words", "n_stop_words", "n_words", 0.05, None),
     Rule("dup_lines", "n_dup_lines", "n_lines", None, 0.5),
     Rule("ellipsis_lines", "n_ellipsis_lines", "n_lines", None, 0.3),
     Rule("bullet_lines", "n_bullet_lines", "n_lines", None, 0.9),
@@ -124,9 +124,7 @@ def annotate(docs: DataFrame, text: str = "text", prefix: str = "") -> DataFrame
         "word_chars": F.expr(f"length(translate({tag}t, '{_sql(WHITE)}', ''))").cast("long"),
         "n_symbols": F.expr(f"length({tag}t) - length(translate({tag}t, '{_sql(SYMBOLS)}', ''))").cast("long"),
         "n_exclaims": F.expr(f"length({tag}t) - length(translate({tag}t, '!', ''))").cast("long"),
-        "n_stop_words": F.size(
-            F.array_intersect(F.col(f"{tag}words"), F.array(*map(F.lit, STOP_WORDS)))
-        ).cast("long"),
+        "n_stop_words": F.size(F.filter(F.col(f"{tag}words"), lambda x: x.isin(*STOP_WORDS))).cast("long"),
         "n_lines": F.size(f"{tag}lines").cast("long"),
         "n_dup_lines": F.expr(f"size({tag}lines) - size(array_distinct({tag}lines))").cast("long"),
         "n_ellipsis_lines": F.expr(f"size(filter({tag}lines, x -> rtrim(x) LIKE '%...'))").cast("long"),

@@ -49,15 +49,19 @@ j AS (
 p AS (SELECT pair_id, coalesce(min(k) FILTER (NOT same) - 1, max(k)) AS m FROM j GROUP BY pair_id),
 x AS (
   SELECT p.pair_id, p.m, n.side, n.k, n.role, n.text,
-         '{OPEN}' || n.role || '{middle}' || n.text || '{close}' AS line
-  FROM p JOIN n USING (pair_id))
+         '{OPEN}' || n.role || '{middle}' || n.text || '{close}' AS line,
+         length('{OPEN}' || n.role || '{middle}') AS head, n.k > p.m AND n.role = '{TRAINED_ROLE}' AS trained
+  FROM p JOIN n USING (pair_id)),
+y AS (SELECT *, coalesce(sum(length(line)) FILTER (k > m) OVER (PARTITION BY pair_id, side ORDER BY k ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) + head AS at FROM x)
 SELECT pair_id, CAST(any_value(m) AS BIGINT) AS n_prompt_turns,
   coalesce(string_agg(line, '' ORDER BY k) FILTER (side = 0 AND k <= m), '') AS prompt,
   CASE WHEN count(*) FILTER (side = 0) > 0 THEN coalesce(string_agg(line, '' ORDER BY k) FILTER (side = 0 AND k > m), '') END AS chosen,
   CASE WHEN count(*) FILTER (side = 1) > 0 THEN coalesce(string_agg(line, '' ORDER BY k) FILTER (side = 1 AND k > m), '') END AS rejected,
   CASE WHEN count(*) FILTER (side = 0) > 0 THEN CAST(coalesce(sum(length(text) + {len(CLOSE)}) FILTER (side = 0 AND k > m AND role = '{TRAINED_ROLE}'), 0) AS BIGINT) END AS chosen_trained_chars,
-  CASE WHEN count(*) FILTER (side = 1) > 0 THEN CAST(coalesce(sum(length(text) + {len(CLOSE)}) FILTER (side = 1 AND k > m AND role = '{TRAINED_ROLE}'), 0) AS BIGINT) END AS rejected_trained_chars
-FROM x GROUP BY pair_id
+  CASE WHEN count(*) FILTER (side = 1) > 0 THEN CAST(coalesce(sum(length(text) + {len(CLOSE)}) FILTER (side = 1 AND k > m AND role = '{TRAINED_ROLE}'), 0) AS BIGINT) END AS rejected_trained_chars,
+  CASE WHEN count(*) FILTER (side = 0) > 0 THEN coalesce(string_agg(CAST(at AS BIGINT) || '-' || CAST(at + length(text) + {len(CLOSE)} AS BIGINT), ',' ORDER BY k) FILTER (side = 0 AND trained), '') END AS chosen_mask,
+  CASE WHEN count(*) FILTER (side = 1) > 0 THEN coalesce(string_agg(CAST(at AS BIGINT) || '-' || CAST(at + length(text) + {len(CLOSE)} AS BIGINT), ',' ORDER BY k) FILTER (side = 1 AND trained), '') END AS rejected_mask
+FROM y GROUP BY pair_id
 """
 
 
@@ -98,7 +102,7 @@ m AS (SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words,
         CAST(length(regexp_replace(t, '[\x20\x09-\x0D]+', '', 'g')) AS BIGINT) AS word_chars,
         CAST(length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols,
         CAST(length(t) - length(replace(t, '!', '')) AS BIGINT) AS n_exclaims,
-        len(list_filter([{stops}], lambda x: list_contains(w, x))) AS n_stop_words,
+        len(list_filter(w, lambda x: x IN ({stops}))) AS n_stop_words,
         len(l) AS n_lines, CAST(len(l) - len(list_distinct(l)) AS BIGINT) AS n_dup_lines,
         len(list_filter(l, lambda x: rtrim(x, ' ') LIKE '%...')) AS n_ellipsis_lines,
         len(list_filter(l, lambda x: left(ltrim(x, ' '), 1) IN ('-', '*', '•'))) AS n_bullet_lines,

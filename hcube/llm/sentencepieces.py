@@ -11,13 +11,15 @@ to byte pieces.  Known units stay with the worker up to a bound, so frequent wor
 matched once.
 
 Defined results: null texts count as empty; empty texts have no ids; rows are encoded
-one by one, so repeated rows give equal results and a null doc_id keeps its row; an
-empty table gives no rows; columns other than doc_id and text are not read.
+one by one, so repeated rows give equal results and a null doc_id keeps its row; very
+long texts, and ones without any space, are encoded whole; of equal scores the leftmost
+pair goes first; an empty table gives no rows; columns other than doc_id and text are not read.
 """
 
 from __future__ import annotations
 
 import functools
+import heapq
 import re
 import zlib
 from collections.abc import Iterator
@@ -31,6 +33,7 @@ SPACE = "▁"
 MODEL = "piece_bpe_32k.model"
 KNOWN_UNITS = 600_000
 BATCH_CHARS = 4_000_000
+LONG_UNIT = 256
 _UNIT = re.compile(f"\n|{SPACE}*[^{SPACE}\n]+|{SPACE}+")
 
 
@@ -174,10 +177,12 @@ def _join_best(pos, size, piece, starts, lens, pieces: Pieces):
     base = np.int64(starts[-1] + lens[-1] + 2)
     of = np.full(base * width, -1, np.int32)  # by position and length: the edges, addressed
     of[pos * width + size] = piece
-    at = ragged(starts, lens)
-    unit = np.repeat(np.arange(len(lens)), lens)
+    # Rounds over all units join one pair of each; a long unit would need as many rounds as it has characters.
+    short = lens <= LONG_UNIT
+    done = [_join_long(int(starts[u]), int(lens[u]), int(u), of, width, pieces.rank) for u in np.flatnonzero(~short)]
+    at = ragged(starts[short], lens[short])
+    unit = np.repeat(np.flatnonzero(short), lens[short])
     length = np.ones(len(at), np.int64)
-    done = []
     none = np.int64(2**62)
     span = np.int64(1) << np.int64(34)
     while len(at):
@@ -204,6 +209,36 @@ def _join_best(pos, size, piece, starts, lens, pieces: Pieces):
     return at, length, unit, of[at * width + length].astype(np.int64)
 
 
+def _join_long(start: int, n: int, unit: int, of: np.ndarray, width: int, rank: np.ndarray):
+    """The same joins for one unit, by a queue of neighbouring pairs."""
+    after, before, size = list(range(1, n + 1)), list(range(-1, n - 1)), [1] * n
+    queue: list[tuple[int, int, int, int]] = []
+
+    def offer(i: int) -> None:
+        j = after[i]
+        if j < n and size[i] + size[j] < width:
+            piece = of[(start + i) * width + size[i] + size[j]]
+            if piece >= 0:
+                heapq.heappush(queue, (int(rank[piece]), i, size[i], size[j]))
+
+    for i in range(n - 1):
+        offer(i)
+    while queue:
+        _, i, a, b = heapq.heappop(queue)
+        j = after[i]
+        if size[i] != a or j >= n or size[j] != b:  # one of them was joined meanwhile
+            continue
+        size[i], size[j], after[i] = a + b, 0, after[j]
+        if after[j] < n:
+            before[after[j]] = i
+        offer(i)
+        if before[i] >= 0:
+            offer(before[i])
+    length = np.array(size, np.int64)
+    kept = np.flatnonzero(length)
+    return kept + start, length[kept], np.full(len(kept), unit, np.int64)
+
+
 def _best_path(pos, size, piece, starts, lens, pieces: Pieces):
     """Path of pieces with the greatest sum of scores; a character without one costs more than any piece."""
     n = int(starts[-1] + lens[-1] + 2)

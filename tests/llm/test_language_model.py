@@ -127,7 +127,7 @@ def test_partitions_do_not_change_a_digit(spark, hot):
 
 def test_probabilities_sum_to_one():
     """All known words and the unknown one behind one context."""
-    known = lm.Words(np.sort(np.array([lm.START, lm.END], lm.U)), np.zeros(2, np.int64), np.empty(0, lm.U), np.empty(0, np.uint32), np.empty(0), 50, 5)
+    known = lm.Words(np.sort(np.array([lm.START, lm.END], lm.U)), np.zeros(2, np.int64), np.empty(0, lm.U), np.empty(0, np.uint32), np.empty(0), np.zeros(1, lm.U), 50, 5)
     U = lm.U
     rng = np.random.default_rng(3)
     word = np.r_[np.arange(1, 7), rng.integers(1, 6, 60)].astype(U)

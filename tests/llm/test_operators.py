@@ -247,6 +247,23 @@ def test_sentencepieces(docs, rows):
     assert {r.doc_id: r.text for r in back.collect()} == want
 
 
+def test_a_long_unit_equals_the_library():
+    import time
+
+    import public_tokenizers
+    import sentencepiece
+
+    sp = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path(sentencepieces.MODEL))
+    random.seed(8)
+    enc = sentencepieces.encoder()
+    for n, letters in ((3000, "abcdefghij"), (5000, "aab"), (4000, "日本語の文字列中国人民")):
+        text = "".join(random.choices(letters, k=n)) + " and words"
+        assert enc.encode([text])[0].tolist() == sp.encode(text)
+    began = time.process_time()
+    enc.encode(["".join(random.choices("etaoinshrdlu", k=300_000))])
+    assert time.process_time() - began < 60
+
+
 def test_pages(spark):
     page = "<html><head><title>T</title></head><body><nav>menu</nav><header><h1>Site</h1></header><article><h1>A &amp; B</h1><p>One <i>two</i><br>three<p>Four</p><form>f</form><div id='comments'>no</div></article><div class='cookie-notice'>c</div><footer>x"
     shared = "<div><p>Our office is open from nine</p></div>"
