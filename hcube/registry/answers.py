@@ -94,9 +94,8 @@ def register(r: Registry) -> None:
           f"SELECT {', '.join(out_cols)}, CAST(sum(qty) AS BIGINT) AS qty, CAST(sum(cents) AS BIGINT) AS cents, count(*) AS cnt FROM ({C1.sql()}) GROUP BY GROUPING SETS ({sets(C1, one)})")
     from itertools import product as every
 
-    low = [x.column(k) for x in C1.dims for k in (1, 2)]
-    r.add("lattice_all_levels", lambda s, d: baselines.lattice(C1.facts(s, d), C1, 2).select(*low, *sums, "cnt"),
-          f"SELECT {', '.join(low)}, CAST(sum(qty) AS BIGINT) AS qty, CAST(sum(cents) AS BIGINT) AS cents, count(*) AS cnt FROM ({C1.sql()}) GROUP BY GROUPING SETS ({sets(C1, every(range(3), repeat=3))})")
+    r.add("lattice_all_levels", lambda s, d: baselines.lattice(C1.facts(s, d), C1, 3).select(*out_cols, *sums, "cnt"),
+          f"SELECT {', '.join(out_cols)}, CAST(sum(qty) AS BIGINT) AS qty, CAST(sum(cents) AS BIGINT) AS cents, count(*) AS cnt FROM ({C1.sql()}) GROUP BY GROUPING SETS ({sets(C1, every(range(4), repeat=3))})")
 
     # Operators around the tree.
     def running(s, d):

@@ -203,16 +203,12 @@ def register(r: Registry) -> None:
 
     # Distinct counts and modes.
     seq = lambda s, d: s.read.parquet(f"{d}/events.parquet").select(F.col("event_id").alias("pos"), F.col("user_id").alias("value"))
-    ranges = lambda s: querysets.boxes(s, BOXES, 1, 1000).select(F.col("qid").alias("rid"), F.col("lo_1").alias("lo"), F.col("hi_1").alias("hi"))
-    ranges_sql = f"SELECT qid AS rid, lo_1 AS lo, hi_1 AS hi FROM ({querysets.boxes_sql(BOXES, 1, 1000)})"
-    r.add("range_distinct", lambda s, d: related.range_distinct(seq(s, d), ranges(s)), f"SELECT rid, lo, hi, count(DISTINCT user_id) AS n_distinct FROM ({ranges_sql}) r LEFT JOIN events e ON event_id BETWEEN lo AND hi GROUP BY 1, 2, 3")
-    r.add("range_mode", lambda s, d: related.range_mode(seq(s, d), ranges(s)), f"SELECT rid, lo, hi, user_id AS mode_value, n AS mode_count FROM (SELECT *, row_number() OVER (PARTITION BY rid ORDER BY n DESC, user_id) AS k FROM (SELECT rid, lo, hi, user_id, count(*) AS n FROM ({ranges_sql}) r JOIN events e ON event_id BETWEEN lo AND hi GROUP BY ALL)) WHERE k = 1")
-    # The same over ranges drawn from the whole table, however long it is.
+    # Ranges are drawn from the whole table, however long it is.
     upto = "coalesce(max(event_id), 0) + 1"
     whole = lambda s, d: querysets.boxes(s, BOXES, 1, s.read.parquet(f"{d}/events.parquet").agg(F.expr(upto)).first()[0]).select(F.col("qid").alias("rid"), F.col("lo_1").alias("lo"), F.col("hi_1").alias("hi"))
     whole_sql = f"SELECT qid AS rid, lo_1 AS lo, hi_1 AS hi FROM ({querysets.boxes_sql(BOXES, 1, f'(SELECT {upto} FROM events)')})"
-    r.add("range_distinct_whole", lambda s, d: related.range_distinct(seq(s, d), whole(s, d)), f"SELECT rid, lo, hi, count(DISTINCT user_id) AS n_distinct FROM ({whole_sql}) r LEFT JOIN events e ON event_id BETWEEN lo AND hi GROUP BY 1, 2, 3")
-    r.add("range_mode_whole", lambda s, d: related.range_mode(seq(s, d), whole(s, d)), f"SELECT rid, lo, hi, user_id AS mode_value, n AS mode_count FROM (SELECT *, row_number() OVER (PARTITION BY rid ORDER BY n DESC, user_id) AS k FROM (SELECT rid, lo, hi, user_id, count(*) AS n FROM ({whole_sql}) r JOIN events e ON event_id BETWEEN lo AND hi GROUP BY ALL)) WHERE k = 1")
+    r.add("range_distinct", lambda s, d: related.range_distinct(seq(s, d), whole(s, d)), f"SELECT rid, lo, hi, count(DISTINCT user_id) AS n_distinct FROM ({whole_sql}) r LEFT JOIN events e ON event_id BETWEEN lo AND hi GROUP BY 1, 2, 3")
+    r.add("range_mode", lambda s, d: related.range_mode(seq(s, d), whole(s, d)), f"SELECT rid, lo, hi, user_id AS mode_value, n AS mode_count FROM (SELECT *, row_number() OVER (PARTITION BY rid ORDER BY n DESC, user_id) AS k FROM (SELECT rid, lo, hi, user_id, count(*) AS n FROM ({whole_sql}) r JOIN events e ON event_id BETWEEN lo AND hi GROUP BY ALL)) WHERE k = 1")
     timed = cubes.Cube("c4u", cubes.C4.source, (cubes.C4.dims[2],), (("user_id", "user_id"), ("event_type", "event_type")), ("events",))
     levels = [timed.dims[0].column(k) for k in (1, 2, 3)]
     r.add("hier_distinct", lambda s, d: related.hier_distinct(timed.facts(s, d), levels, "user_id"), f"WITH f AS ({timed.sql()}) " + " UNION ALL ".join(f"SELECT {k} AS depth, {c} AS label, count(DISTINCT user_id) AS n_distinct FROM f GROUP BY {c}" for k, c in enumerate(levels, 1)))

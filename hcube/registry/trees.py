@@ -65,6 +65,16 @@ def register(r: Registry) -> None:
     r.add("h_vocab", vocab, " UNION ALL ".join(f"SELECT '{x.name}' AS dim, depth, label, member_id FROM {members_sql(x, cubes.C1.sql())}" for x in cubes.C1.dims))
     r.add("h_violations", lambda s, d: hierarchy.check_hierarchy(tree_of(s, d, cubes.C1).members("product")), "SELECT '' AS kind, 0 AS depth, CAST(0 AS BIGINT) AS member_id WHERE false")
 
+    def broken(s, d):
+        """Each part of an odd number hung below the next brand: outside its parent, whose fanout is wrong."""
+        m = tree_of(s, d, cubes.C1).members("product")
+        brands = m.filter("depth = 2").count()
+        wrong = F.when(F.expr("depth = 3 AND member_id % 2 = 1"), F.expr(f"(parent_id + 1) % {brands}")).otherwise(F.col("parent_id"))
+        return hierarchy.check_hierarchy(m.withColumn("parent_id", wrong)).filter("kind = 'outside'").select("kind", "depth", "member_id")
+
+    leaf = members_sql(cubes.C1.dims[1], cubes.C1.sql())
+    r.add("h_violations_found", broken, f"SELECT 'outside' AS kind, 3 AS depth, member_id FROM {leaf} WHERE depth = 3 AND member_id % 2 = 1")
+
     # Cells and nodes of the sales cube.
     labels = [d.name for d in cubes.C1.dims]
     sums = [m for m, _ in cubes.C1.measures]

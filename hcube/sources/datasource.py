@@ -11,6 +11,9 @@ from __future__ import annotations
 
 from pathlib import Path
 
+import numpy as np
+import pyarrow as pa
+
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 
@@ -46,5 +49,8 @@ class _Reader(DataSourceReader):
 
         slots = [f"p_{k}" for k in range(1, partition.depth + 1)]
         for batch in pq.ParquetFile(partition.file).iter_batches(columns=[*slots, "cnt", *self.measures]):
-            for row in batch.to_pylist():
-                yield (partition.depth, [row[s] for s in slots], row["cnt"], *(row[m] for m in self.measures))
+            n, k = batch.num_rows, len(slots)
+            path = np.stack([batch.column(s).to_numpy(zero_copy_only=False) for s in slots], 1).ravel() if k else np.empty(0, np.int64)
+            paths = pa.ListArray.from_arrays(pa.array(np.arange(n + 1) * k, pa.int32()), pa.array(path, pa.int64()))
+            rest = [batch.column(c).cast(pa.int64()) for c in ("cnt", *self.measures)]
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(n, partition.depth), pa.int32()), paths, *rest], ["depth", "path", "cnt", *self.measures])
