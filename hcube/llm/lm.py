@@ -745,7 +745,7 @@ def score(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, coded: int = CODED,
     trace = [_root_totals(told, shared, [])]
     for _ in range(chain.root):
         trace.append(_root_totals(told, shared, trace))
-        free(spark)
+        free(spark, 2)
     root = _root_answers(told, shared, trace)
     answers = written(_answers(dealt(asked.unionByName(root, allowMissingColumns=True), "bucket"), shared, n_buckets), "lm-answers")
     discard(told)

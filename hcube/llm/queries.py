@@ -52,15 +52,15 @@ x AS (
          '{OPEN}' || n.role || '{middle}' || n.text || '{close}' AS line,
          length('{OPEN}' || n.role || '{middle}') AS head, n.k > p.m AND n.role = '{TRAINED_ROLE}' AS trained
   FROM p JOIN n USING (pair_id)),
-y AS (SELECT *, coalesce(sum(length(line)) FILTER (k > m) OVER (PARTITION BY pair_id, side ORDER BY k ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) + head AS at FROM x)
+y AS (SELECT *, coalesce(sum(length(line)) FILTER (k > m) OVER (PARTITION BY pair_id, side ORDER BY k ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) + head AS off FROM x)
 SELECT pair_id, CAST(any_value(m) AS BIGINT) AS n_prompt_turns,
   coalesce(string_agg(line, '' ORDER BY k) FILTER (side = 0 AND k <= m), '') AS prompt,
   CASE WHEN count(*) FILTER (side = 0) > 0 THEN coalesce(string_agg(line, '' ORDER BY k) FILTER (side = 0 AND k > m), '') END AS chosen,
   CASE WHEN count(*) FILTER (side = 1) > 0 THEN coalesce(string_agg(line, '' ORDER BY k) FILTER (side = 1 AND k > m), '') END AS rejected,
   CASE WHEN count(*) FILTER (side = 0) > 0 THEN CAST(coalesce(sum(length(text) + {len(CLOSE)}) FILTER (side = 0 AND k > m AND role = '{TRAINED_ROLE}'), 0) AS BIGINT) END AS chosen_trained_chars,
   CASE WHEN count(*) FILTER (side = 1) > 0 THEN CAST(coalesce(sum(length(text) + {len(CLOSE)}) FILTER (side = 1 AND k > m AND role = '{TRAINED_ROLE}'), 0) AS BIGINT) END AS rejected_trained_chars,
-  CASE WHEN count(*) FILTER (side = 0) > 0 THEN coalesce(string_agg(CAST(at AS BIGINT) || '-' || CAST(at + length(text) + {len(CLOSE)} AS BIGINT), ',' ORDER BY k) FILTER (side = 0 AND trained), '') END AS chosen_mask,
-  CASE WHEN count(*) FILTER (side = 1) > 0 THEN coalesce(string_agg(CAST(at AS BIGINT) || '-' || CAST(at + length(text) + {len(CLOSE)} AS BIGINT), ',' ORDER BY k) FILTER (side = 1 AND trained), '') END AS rejected_mask
+  CASE WHEN count(*) FILTER (side = 0) > 0 THEN coalesce(string_agg(CAST(off AS BIGINT) || '-' || CAST(off + length(text) + {len(CLOSE)} AS BIGINT), ',' ORDER BY k) FILTER (side = 0 AND trained), '') END AS chosen_mask,
+  CASE WHEN count(*) FILTER (side = 1) > 0 THEN coalesce(string_agg(CAST(off AS BIGINT) || '-' || CAST(off + length(text) + {len(CLOSE)} AS BIGINT), ',' ORDER BY k) FILTER (side = 1 AND trained), '') END AS rejected_mask
 FROM y GROUP BY pair_id
 """
 

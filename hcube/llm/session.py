@@ -61,11 +61,15 @@ def small_batches(spark: SparkSession, size: str = "8m"):
         spark.conf.set(key, before) if before else spark.conf.unset(key)
 
 
-def free(spark: SparkSession) -> None:
-    """Collects garbage here and in the driver's JVM, so that shuffle files of finished jobs go."""
-    for _ in range(2):  # what is let go here reaches the JVM a moment later
+def free(spark: SparkSession, times: int = 1) -> None:
+    """Collects garbage here and in the driver's JVM, so that shuffle files of finished jobs go.
+
+    What is let go here reaches the JVM a moment later: more than one time before a large step.
+    """
+    for k in range(times):
         gc.collect()
-        time.sleep(0.2)
+        if k:
+            time.sleep(0.2)
         spark.sparkContext._jvm.System.gc()
 
 
