@@ -198,8 +198,13 @@ def _bits_of_lengths(counts: np.ndarray, width: int) -> int:
 
 
 def dac_best_width(values: np.ndarray) -> int:
-    counts = _lengths(values)
-    return min(range(1, 17), key=lambda w: (_bits_of_lengths(counts, w), w))
+    return best_width(_lengths(values))[0]
+
+
+def best_width(lengths: np.ndarray) -> tuple[int, int]:
+    """Chunk width of the smallest code for values by bit length, and its bits."""
+    bits, width = min((_bits_of_lengths(lengths, w), w) for w in range(1, 17))
+    return width, bits
 
 
 def dac_bits_sql(column: str, width: int, top: int = 63) -> str:

@@ -4,10 +4,12 @@ from __future__ import annotations
 
 from functools import reduce
 
+import numpy as np
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.bits import dac_bits_sql
+from ..functions.bits import best_width, dac_bits_sql
 from .hast import Tree, slot_count
 
 
@@ -27,6 +29,37 @@ def value_bits(slots: DataFrame, column: str, width: int) -> DataFrame:
     )
 
 
+def value_lengths(tables: list[DataFrame], column: str, zeros: int = 0) -> np.ndarray:
+    """How many values >= 0 have each bit length, by length; ``zeros`` more values are 0."""
+    out = np.zeros(65, np.int64)
+    every = reduce(DataFrame.unionByName, [x.select(F.length(F.bin(F.col(column).cast("long"))).alias("len")) for x in tables])
+    for r in every.groupBy("len").agg(F.count("*").alias("n")).collect():  # at most 64 rows
+        out[r.len] = r.n
+    out[1] += zeros
+    return out
+
+
+def space_report(t: Tree, measure: str, regular: dict[int, DataFrame], n: int, k: int) -> dict[str, int]:
+    """Bits of every part of both trees, values at their best chunk widths, in the published sense.
+
+    The hierarchy tree has degree sequences and a vocabulary of places, the regular one a
+    vocabulary of ranges; ``hast_overhead`` is the former's hierarchies in thousandths.
+    """
+    h, depth = t.cube.height, max(regular)
+    counts = [slot_count(t, d).first() for d in range(1, h + 1)]
+    slots = [r.slots for r in counts]
+    width, values = best_width(value_lengths([t.nodes[d] for d in range(h + 1)], measure, sum(r.slots - r.nonempty for r in counts)))
+    out = {"hast_occupancy": sum(slots[:-1]), "hast_limits": sum(slots), "hast_values": values, "hast_width": width}
+    members = [t.members(d.name).agg(F.count("*").alias("c"), F.sum(F.length("label")).alias("chars")).first() for d in t.cube.dims]
+    out |= {"hast_louds": sum(2 * (m.c + 1) - 1 for m in members), "hast_vocabulary": sum(8 * m.chars + 32 * m.c for m in members)}
+    blocks = [regular[d].count() for d in range(depth + 1)]
+    width, values = best_width(value_lengths(list(regular.values()), "total", sum(b * k**n for b in blocks[:-1]) - sum(blocks[1:])))
+    out |= {"rst_occupancy": sum(b * k**n for b in blocks[:-2]) if depth > 1 else 0, "rst_values": values, "rst_width": width}
+    out["rst_vocabulary"] = sum(8 * m.chars + 64 * m.c for m in members)
+    total = {s: sum(v for c, v in out.items() if c.startswith(s) and not c.endswith("width")) for s in ("hast", "rst")}
+    return out | {"hast_total": total["hast"], "rst_total": total["rst"], "hast_overhead": round(1000 * (out["hast_louds"] + out["hast_vocabulary"]) / total["hast"])}
+
+
 def hast_space(t: Tree, measure: str, width: int) -> DataFrame:
     """``(structure, part, bits)`` of the tree along hierarchies.
 

@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 
 from ..operators import packed, packed_rst, rst
 from ..operators.hast import Tree
+from ..operators.measures import space_report
 from ..plans import planner
 from ..sources.store import materialise
 from .grids import Grid
@@ -84,6 +85,15 @@ def compare(spark: SparkSession, grid: Grid, kinds=KINDS, n_queries: int = 10_00
     return rows
 
 
+def space(spark: SparkSession, grid: Grid) -> dict:
+    """KB of both trees and of their parts."""
+    t = grid.tree(spark)
+    regular = {d: materialise(x, f"regular-{d}") for d, x in rst.build_rst(grid.cells(spark), grid.n, 2, rst.height_for(grid.m, 2)).items()}
+    found = space_report(t, "v", regular, grid.n, 2)
+    kb = {k: v if k.endswith(("width", "overhead")) else round(v / 8192, 2) for k, v in found.items()}
+    return {"grid": grid.name, "organisation": grid.organisation, "empty": grid.empty, **kb, "rst_over_hast": round(found["rst_total"] / found["hast_total"], 3)}
+
+
 def significance(spark: SparkSession, grid: Grid, kind: str = "above_cells", sets: int = 20, n_queries: int = 10_000) -> dict:
     """Means and deviations of time over sets drawn by different seeds, and both statistics."""
     from statistics import mean, stdev
@@ -106,6 +116,8 @@ def main() -> None:
     p.add_argument("--queries", type=int, default=10_000)
     p.add_argument("--empty", type=int, nargs="*", default=[0, 25, 50])
     p.add_argument("--organisations", nargs="*", default=["binary", "irregular"])
+    p.add_argument("--kinds", nargs="*", default=list(KINDS))
+    p.add_argument("--space", action="store_true", help="sizes instead of times")
     p.add_argument("--sets", type=int, default=0, help="repeat sets for the significance of one kind")
     args = p.parse_args()
     spark = SparkSession.builder.config("spark.sql.session.timeZone", "UTC").getOrCreate()
@@ -115,7 +127,12 @@ def main() -> None:
         for organisation in args.organisations:
             for empty in args.empty:
                 grid = Grid(n, m, organisation, empty)
-                rows = [significance(spark, grid, sets=args.sets, n_queries=args.queries)] if args.sets else compare(spark, grid, n_queries=args.queries)
+                if args.space:
+                    rows = [space(spark, grid)]
+                elif args.sets:
+                    rows = [significance(spark, grid, kind, args.sets, args.queries) for kind in args.kinds]
+                else:
+                    rows = compare(spark, grid, args.kinds, args.queries)
                 for row in rows:
                     print(json.dumps(row), flush=True)
     spark.stop()
