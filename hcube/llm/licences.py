@@ -5,9 +5,10 @@ sequence of identifiers of a text is then matched against ordered rules, longer
 ones first, each match using up its identifiers.  Identifiers left over are
 reported, so an unknown combination is visible.
 
-Defined results: null or empty texts have no sentences and no licences; rows are
-judged one by one, so ties and repeated rows need no rule; other columns of the
-input are not read.
+Defined results: null or empty texts have no sentences and no licences; very long texts
+are judged whole; rows are judged one by one, so ties and repeated rows give equal
+results; an empty table gives no rows; other columns of the input stay, and those named
+``sentence_ids``, ``licences`` or ``leftover`` give way to the results.
 """
 
 from __future__ import annotations
@@ -19,7 +20,7 @@ from pyspark.sql import functions as F
 # pattern of SENTENCES needs one of these (tested entry by entry).
 TRIGGER = (
     r"licen[sc]|copyright|warrant|permission|redistribut|spdx|endorse|reserved|unencumbered|dedication|"
-    r"attribution|creative|cc0|cc[^\p{L}\p{N}.,()/]+by"
+    r"attribution|creative|be liable|cc0|cc[^\p{L}\p{N}.,()/]+by"
 )
 
 # Fixed values: (identifier, pattern over a normalised sentence), first match counts.
@@ -54,6 +55,7 @@ SENTENCES = (
     ("bsd-binary", r"redistributions in binary form must reproduce the above copyright notice"),
     ("bsd-noendorse", r"neither the name of .*may be used to endorse or promote products"),
     ("bsd-asis", r"this software is provided by .*as is and any express or implied warranties"),
+    ("liability", r"in no event shall .*be liable for any"),
     ("mpl2", r"mozilla public license,? v(ersion|\.) ?2\.0"),
     ("epl2", r"eclipse public license,? (v|version )2\.0"),
     ("cc-by-nc-nd", r"(cc by nc nd|attribution noncommercial noderivatives)"),
@@ -69,13 +71,17 @@ SENTENCES = (
 
 # Fixed values: (licence, identifiers that must follow each other), longer rules first.
 RULES = (
+    ("BSD-3-Clause", ("bsd-grant", "bsd-source", "bsd-binary", "bsd-noendorse", "bsd-asis", "liability")),
     ("BSD-3-Clause", ("bsd-grant", "bsd-source", "bsd-binary", "bsd-noendorse", "bsd-asis")),
+    ("BSD-2-Clause", ("bsd-grant", "bsd-source", "bsd-binary", "bsd-asis", "liability")),
+    ("MIT", ("mit-grant", "mit-notice", "mit-asis", "liability")),
     ("BSD-2-Clause", ("bsd-grant", "bsd-source", "bsd-binary", "bsd-asis")),
     ("Apache-2.0", ("apache2", "apache-compliance", "apache-copy", "apache-asis")),
     ("MIT", ("mit-grant", "mit-notice", "mit-asis")),
-    ("ISC", ("isc-grant", "isc-asis")),
+    ("ISC", ("isc-grant", "isc-asis", "liability")),
+    ("MIT", ("mit-grant", "mit-asis")), ("ISC", ("isc-grant", "isc-asis")),
     ("Apache-2.0", ("apache2",)), ("Apache-2.0", ("spdx-apache2",)),
-    ("MIT", ("mit-short",)), ("MIT", ("spdx-mit",)), ("MIT", ("mit-grant", "mit-asis")),
+    ("MIT", ("mit-short",)), ("MIT", ("spdx-mit",)),
     ("BSD-3-Clause", ("spdx-bsd3",)), ("BSD-2-Clause", ("spdx-bsd2",)),
     ("AGPL-3.0", ("agpl",)), ("LGPL-3.0", ("lgpl3",)), ("LGPL-2.1", ("lgpl21",)),
     ("GPL-3.0-or-later", ("gpl3plus",)), ("GPL-2.0-or-later", ("gpl2plus",)),
@@ -129,7 +135,7 @@ UNKNOWN = r"licen[sc]|copyright|warrant|permission|redistribut|spdx|as is|public
 
 def scan(docs: DataFrame, text: str = "text") -> DataFrame:
     """Adds ``sentence_ids``, ``licences`` and ``leftover`` (arrays of strings)."""
-    own = [F.col(f"`{c}`") for c in docs.columns]
+    own = [F.col(f"`{c}`") for c in docs.columns if c not in ("sentence_ids", "licences", "leftover", "__chain")]
     step = docs.select(
         *own,
         F.expr(

@@ -17,7 +17,7 @@ ALONE = {
     "bsd-asis": "THIS SOFTWARE IS PROVIDED BY X \"AS IS\" AND ANY EXPRESS OR IMPLIED WARRANTIES", "mpl2": "Mozilla Public License, version 2.0", "epl2": "Eclipse Public License v2.0",
     "cc-by-nc-nd": "Shared under CC BY-NC-ND 4.0", "cc-by-nc-sa": "Attribution-NonCommercial-ShareAlike", "cc-by-nc": "Attribution-NonCommercial 4.0", "cc-by-nd": "CC BY-ND",
     "cc-by-sa": "Shared under CC BY-SA 4.0.", "cc-by": "Licensed under a Creative Commons Attribution", "cc0": "CC0 1.0", "unlicense": "This is free and unencumbered software released into the public domain.",
-    "all-rights": "All rights reserved.",
+    "all-rights": "All rights reserved.", "liability": "IN NO EVENT SHALL THE AUTHORS BE LIABLE FOR ANY CLAIM",
 }
 SPDX = {"apache2": "Apache-2.0", "mit": "MIT", "bsd3": "BSD-3-Clause", "bsd2": "BSD-2-Clause", "gpl3": "GPL-3.0", "gpl2": "GPL-2.0", "mpl2": "MPL-2.0"}
 
@@ -107,9 +107,12 @@ TEXTS = {
 def test_wrapped_texts_of_all_licences(spark):
     assert set(TEXTS) == {name for name, _ in licences.RULES}
     more = {f"SPDX-License-Identifier: {v}\nCopyright 2020 X\nAll rights reserved": v for v in SPDX.values()}
+    liable = "IN NO EVENT SHALL THE COPYRIGHT HOLDERS OR\nCONTRIBUTORS BE LIABLE FOR ANY DAMAGES.\n"
+    more |= {MIT + liable: "MIT", BSD.format(more="") + liable: "BSD-2-Clause", BSD.format(more=NOENDORSE) + "\n" + liable: "BSD-3-Clause", ISC + liable: "ISC"}
     more |= {"\r\n".join(MIT.split("\n")): "MIT", MIT.replace("THE SOFTWARE IS", "Licence of X.\n\nTHE SOFTWARE IS"): "MIT"}
     texts = [*((v, k) for k, v in TEXTS.items()), *more.items()]
     df = spark.createDataFrame([(i, t) for i, (t, _) in enumerate(texts)], "doc_id long, text string")
     got = {r.doc_id: r for r in licences.op7_licence_scan(df).collect()}
     assert {(i, name): got[i].licences for i, (_, name) in enumerate(texts)} == {(i, name): name for i, (_, name) in enumerate(texts)}
+    assert not any("liability" in r.leftover for r in got.values())
     assert all("all-rights" in got[i].leftover for i, (t, _) in enumerate(texts) if "All rights" in t)
