@@ -94,8 +94,18 @@ def register(r: Registry) -> None:
           f"SELECT {', '.join(out_cols)}, CAST(sum(qty) AS BIGINT) AS qty, CAST(sum(cents) AS BIGINT) AS cents, count(*) AS cnt FROM ({C1.sql()}) GROUP BY GROUPING SETS ({sets(C1, one)})")
     from itertools import product as every
 
-    r.add("lattice_all_levels", lambda s, d: baselines.lattice(C1.facts(s, d), C1, 3).select(*out_cols, *sums, "cnt"),
-          f"SELECT {', '.join(out_cols)}, CAST(sum(qty) AS BIGINT) AS qty, CAST(sum(cents) AS BIGINT) AS cents, count(*) AS cnt FROM ({C1.sql()}) GROUP BY GROUPING SETS ({sets(C1, every(range(4), repeat=3))})")
+    lattice_sql = lambda n, of: f"SELECT {', '.join(of)}, CAST(sum(qty) AS BIGINT) AS qty, CAST(sum(cents) AS BIGINT) AS cents, count(*) AS cnt FROM ({C1.sql()}) GROUP BY GROUPING SETS ({sets(C1, every(range(n + 1), repeat=3))})"
+    low = [x.column(k) for x in C1.dims for k in (1, 2)]
+    r.add("lattice_upper_levels", lambda s, d: baselines.lattice(C1.facts(s, d), C1, 2).select(*low, *sums, "cnt"), lattice_sql(2, low))
+    # All 64 tuples of depths, each by what its members add up to: the rows themselves are many times the facts.
+    depth = ", ".join(f"CAST({' + '.join(f'CASE WHEN {x.column(k)} IS NULL THEN 0 ELSE 1 END' for k in (1, 2, 3))} AS INTEGER) AS g_{x.name}" for x in C1.dims)
+    tuple_of = ", ".join(f"g_{x.name}" for x in C1.dims)
+    checks = "count(*) AS members, CAST(sum(qty) AS BIGINT) AS qty, CAST(max(qty) AS BIGINT) AS most, CAST(sum(qty * qty) AS BIGINT) AS squares, CAST(sum(cents) AS BIGINT) AS cents, CAST(sum(cnt) AS BIGINT) AS cnt"
+
+    def whole_lattice(s, d):
+        return s.sql(f"SELECT {tuple_of}, {checks} FROM (SELECT {depth}, qty, cents, cnt FROM {{lattice}}) GROUP BY {tuple_of}", lattice=baselines.lattice(C1.facts(s, d), C1, 3))
+
+    r.add("lattice_all_levels", whole_lattice, f"SELECT {tuple_of}, {checks} FROM (SELECT {depth}, qty, cents, cnt FROM ({lattice_sql(3, out_cols)})) GROUP BY {tuple_of}")
 
     # Operators around the tree.
     def running(s, d):
