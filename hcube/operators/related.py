@@ -30,6 +30,37 @@ def range_mode(seq: DataFrame, ranges: DataFrame, block: int = 1024) -> DataFram
     return best.select("rid", "lo", "hi", F.col("b.value").alias("mode_value"), (-F.col("b.m")).alias("mode_count"))
 
 
+def top_cells(nodes: dict[int, DataFrame], dims: list[str], measure: str, k: int) -> DataFrame:
+    """The k largest cells of a measure >= 0, best subtrees first: ``(member ids of the cells, measure)``.
+
+    A cell is never more than a node above it.  The largest node of each depth leads to k
+    cells whose least is a bound; below it whole subtrees end, depth by depth.
+    """
+    h = max(nodes)
+    keys = lambda d: [f"{x}_id_{j}" for j in range(1, d + 1) for x in dims]
+    leaf = [F.col(f"{x}_id_{h}") for x in dims]
+    order = [F.desc(measure), *leaf]
+    best = nodes[1].orderBy(F.desc(measure), *keys(1)).limit(1).select(*keys(1))
+    first = nodes[h].join(F.broadcast(best), keys(1)).orderBy(*order).limit(k)
+    found = first.agg(F.count("*").alias("n"), F.min(measure).alias("least")).first()
+    bound = found.least if found.n == k else 0
+    open_ = nodes[1].filter(F.col(measure) >= bound)
+    for d in range(2, h + 1):
+        open_ = nodes[d].filter(F.col(measure) >= bound).join(open_.select(*keys(d - 1)), keys(d - 1), "left_semi")
+    return open_.orderBy(*order).limit(k).select(*[c.alias(x) for c, x in zip(leaf, dims)], measure)
+
+
+def sketched_distinct(rows: DataFrame, levels: list[str], value: str) -> DataFrame:
+    """Approximate distinct values under every member, ``(depth, label, estimate)``: sketches merged upwards."""
+    now = rows.groupBy(*levels).agg(F.hll_sketch_agg(value, F.lit(14)).alias("sketch"))
+    parts = []
+    for k in range(len(levels), 0, -1):
+        if k < len(levels):
+            now = now.groupBy(*levels[:k]).agg(F.hll_union_agg("sketch").alias("sketch"))
+        parts.append(now.select(F.lit(k).alias("depth"), F.col(levels[k - 1]).alias("label"), F.hll_sketch_estimate("sketch").alias("estimate")))
+    return reduce(DataFrame.unionByName, parts)
+
+
 def hier_distinct(rows: DataFrame, levels: list[str], value: str) -> DataFrame:
     """Distinct values under every member of every depth: ``(depth, label, n_distinct)``.
 

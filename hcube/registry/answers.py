@@ -7,10 +7,10 @@ from functools import reduce
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..operators import baselines
+from ..operators import baselines, related
 from ..plans import planner
 from ..workloads import cubes, querysets
-from .common import Registry, cols, tree_of
+from .common import Registry, cols, members_sql, tree_of
 
 N = 200
 C1 = cubes.C1
@@ -125,6 +125,50 @@ def register(r: Registry) -> None:
 
     r.add("topk_members", topk, f"WITH m AS (SELECT geo_1 AS region, geo_2 AS nation, CAST(sum(qty) AS BIGINT) AS qty FROM ({C1.sql()}) GROUP BY 1, 2) SELECT * FROM (SELECT region, CAST(row_number() OVER (PARTITION BY region ORDER BY qty DESC, nation) AS INTEGER) AS rank, nation, qty FROM m) WHERE rank <= 3")
 
+    def best_cells(s, d):
+        t = tree_of(s, d, C1)
+        out = related.top_cells(t.nodes, names, "qty", 20)
+        for x in C1.dims:
+            out = out.withColumnRenamed(x.name, f"id_{x.name}").join(t.leaf[x.name].select(F.col("id_3").alias(f"id_{x.name}"), F.concat_ws("/", *[x.column(k) for k in (1, 2, 3)]).alias(x.name)), f"id_{x.name}")
+        return out.select(*names, F.col("qty").cast("long").alias("qty"))
+
+    paths = [f"concat_ws('/', {cols(x, 3)})" for x in C1.dims]
+    r.add("topk_best_first", best_cells, f"SELECT {', '.join(f'{p} AS {x}' for p, x in zip(paths, names))}, CAST(sum(qty) AS BIGINT) AS qty FROM ({C1.sql()}) GROUP BY {', '.join(cols(x, 3) for x in C1.dims)} ORDER BY qty DESC, {', '.join(cols(x, 3) for x in C1.dims)} LIMIT 20")
+
+    def pivoted(s, d):
+        rows = tree_of(s, d, cubes.C3).labelled(1)
+        return rows.groupBy("state").pivot("flag", ["A", "N", "R"]).agg(F.sum("qty").cast("long")).na.fill(0)
+
+    r.add("pivot_flags", pivoted, f"SELECT state, {', '.join(f'CAST(coalesce(sum(qty) FILTER (flag_1 = {chr(39)}{x}{chr(39)}), 0) AS BIGINT) AS {chr(34)}{x}{chr(34)}' for x in 'ANR')} FROM (SELECT state_1 AS state, flag_1, qty FROM ({cubes.C3.sql()})) GROUP BY state")
+
+    def counted(s, d):
+        """Cells of each flag by order state, as a map turned to text."""
+        rows = tree_of(s, d, cubes.C3).labelled(1).groupBy("flag").agg(F.map_from_entries(F.sort_array(F.collect_list(F.struct("state", "cnt")))).alias("m"))
+        halves = F.transform_values("m", lambda k, v: F.floor(v / 2))
+        text = F.array_join(F.transform(F.map_keys(halves), lambda k: F.concat_ws(":", k, F.element_at(halves, k))), ",")
+        return rows.select("flag", F.size("m").alias("states"), text.alias("halves"))
+
+    r.add("map_state_counts", counted, f"SELECT flag, CAST(count(*) AS INTEGER) AS states, string_agg(state || ':' || (cnt // 2), ',' ORDER BY state) AS halves FROM (SELECT flag_1 AS flag, state_1 AS state, count(*) AS cnt FROM ({cubes.C3.sql()}) GROUP BY 1, 2) GROUP BY flag")
+
+    def sketched(s, d):
+        f, levels = C1.facts(s, d), [C1.dims[2].column(k) for k in (1, 2)]
+        rows = related.sketched_distinct(f, levels, C1.dims[1].column(3))
+        exact = related.hier_distinct(f, levels, C1.dims[1].column(3))
+        close = F.abs(F.col("estimate") - F.col("n_distinct")) <= F.lit(0.05) * F.col("n_distinct")
+        return rows.join(exact, ["depth", "label"]).select("depth", "label", "n_distinct", close.alias("close"))
+
+    r.add("sketched_distinct", sketched, f"WITH f AS ({C1.sql()}) " + " UNION ALL ".join(f"SELECT {k} AS depth, time_{k} AS label, count(DISTINCT {C1.dims[1].column(3)}) AS n_distinct, true AS close FROM f GROUP BY time_{k}" for k in (1, 2)))
+
+    def overlapping(s, d):
+        """Pairs of product types and stretches of 100 parts that overlap: a join by inequalities alone."""
+        m = tree_of(s, d, C1).members("product")
+        types = m.filter("depth = 1").select(F.col("label"), "lo", "hi")
+        steps = m.filter("depth = 3").select(F.expr("member_id div 100").alias("stretch")).distinct()
+        return types.join(F.broadcast(steps), F.expr("lo <= stretch * 100 + 99 AND hi >= stretch * 100")).select("label", "stretch")
+
+    span = members_sql(C1.dims[1], C1.sql())
+    r.add("theta_overlaps", overlapping, f"WITH m AS (SELECT * FROM {span}), s AS (SELECT DISTINCT CAST(member_id // 100 AS BIGINT) AS stretch FROM m WHERE depth = 3) SELECT label, stretch FROM m JOIN s ON lo <= stretch * 100 + 99 AND hi >= stretch * 100 WHERE depth = 1")
+
     def used(s, d, how):
         t = tree_of(s, d, C1)
         brands = t.members("product").filter("depth = 2").select("depth", "label", "member_id")

@@ -151,6 +151,10 @@ def register(r: Registry) -> None:
     r.add("compact_walk_shards", lambda s, d: compact(s, "mixed", cut=1).select("qid", "v"), f"SELECT qid, v FROM ({truth})")
     hast_sql = _hast_visits_sql(cube8, facts8, LABELS, "mixed")
     ask8 = lambda s: querysets.query_set(grid_tree(s, g8), LABELS, "mixed")
+    def spread(s, d):
+        return planner.visits(grid_tree(s, g8), ask8(s)).agg(*[F.percentile("n_visited", F.lit(p)).alias(f"p{int(100 * p)}") for p in (0.5, 0.9, 0.99)])
+
+    r.add("visits_percentiles", spread, f"SELECT {', '.join(f'CAST(quantile_cont(n_visited, {p}) AS DOUBLE) AS p{int(100 * p)}' for p in (0.5, 0.9, 0.99))} FROM ({hast_sql})")
     r.add("visits_hast", lambda s, d: planner.visits(grid_tree(s, g8), ask8(s)).select("qid", "n_summed", "n_visited"), hast_sql)
     r.add("visits_hast_closed", lambda s, d: measures.hast_closed_form(grid_tree(s, g8), planner.resolve(grid_tree(s, g8), ask8(s))), hast_sql)
 

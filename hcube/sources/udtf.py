@@ -48,6 +48,22 @@ class LoudsChildren:
             yield k - 1, child, size(child)
 
 
+@udtf(returnType="depth: int, number: bigint, position: bigint")
+class LoudsDescendants:
+    """Descendants of the node at a position of a LOUDS bit string down to some depth below it, with their level-order numbers."""
+
+    def eval(self, bits: str, position: int, depth: int):
+        from ..functions.bits import BitVec
+        from ..functions.louds import Louds
+
+        tree, level = Louds(bits=BitVec(bits)), [position]
+        for below in range(1, depth + 1):
+            level = [tree.child(i, k) for i in level for k in range(1, tree.degree(i) + 1)]
+            for i in level:
+                yield below, tree.number(i), i
+
+
 def register(spark: SparkSession) -> None:
     spark.udtf.register("rst_cover", BoxCover)
     spark.udtf.register("louds_children", LoudsChildren)
+    spark.udtf.register("hcube_descendants", LoudsDescendants)
