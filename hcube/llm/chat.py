@@ -9,7 +9,9 @@ Defined results: null role counts as ``user``, null text as empty; turns are
 ordered by (turn, role, text), nulls first, so ties and repeated rows have one
 order and all stay; a pair with one side only gives an empty prompt, that side's
 completion and a null for the other; null pair ids or sides take no part; two equal
-conversations give empty completions and ``differs`` false.
+conversations give empty completions and ``differs`` false; very long texts are rendered
+whole, all turns of a pair in one row; an empty table gives no rows; other columns are
+not read.
 """
 
 from __future__ import annotations

@@ -4,7 +4,8 @@ Every figure comes from built-in functions over the whole text of a row, so the
 plan is a scan and a few projections: no shuffle, no Python.  A null text counts
 as empty; empty texts fail the base rule; extra columns are left alone by
 ``annotate`` and not read by ``op8_quality_rules``.  Rows are judged one by one,
-so repeated rows and ties need no rule.
+so repeated rows and ties need no rule; very long texts are judged whole, in one row;
+an empty table gives no rows.
 """
 
 from __future__ import annotations

@@ -17,9 +17,12 @@ documents send anchors to buckets, which answer what recurs; (3) contexts are cu
 anchor with more contexts than one task should hold gives up its exact copies in an
 aggregate first, and what is left is divided by what its windows share, down to single
 windows (again an aggregate), so no task holds an unbounded group and nothing is left out.
+Cold anchors decide by bytes; windows of anchors that had to be divided are compared by
+64-bit hashes, and so are whole texts in step (1).
 
 Defined results: a null text is empty; a row with a null doc_id neither removes nor
-loses anything; rows with one doc_id don't remove from each other; an empty table
+loses anything; rows with one doc_id don't remove from each other; very long texts are
+searched whole; an empty table
 gives no rows; columns other than doc_id and text are not read.
 """
 

@@ -10,7 +10,8 @@ those that can no longer reach the k-th best score are left out of what follows.
 Defined results: null vectors, and vectors with null, NaN or infinite components,
 take no part; only vectors of one length are compared; rows with a null vec_id are
 candidates for none and no queries; one row equal to the query in id and vector is
-taken to be the query's own, further ones count; ties go to the smaller vec_id.
+taken to be the query's own, further ones count; ties go to the smaller vec_id; an empty
+table gives no rows; columns other than vec_id and embedding are not read.
 """
 
 from __future__ import annotations
