@@ -9,8 +9,8 @@ in common among the first n - ceil(0.8 n) + 1 of the one and of the other.  Text
 share such a key are compared by their whole shingle sets, in two steps, so that a
 large group of copies isn't multiplied out: for some rounds each text only with a member
 of its keys' groups that shares most with the others and with two that change from round
-to round, then all pairs of different components that share enough keys to reach the
-similarity.
+to round, then all pairs of different components that share a key behind which enough is
+left in both to reach the similarity.
 
 Which shingles are common comes from a sample and changes the work only, not the pairs.
 Shingles and sets are compared by 64-bit hashes.
@@ -149,10 +149,6 @@ def similar(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return pairs.join(of("a"), "a").join(of("b"), "b").select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
 
 
-# What two nodes have before the nearer end of their keys is counted (m); behind it the shorter rest bounds it.
-_ENOUGH = "9 * (m + (4 * greatest(size_a, size_b) + 4) div 5 - 1) >= 4 * (size_a + size_b)"
-
-
 def close_pairs(nodes: DataFrame) -> DataFrame:
     """Pairs of nodes that the SimHash operator links: each with the one that stands for its linked fingerprint."""
     heads = nodes.groupBy("fp").agg(F.min("node").alias("head"))
@@ -186,7 +182,7 @@ def star_pairs(keyed: DataFrame, labels: DataFrame, turn: int) -> DataFrame:
 
 
 def other_pairs(keyed: DataFrame, labels: DataFrame, group: int = GROUP) -> DataFrame:
-    """All pairs of different components that can be similar by sizes, places and number of shared keys."""
+    """All pairs of different components that can be similar by sizes and the places of a shared key."""
     rows = keyed.select("k", "node", "size", "pos").join(labels, "node", "left").withColumn("label", F.coalesce("root", "node")).drop("root")
     mixed = rows.groupBy("k").agg(F.min("label").alias("l0"), F.max("label").alias("l1"), F.count("*").alias("n")).filter("l0 <> l1")
     rows = rows.join(mixed.select("k", "n"), "k").withColumn("parts", F.ceil(F.col("n") / group).cast("long"))
@@ -194,12 +190,11 @@ def other_pairs(keyed: DataFrame, labels: DataFrame, group: int = GROUP) -> Data
     rows = rows.withColumn("mine", F.pmod(F.xxhash64("node"), F.col("parts"))).withColumn("other", F.explode(F.expr("sequence(0L, parts - 1)")))
     rows = rows.selectExpr("k", "node", "size", "pos", "label", "mine", "least(mine, other) AS p", "greatest(mine, other) AS q")
     left, right = (rows.select("k", "p", "q", *[F.col(c).alias(f"{c}_{x}") for c in ("node", "size", "pos", "label", "mine")]) for x in "ab")
+    # Of what two similar texts share, the first key of the common order has enough behind it in both.
     met = left.join(right, ["k", "p", "q"]).filter(
-        "node_a < node_b AND label_a <> label_b AND (mine_a <> mine_b OR p = q) AND 5 * least(size_a, size_b) >= 4 * greatest(size_a, size_b)"
+        "node_a < node_b AND label_a <> label_b AND (mine_a <> mine_b OR p = q) AND 9 * least(size_a - pos_a, size_b - pos_b) >= 4 * (size_a + size_b)"
     )
-    reach = "9 * least(size_a - pos_a, size_b - pos_b) >= 4 * (size_a + size_b)"
-    counted = met.groupBy("node_a", "node_b", "size_a", "size_b").agg(F.count("*").alias("m"), F.expr(f"bool_or({reach})").alias("near"))
-    return counted.filter(f"near AND {_ENOUGH}").select(F.col("node_a").alias("a"), F.col("node_b").alias("b"))
+    return met.select(F.col("node_a").alias("a"), F.col("node_b").alias("b")).distinct()
 
 
 def near_copies(docs: DataFrame, group: int = GROUP, limit: int = COMMON, rounds: int = ROUNDS) -> DataFrame:

@@ -54,3 +54,13 @@ def test_all_pairs_of_similarity_are_linked(spark, group, limit):
 
         kept = {r.doc_id for r in dict(corpus_pipeline.STAGES)["near_copies"](spark, df, "").collect()}
         assert kept == set(least.values())
+
+
+def test_pairs_that_share_late_keys_only_are_not_made(spark):
+    """150 texts of one group whose first shared key leaves too little behind it, and one pair where it doesn't."""
+    rows = [(1, k, 100, 15) for k in range(150)] + [(2, 200, 100, 3), (2, 201, 100, 4)]
+    keyed = spark.createDataFrame(rows, "k long, node long, size long, pos long")
+    found = shingles.other_pairs(keyed, spark.createDataFrame([], "node long, root long"), 40)
+    assert [tuple(r) for r in found.collect()] == [(200, 201)]
+    joins = [x for x in found._jdf.queryExecution().optimizedPlan().toString().splitlines() if "Join Inner" in x and "node_a" in x]
+    assert joins and all("pos_a" in x for x in joins)
