@@ -4,7 +4,7 @@ The SimHash operator comes first: fingerprints of the five-word shingles within
 are linked through its BK-trees, and links whose shingle sets are similar enough stand.
 Its radius finds the closest copies only, so an exact join finds what is left and no
 similar pair is lost.  The distinct shingles of a text stand in an order that all texts
-share (common ones last, else by hash); two similar texts of n and m shingles have one
+share (common ones last); two similar texts of n and m shingles have one
 in common among the first n - ceil(0.8 n) + 1 of the one and of the other.  Texts that
 share such a key are compared by their whole shingle sets, in two steps, so that a
 large group of copies isn't multiplied out: for some rounds each text only with a member
@@ -12,8 +12,8 @@ of its keys' groups that shares most with the others and with two that change fr
 to round, then all pairs of different components that share a key behind which enough is
 left in both to reach the similarity.
 
-Which shingles are common comes from a sample and changes the work only, not the pairs.
-Shingles and sets are compared by 64-bit hashes.
+How common a shingle is is counted over all texts, in a fixed number of counters by its
+hash; shingles of equal counters stand by hash.  Shingles and sets are compared by 64-bit hashes.
 
 Defined results: texts of fewer than five words are one shingle; null and empty texts
 are copies of each other; very long texts are one set; a null doc_id counts as no
@@ -27,7 +27,8 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+import zstandard
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .graph import components
@@ -39,7 +40,7 @@ WORDS = 5
 # The similarity is 4 / 5; both are written out in the conditions below.
 GROUP = 500
 ROUNDS = 2
-COMMON = 200_000
+COUNTERS, SLICE = 1 << 22, 1 << 16
 _STEP = U(0xC2B2AE3D27D4EB4F)
 
 
@@ -78,36 +79,46 @@ def set_fingerprint(shingles: np.ndarray) -> int:
     return int(np.packbits(2 * ones > len(shingles), bitorder="little").view(np.int64)[0])
 
 
-def common_shingles(docs: DataFrame, limit: int = COMMON) -> np.ndarray:
-    """Sorted hashes of shingles that a sample of the texts holds again and again."""
-    every = max(1, min(16, docs.count() // 2000))
+def shared_counts(docs: DataFrame, counters: int = COUNTERS) -> np.ndarray:
+    """Of every shingle of all texts its number of texts, added up in ``counters`` places by its hash."""
+    if not counters:
+        return np.zeros(1, np.int64)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        mine = np.zeros(counters, np.int64)
         for batch in batches:
-            found = shingle_sets([t or b"" for t in batch.column(0).to_pylist()])
-            if found:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(found).view(np.int64))], ["s"])
-
-    sample = docs.filter(F.pmod(F.xxhash64("text", F.lit(1)), F.lit(every)) == 0).select(F.col("text").cast("binary"))
-    counted = sample.mapInArrow(run, "s long").groupBy("s").agg(F.count("*").alias("n")).filter("n > 3")
-    rows = counted.orderBy(F.desc("n"), "s").limit(limit).select("s").collect()
-    return np.sort(np.array([r.s for r in rows], np.int64).view(U))
+            for s in shingle_sets([t or b"" for t in batch.column(0).to_pylist()]):
+                np.add.at(mine, (s % U(counters)).astype(np.int64), 1)
+        cuts = range(0, counters, SLICE)
+        packed = [zstandard.compress(mine[a : a + SLICE].tobytes(), 1) for a in cuts]
+        yield pa.RecordBatch.from_arrays([pa.array(cuts, pa.int64()), pa.array(packed, pa.binary())], ["first", "n"])
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for first, n in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                sums[first] = sums.get(first, 0) + np.frombuffer(zstandard.decompress(n), np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int64()), pa.array([zstandard.compress(x.tobytes(), 1) for x in sums.values()], pa.binary())], ["first", "n"])
+
+    kind = "first long, n binary"
+    rows = docs.select(F.col("text").cast("binary")).mapInArrow(count, kind).repartition("first").mapInArrow(add, kind).collect()
+    out = np.zeros(counters, np.int64)
+    for r in rows:
+        out[r.first : r.first + SLICE] = np.frombuffer(zstandard.decompress(bytes(r.n)), np.int64)
+    return out
 
 
-def prints(docs: DataFrame, common: np.ndarray) -> DataFrame:
+def prints(docs: DataFrame, counts: np.ndarray) -> DataFrame:
     """``(doc_id, th, node, fp, size, keys)``: hash of the text, name, fingerprint and size of its set, its first shingles."""
-    shared = docs.sparkSession.sparkContext.broadcast(common)
+    shared = docs.sparkSession.sparkContext.broadcast(counts.astype(np.uint32))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last = shared.value
+        held = shared.value
         for batch in batches:
             sets = shingle_sets([t or b"" for t in batch.column(1).to_pylist()])
             keys = []
             for s in sets:
-                if len(last):
-                    at = np.minimum(np.searchsorted(last, s), len(last) - 1)
-                    late = last[at] == s
-                    s = np.r_[s[~late], s[late]]
+                s = s[np.argsort(held[(s % U(len(held))).astype(np.int64)], kind="stable")]
                 keys.append(s[: len(s) - (4 * len(s) + 4) // 5 + 1].view(np.int64))
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), batch.column(2), pa.array([set_name(s) for s in sets], pa.int64()), pa.array([set_fingerprint(s) for s in sets], pa.int64()),
@@ -197,10 +208,10 @@ def other_pairs(keyed: DataFrame, labels: DataFrame, group: int = GROUP) -> Data
     return met.select(F.col("node_a").alias("a"), F.col("node_b").alias("b")).distinct()
 
 
-def near_copies(docs: DataFrame, group: int = GROUP, limit: int = COMMON, rounds: int = ROUNDS) -> DataFrame:
+def near_copies(docs: DataFrame, group: int = GROUP, counters: int = COUNTERS, rounds: int = ROUNDS) -> DataFrame:
     """``(doc_id, component_id)``, one row per row of ``docs``; component_id is the smallest doc_id linked to it."""
     docs = docs.select("doc_id", "text")
-    table = written(prints(docs, common_shingles(docs, limit)), "shingle-prints")
+    table = written(prints(docs, shared_counts(docs, counters)), "shingle-prints")
     # Texts with equal sets are one node.
     one = table.groupBy("node").agg(*[F.min(c).alias(a) for c, a in (("doc_id", "least"), ("th", "th"), ("fp", "fp"))], F.first("size").alias("size"), F.first("keys").alias("keys"))
     nodes = written(one, "shingle-nodes")

@@ -56,6 +56,16 @@ def test_all_pairs_of_similarity_are_linked(spark, group, limit):
         assert kept == set(least.values())
 
 
+def test_shingles_of_all_texts_are_counted(spark):
+    texts = [f"one two three four five w{k % 3} x{k}" for k in range(9000)]
+    df = spark.createDataFrame([(t,) for t in texts], "text string").repartition(7)
+    got = shingles.shared_counts(df, 1 << 16)
+    assert got.sum() == 3 * len(texts)
+    for words, n in (("one two three four five", 9000), ("two three four five w1", 3000)):
+        (s,) = shingles.shingle_sets([words.encode()])[0]
+        assert n <= got[int(s) % (1 << 16)] < n + 50
+
+
 def test_pairs_that_share_late_keys_only_are_not_made(spark):
     """150 texts of one group whose first shared key leaves too little behind it, and one pair where it doesn't."""
     rows = [(1, k, 100, 15) for k in range(150)] + [(2, 200, 100, 3), (2, 201, 100, 4)]
