@@ -202,7 +202,7 @@ def block_triples(row: dict, words: np.ndarray) -> tuple[np.ndarray, ...]:
 
     Numbers are places in ``words``; the start of a text has the number behind them.
     """
-    n, ids = _unpacked(row["n_tokens"], np.int64), _unpacked(row["ids"], np.uint32).astype(np.int64)
+    n, ids = _unpacked(row["n_tokens"], np.int64), _unpacked(row["ids"], np.uint32).view(np.int32)
     held = _unpacked(row["held"], bool)
     width = len(words) + 1
     begin = np.cumsum(n) - n
@@ -211,9 +211,14 @@ def block_triples(row: dict, words: np.ndarray) -> tuple[np.ndarray, ...]:
     middle[begin] = far[begin] = width - 1
     far[begin[n > 1] + 1] = width - 1
     if width <= 1 << 21:  # three numbers in 63 bits; a product with an odd number keeps them apart
-        key = ((middle * width + far) * width + ids).view(U) * U(0x9E3779B97F4A7C15)
+        key = middle.astype(np.int64)
+        for x in (far, ids):
+            key *= width
+            key += x
+        key = key.view(U)
+        key *= U(0x9E3779B97F4A7C15)
     else:  # a very long text: by 64-bit hashes
-        key = mix(mix((middle * width + far).view(U)) + ids.view(U))
+        key = mix(mix((middle.astype(np.int64) * width + far).view(U)) + ids.astype(U))
     _, first, of = distinct(key)
     train = np.bincount(of[np.repeat(~held, n)], minlength=len(first))
     return middle[first], far[first], ids[first], train, of
@@ -257,30 +262,35 @@ def _order(row: dict, words: np.ndarray, known: Words, n_buckets: int):
 _ASKED = "block long, bucket int, middle binary, middle_rest binary, n_triples binary, codes binary, rest binary, train binary, answer binary"
 
 
+def _requests(row: dict, known: Words, n_buckets: int) -> pa.RecordBatch:
+    middle, far, word, train, of, names, bucket, order = _order(row, _unpacked(row["words"], U), known, n_buckets)
+    del of
+    b_sorted, m_sorted, codes = bucket[order], middle[order], _codes(names, known)
+    del bucket, middle
+    cuts = np.flatnonzero(np.r_[True, b_sorted[1:] != b_sorted[:-1]])
+    out = []
+    for a, z in zip(cuts, [*cuts[1:], len(order)]):
+        first = a + np.flatnonzero(np.r_[True, np.diff(m_sorted[a:z]) != 0])
+        both = np.r_[far[order[a:z]], word[order[a:z]]]
+        sent = codes[both]
+        mine = codes[m_sorted[first]]
+        out.append((row["block"], int(b_sorted[a]), _packed(mine), _packed(names[m_sorted[first[mine == len(known.coded)]]]), _packed(np.diff(np.r_[first, z]).astype(np.uint32)),
+                    _packed(sent), _packed(names[both[sent == len(known.coded)]] & U((1 << 48) - 1)), _packed(train[order[a:z]].astype(np.uint32))))
+    cols = list(zip(*out))
+    return pa.RecordBatch.from_arrays(
+        [pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[2:]),
+         pa.nulls(len(out), pa.binary())],
+        [f.split()[0] for f in _ASKED.split(", ")],
+    )
+
+
 def requests(blocks: DataFrame, shared: Broadcast, n_buckets: int) -> DataFrame:
     """What each block asks of each bucket: middle words, their triples and training counts."""
 
     def run(batches):
-        known = shared.value
         for batch in batches:
             for row in batch.to_pylist():
-                middle, far, word, train, _, names, bucket, order = _order(row, _unpacked(row["words"], U), known, n_buckets)
-                b_sorted, m_sorted, codes = bucket[order], middle[order], _codes(names, known)
-                cuts = np.flatnonzero(np.r_[True, b_sorted[1:] != b_sorted[:-1]])
-                out = []
-                for a, z in zip(cuts, [*cuts[1:], len(order)]):
-                    first = a + np.flatnonzero(np.r_[True, np.diff(m_sorted[a:z]) != 0])
-                    both = np.r_[far[order[a:z]], word[order[a:z]]]
-                    sent = codes[both]
-                    mine = codes[m_sorted[first]]
-                    out.append((row["block"], int(b_sorted[a]), _packed(mine), _packed(names[m_sorted[first[mine == len(known.coded)]]]), _packed(np.diff(np.r_[first, z]).astype(np.uint32)),
-                                _packed(sent), _packed(names[both[sent == len(known.coded)]] & U((1 << 48) - 1)), _packed(train[order[a:z]].astype(np.uint32))))
-                cols = list(zip(*out))
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int32()), *(pa.array(c, pa.binary()) for c in cols[2:]),
-                     pa.nulls(len(out), pa.binary())],
-                    [f.split()[0] for f in _ASKED.split(", ")],
-                )
+                yield _requests(row, shared.value, n_buckets)
 
     return blocks.select("block", "held", "n_tokens", "words", "ids").mapInArrow(run, _ASKED)
 
@@ -505,13 +515,17 @@ class Bucket:
 
 
 def _buckets(batches, known: Words) -> Iterator[tuple[int, list[tuple[int, int, int]], Bucket, list[dict]]]:
-    """The buckets of a partition: name, (block, middle words, triples) of each request, restaurants, root's answers."""
+    """The buckets of a partition: name, (block, middle words, triples) of each request, restaurants, root's answers.
+
+    What a bucket is made from is let go before it is handed on; callers drop it before they ask for the next.
+    """
 
-    def finish(bucket: int, rows: list[dict]):
-        said = [r for r in rows if r["answer"] is not None]
-        rows = sorted((r for r in rows if r["answer"] is None), key=lambda r: r["block"])
+    def finish(bucket: int, taken: list[dict]):
+        said = [r for r in taken if r["answer"] is not None]
+        rows = sorted((r for r in taken if r["answer"] is None), key=lambda r: r["block"])
+        taken.clear()
         if not rows:
-            return
+            return None
         middles, n_middles = _decoded(rows, "middle", "middle_rest", known)
         # Each row has its farther words and then its words.
         both, n_both = _decoded(rows, "codes", "rest", known)
@@ -520,18 +534,19 @@ def _buckets(batches, known: Words) -> Iterator[tuple[int, list[tuple[int, int,
         far, word = both[first], both[first + np.repeat(n, n)]
         each, train = (np.concatenate([_unpacked(r[c], np.uint32) for r in rows]) for c in ("n_triples", "train"))
         asked = [(r["block"], mine, int(k)) for r, mine, k in zip(rows, np.split(middles, np.cumsum(n_middles)[:-1]), n)]
-        yield bucket, asked, Bucket(np.repeat(middles, each), far, word, train, known), said
+        del both, first, rows
+        return bucket, asked, Bucket(np.repeat(middles, each), far, word, train, known), said
 
     rows, mine = [], None
     for batch in batches:
         for row in batch.to_pylist():
             if row["bucket"] != mine:
                 if rows:
-                    yield from finish(mine, rows)
+                    yield from filter(None, [finish(mine, rows)])
                 rows, mine = [], row["bucket"]
             rows.append(row)
     if rows:
-        yield from finish(mine, rows)
+        yield from filter(None, [finish(mine, rows)])
 
 
 # ---- the root ----
@@ -542,23 +557,25 @@ _TOLD = "bucket int, part int, hot binary, codes binary, rest binary, n binary"
 def _told(asked: DataFrame, shared: Broadcast, n_buckets: int) -> DataFrame:
     """Step 1: the tables of each bucket by word, for the parts that keep the root."""
 
-    def run(batches):
-        for bucket, _, rooms, _ in _buckets(batches, shared.value):
-            rooms.early()
-            hot, word, n, _ = rooms.sent()
-            codes = _codes(word, shared.value)
-            part = ((word >> U(16)) % U(n_buckets)).astype(np.int32)
-            order = np.argsort(part, kind="stable")
-            cuts = np.flatnonzero(np.r_[True, np.diff(part[order]) != 0])
-            for a, z in zip(cuts, [*cuts[1:], len(order)]):
-                mine = order[a:z]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array([bucket], pa.int32()), pa.array([part[mine[0]]], pa.int32()),
-                     *(pa.array([_packed(x)], pa.binary()) for x in (hot[mine], codes[mine], word[mine[codes[mine] == len(shared.value.coded)]], n[mine]))],
-                    [f.split()[0] for f in _TOLD.split(", ")],
-                )
+    return asked.mapInArrow(lambda batches: _tell(batches, shared.value, n_buckets), _TOLD)
 
-    return asked.mapInArrow(run, _TOLD)
+
+def _tell(batches, known: Words, n_buckets: int) -> Iterator[pa.RecordBatch]:
+    for bucket, _, rooms, _ in _buckets(batches, known):
+        rooms.early()
+        hot, word, n, _ = rooms.sent()
+        del rooms, _
+        codes = _codes(word, known)
+        part = ((word >> U(16)) % U(n_buckets)).astype(np.int32)
+        order = np.argsort(part, kind="stable")
+        cuts = np.flatnonzero(np.r_[True, np.diff(part[order]) != 0])
+        for a, z in zip(cuts, [*cuts[1:], len(order)]):
+            mine = order[a:z]
+            yield pa.RecordBatch.from_arrays(
+                [pa.array([bucket], pa.int32()), pa.array([part[mine[0]]], pa.int32()),
+                 *(pa.array([_packed(x)], pa.binary()) for x in (hot[mine], codes[mine], word[mine[codes[mine] == len(known.coded)]], n[mine]))],
+                [f.split()[0] for f in _TOLD.split(", ")],
+            )
 
 
 class Root:
@@ -699,6 +716,7 @@ def _answers(asked: DataFrame, shared: Broadcast, n_buckets: int) -> DataFrame:
                     [f.split()[0] for f in _ANSWER.split(", ")],
                 )
                 at += n
+            del rooms, word, of, _, part, root, said, logs, asks, mine
 
     return asked.mapInArrow(run, _ANSWER)
 

@@ -155,3 +155,28 @@ def test_drawn_tables_follow_their_conditional(c, a, monkeypatch):
     assert t.min() >= 1 and t.max() <= c
     assert abs(t.mean() - mean) < 0.03 * mean + 0.05, (t.mean(), mean)
     assert abs(t.std() - spread) < 0.1 * spread + 0.1, (t.std(), spread)
+
+
+def test_one_bucket_is_held_at_a_time(monkeypatch):
+    """What one bucket needs is let go before the next is made."""
+    import weakref
+
+    import pyarrow as pa
+
+    rng = np.random.default_rng(2)
+    words = np.unique(rng.integers(1, 2**63, 400).astype(lm.U))
+    n = np.full(50, 20)
+    row = {"block": 1, "n_tokens": lm._packed(n), "ids": lm._packed(rng.integers(0, len(words), n.sum()).astype(np.uint32)), "held": lm._packed(np.zeros(50, bool)), "words": lm._packed(words)}
+    known = lm.Words(np.sort(np.array([lm.START, lm.END], lm.U)), np.zeros(2, np.int64), np.empty(0, lm.U), np.empty(0, np.uint32), np.empty(0), np.zeros(1, lm.U), 1000, len(words))
+    asked = lm._requests(row, known, 9)
+    alive, most, make = [], [], lm.Bucket
+
+    def counted(*a):
+        most.append(sum(r() is not None for r in alive))
+        out = make(*a)
+        alive.append(weakref.ref(out))
+        return out
+
+    monkeypatch.setattr(lm, "Bucket", counted)
+    told = pa.Table.from_batches(list(lm._tell([asked], known, 9)))
+    assert len(alive) == 9 and max(most) == 0 and told.num_rows >= 9
