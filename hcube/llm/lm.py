@@ -53,6 +53,7 @@ BLOCK_TOKENS = 1 << 21
 BUCKET_TOKENS = 1 << 21
 CODED = 1 << 19  # words that travel as their rank; the others as 48 bits of their hash
 HOT, HOT_SHARE = 1 << 20, 1 << 20
+ROUNDS = 4  # in which blocks meet their answers
 #: Discounts and strengths of pairs, single words and the root.
 DISCOUNTS, STRENGTHS = (0.85, 0.75, 0.65), (1.0, 1.0, 1.0)
 EXACT = 256
@@ -156,14 +157,12 @@ class Words(NamedTuple):
     known: int
     chain: Chain = Chain()
 
-    def first_root(self, words: np.ndarray) -> np.ndarray:
-        """The root's probabilities before its first sample: counted shares, the rest uniform."""
-        at = np.minimum(np.searchsorted(self.coded, words), max(len(self.coded) - 1, 0))
+    def first_root(self, codes: np.ndarray) -> np.ndarray:
+        """The root's probabilities before its first sample, by the words' codes: counted shares, the rest uniform."""
         rest = max(1.0 - self.shares.sum(), 0.0) + 1.0 / (self.n_train + 1)
-        flat = rest / (self.known - len(self.coded) + 1)
-        if not len(self.coded):
-            return np.full(len(words), flat)
-        return np.where(self.coded[at] == words, self.shares[at], flat)
+        by_code = np.full(len(self.coded) + 1, rest / (self.known - len(self.coded) + 1))
+        by_code[self.ranks] = self.shares
+        return by_code[codes]
 
 
 def training_words(blocks: DataFrame, coded: int = CODED, hot: int | None = None) -> Words:
@@ -232,13 +231,13 @@ def _codes(words: np.ndarray, known: Words) -> np.ndarray:
     return np.where(known.coded[at] == words, known.ranks[at], len(known.coded)).astype(np.uint32)
 
 
-def _decoded(rows: list[dict], codes: str, rest: str, known: Words) -> tuple[np.ndarray, np.ndarray]:
-    """Words of all rows behind each other, and how many each row has."""
+def _decoded(rows: list[dict], codes: str, rest: str, known: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Words of all rows behind each other, how many each row has, and the words' codes."""
     parts = [_unpacked(r[codes], np.uint32) for r in rows]
     every = np.concatenate(parts)
     out = known.by_rank[every]
     out[every == len(known.coded)] = np.concatenate([_unpacked(r[rest], U) for r in rows])
-    return out, np.array([len(x) for x in parts])
+    return out, np.array([len(x) for x in parts]), every
 
 
 def _order(row: dict, words: np.ndarray, known: Words, n_buckets: int):
@@ -404,17 +403,29 @@ class Bucket:
     place of every triple that was asked for.
     """
 
-    def __init__(self, middle: np.ndarray, far: np.ndarray, word: np.ndarray, train: np.ndarray, known: Words):
+    def __init__(self, middle: np.ndarray, far: np.ndarray, word: np.ndarray, train: np.ndarray, known: Words, codes: np.ndarray | None = None):
         self.known = known
         # Pairs, dishes of parents and triples are compared by 64-bit hashes.
-        far_name = mix(middle + far * U(0xD6E8FEB86659FD93))
-        dish_name = mix(middle + word * U(0xA0761D6478BD642F))
-        self.key, first, self.asked = distinct(far_name + dish_name * U(0x9E3779B97F4A7C15))
+        key = word * U(0xA0761D6478BD642F)
+        key += middle
+        dish_name = mix(key)
+        np.multiply(far, U(0xD6E8FEB86659FD93), out=key)
+        key += middle
+        far_name = mix(key)
+        np.multiply(dish_name, U(0x9E3779B97F4A7C15), out=key)
+        key += far_name
+        self.key, first, self.asked = distinct(key)
+        del key
+        far_name, dish_name = far_name[first], dish_name[first]
         self.c = np.bincount(self.asked, weights=train, minlength=len(first)).astype(np.int64)
-        pair_names, _, self.pair = distinct(far_name[first])
-        self.dish_names, at, self.dish = distinct(dish_name[first])
-        self.dish_word = word[first][at]
-        self.middles, _, self.dish_middle = distinct(middle[first][at])
+        pair_names, _, self.pair = distinct(far_name)
+        del far_name
+        self.dish_names, at, self.dish = distinct(dish_name)
+        del dish_name
+        at = first[at]
+        self.dish_word = word[at]
+        self.dish_code = _codes(self.dish_word, known) if codes is None else codes[at]
+        self.middles, _, self.dish_middle = distinct(middle[at])
         self.hot = np.isin(self.middles, known.hot)
         self.hot_dish = self.hot[self.dish_middle]
         # What stays as it is: triples of one customer, and parents' dishes that get one at most.
@@ -490,7 +501,7 @@ class Bucket:
         return (self.c - DISCOUNTS[0] * self.t + (STRENGTHS[0] + DISCOUNTS[0] * self.pair_t[self.pair]) * p) / (STRENGTHS[0] + self.pair_c[self.pair])
 
     def early(self) -> None:
-        root = self.known.first_root(self.dish_word)
+        root = self.known.first_root(self.dish_code)
         for _ in range(self.known.chain.early):
             self.sweep(root)
 
@@ -526,16 +537,18 @@ def _buckets(batches, known: Words) -> Iterator[tuple[int, list[tuple[int, int,
         taken.clear()
         if not rows:
             return None
-        middles, n_middles = _decoded(rows, "middle", "middle_rest", known)
+        middles, n_middles, _ = _decoded(rows, "middle", "middle_rest", known)
         # Each row has its farther words and then its words.
-        both, n_both = _decoded(rows, "codes", "rest", known)
+        both, n_both, codes = _decoded(rows, "codes", "rest", known)
         n = n_both // 2
         first = ragged(np.cumsum(n_both) - n_both, n)
-        far, word = both[first], both[first + np.repeat(n, n)]
+        far = both[first]
+        first += np.repeat(n, n)
+        word, codes = both[first], codes[first]
         each, train = (np.concatenate([_unpacked(r[c], np.uint32) for r in rows]) for c in ("n_triples", "train"))
         asked = [(r["block"], mine, int(k)) for r, mine, k in zip(rows, np.split(middles, np.cumsum(n_middles)[:-1]), n)]
         del both, first, rows
-        return bucket, asked, Bucket(np.repeat(middles, each), far, word, train, known), said
+        return bucket, asked, Bucket(np.repeat(middles, each), far, word, train, known, codes), said
 
     rows, mine = [], None
     for batch in batches:
@@ -633,7 +646,7 @@ class Root:
 def _parts(batches, known: Words) -> Iterator[tuple[int, list[tuple[int, int]], Root]]:
     def finish(part: int, rows: list[dict]):
         rows.sort(key=lambda r: r["bucket"])
-        word, n = _decoded(rows, "codes", "rest", known)
+        word, n, _ = _decoded(rows, "codes", "rest", known)
         hot, customers = (np.concatenate([_unpacked(r[k], t) for r in rows]) for k, t in (("hot", U), ("n", np.int64)))
         return part, [(r["bucket"], int(k)) for r, k in zip(rows, n)], Root(hot, word, customers, known)
 
@@ -767,6 +780,7 @@ def score(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, coded: int = CODED,
     root = _root_answers(told, shared, trace)
     answers = written(_answers(dealt(asked.unionByName(root, allowMissingColumns=True), "bucket"), shared, n_buckets), "lm-answers")
     discard(told)
+    del asked, root
     both = blocks.drop("n_train").unionByName(answers, allowMissingColumns=True)
 
     def run(batches):
@@ -782,7 +796,15 @@ def score(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, coded: int = CODED,
         if row is not None:
             yield _score(row, got, shared.value, n_buckets)
 
-    return dealt_by_block(both).mapInArrow(run, _SCORES)
+    # Blocks meet their answers in rounds, so that only a part of both lies in shuffle files beside the tables.
+    rounds = min(ROUNDS, max(1, known.n_train // (ROUNDS * block_tokens)))
+    parts = []
+    for r in range(rounds):
+        free(spark, 3)
+        mine = both.filter(F.pmod(F.xxhash64("block"), F.lit(rounds)) == r)
+        parts.append(written(dealt_by_block(mine).mapInArrow(run, _SCORES), "lm-scores"))
+    discard(blocks, answers)
+    return functools.reduce(DataFrame.unionByName, parts)
 
 
 def dealt_by_block(rows: DataFrame) -> DataFrame:

@@ -10,7 +10,8 @@ _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
-PIECE = 1 << 20
+#: Bytes that are hashed at once, and numbers that are mixed at once: what they need stays in a core's cache.
+PIECE, STEP = 1 << 16, 1 << 15
 
 _powers: list[np.ndarray] = []
 
@@ -18,7 +19,7 @@ _powers: list[np.ndarray] = []
 def _power_tables(n: int) -> tuple[np.ndarray, np.ndarray]:
     """Powers of an odd base and of its inverse, modulo 2^64."""
     if not _powers or len(_powers[0]) < n:
-        size = max(n, PIECE + 4096)
+        size = max(n, 4 * PIECE + 4096)
         inverse = U(pow(int(_BASE), -1, 1 << 64))
         tables = [np.full(size, b, U) for b in (_BASE, inverse)]
         for t in tables:
@@ -30,11 +31,17 @@ def _power_tables(n: int) -> tuple[np.ndarray, np.ndarray]:
 
 def mix(x: np.ndarray) -> np.ndarray:
     """Finaliser: every bit of the result depends on every bit of x."""
-    x = x ^ (x >> U(30))
-    x = x * U(0xBF58476D1CE4E5B9)
-    x = x ^ (x >> U(27))
-    x = x * U(0x94D049BB133111EB)
-    return x ^ (x >> U(31))
+    out = np.empty(x.shape, U)
+    flat, to = x.reshape(-1), out.reshape(-1)
+    for a in range(0, len(flat), STEP):
+        y, z = flat[a : a + STEP], to[a : a + STEP]
+        t = y >> U(30)
+        np.bitwise_xor(y, t, out=z)
+        for times, by in ((0xBF58476D1CE4E5B9, 27), (0x94D049BB133111EB, 31)):
+            z *= U(times)
+            np.right_shift(z, U(by), out=t)
+            z ^= t
+    return out
 
 
 def distinct(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

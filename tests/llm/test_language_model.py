@@ -180,3 +180,25 @@ def test_one_bucket_is_held_at_a_time(monkeypatch):
     monkeypatch.setattr(lm, "Bucket", counted)
     told = pa.Table.from_batches(list(lm._tell([asked], known, 9)))
     assert len(alive) == 9 and max(most) == 0 and told.num_rows >= 9
+
+
+def test_blocks_meet_their_answers_in_rounds(spark, monkeypatch):
+    """Of the tables of blocks and answers only a part is dealt at once, and neither stays."""
+    from pyspark.sql import functions as F
+
+    rows = [(k, False, " ".join(f"w{(k * 7 + i) % 90}" for i in range(60))) for k in range(80)]
+    dealt, gone, by_block, drop = [], [], lm.dealt_by_block, lm.discard
+
+    def count(table):
+        dealt.append({r.block for r in table.select("block").distinct().collect()})
+        return by_block(table)
+
+    monkeypatch.setattr(lm, "dealt_by_block", count)
+    monkeypatch.setattr(lm, "discard", lambda *tables: (gone.extend(t.written_to.rsplit("/", 1)[1][:6] for t in tables), drop(*tables)))
+    df = spark.createDataFrame(rows, SCHEMA).repartition(24)
+    got = lm.score(df, 200)
+    every = set().union(*dealt)
+    assert len(dealt) == lm.ROUNDS and sum(map(len, dealt)) == len(every) > 10 and max(map(len, dealt)) < len(every) / 2
+    assert {"lm-blo", "lm-ans"} <= set(gone)
+    assert got.agg(F.count("*"), F.countDistinct("doc_id"), F.sum("n_tokens")).first() == (80, 80, 80 * 61)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, lm.score(df, 1 << 21).collect()))
