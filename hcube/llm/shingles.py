@@ -32,16 +32,19 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .graph import components
-from .session import discard, free, written
+from .session import discard, free, shuffle_width, written
 from .simhash import near_links
-from .words import U, mix, word_hashes
+from .words import U, distinct, mix, word_hashes
 
 WORDS = 5
 # The similarity is 4 / 5; both are written out in the conditions below.
 GROUP = 500
 ROUNDS = 2
 COUNTERS, SLICE = 1 << 22, 1 << 16
+KEYS = 1 << 20
 _STEP = U(0xC2B2AE3D27D4EB4F)
+_BYTE = 256 * np.arange(8, dtype=np.int64)
+_BITS = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little").astype(np.float64)
 
 
 def shingle_sets(texts: list[bytes], words: int = WORDS) -> list[np.ndarray]:
@@ -61,7 +64,11 @@ def shingle_sets(texts: list[bytes], words: int = WORDS) -> list[np.ndarray]:
                 short = short * _STEP + x
             out.append(mix(short))
         else:
-            out.append(np.unique(rolled[a : a + max(c - words + 1, 0)]))
+            s = np.sort(rolled[a : a + max(c - words + 1, 0)])
+            new = np.empty(len(s), bool)
+            new[:1] = True
+            np.not_equal(s[1:], s[:-1], out=new[1:])
+            out.append(s[new])
     return out
 
 
@@ -73,9 +80,10 @@ def set_name(shingles: np.ndarray) -> int:
 
 def set_fingerprint(shingles: np.ndarray) -> int:
     """Majority of the bits of a text's distinct shingle hashes, as a signed 64-bit number."""
-    ones = np.zeros(64, np.int64)
+    places = np.zeros(8 * 256, np.int64)  # of each of the eight bytes, how often it has each value
     for k in range(0, len(shingles), 65536):
-        ones += np.unpackbits(shingles[k : k + 65536].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+        places += np.bincount((shingles[k : k + 65536].view(np.uint8).reshape(-1, 8) + _BYTE).ravel(), minlength=8 * 256)
+    ones = (places.astype(np.float64).reshape(8, 256) @ _BITS).ravel()  # whole numbers, far below 2^53
     return int(np.packbits(2 * ones > len(shingles), bitorder="little").view(np.int64)[0])
 
 
@@ -131,6 +139,52 @@ def prints(docs: DataFrame, counts: np.ndarray) -> DataFrame:
     )
 
 
+def shared_keys(nodes: DataFrame, keys: int = KEYS) -> DataFrame:
+    """``(node, size, pos, k, n)``: every key of ``nodes (node, size, keys)`` that n > 1 of them have, and its place.
+
+    Keys go to buckets of about ``keys`` packed together, as most are alone and end there.
+    """
+    total = nodes.agg(F.sum(F.expr("size div 5 + 1"))).first()[0] or 0
+    n_buckets = max(shuffle_width(nodes.sparkSession), int(total) // keys)
+
+    def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            node, size = (batch.column(c).to_numpy() for c in (0, 1))
+            lists = batch.column(2)
+            n = lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+            k = lists.flatten().to_numpy().view(U)
+            of = np.repeat(np.arange(len(n), dtype=np.int32), n)
+            pos = (np.arange(len(k)) - np.repeat(np.cumsum(n) - n, n)).astype(np.int32)
+            bucket = (k >> U(16)) % U(n_buckets)
+            order = np.argsort(bucket.astype(np.uint16 if n_buckets <= 1 << 16 else np.int64), kind="stable")
+            cuts = np.flatnonzero(np.r_[True, np.diff(bucket[order].view(np.int64)) != 0]) if len(k) else []
+            for a, z in zip(cuts, [*cuts[1:], len(k)]):
+                mine = order[a:z]
+                rows, each = np.unique(of[mine], return_counts=True)
+                parts = (k[mine], pos[mine], node[rows], size[rows], each)
+                yield pa.RecordBatch.from_arrays([pa.array([int(bucket[mine[0]])], pa.int32()), *(pa.array([x.tobytes()], pa.binary()) for x in parts)], names)
+
+    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[list[bytes]] = []
+        for batch in batches:
+            held += zip(*(c.to_pylist() for c in batch.columns[1:]))
+        if not held:
+            return
+        kinds = (U, np.int32, np.int64, np.int64, np.int64)
+        k, pos, node, size, each = (np.concatenate([np.frombuffer(b, t) for b in c]) for c, t in zip(zip(*held), kinds))
+        held.clear()
+        uniq, _, number = distinct(k)
+        n = np.bincount(number, minlength=len(uniq))[number]
+        del uniq, number
+        more = np.flatnonzero(n > 1)
+        of = np.repeat(np.arange(len(each)), each)[more]
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in (node[of], size[of], pos[more], k[more].view(np.int64), n[more])], ["node", "size", "pos", "k", "n"])
+
+    names = ["bucket", "hashes", "pos", "node", "size", "each"]
+    sent = nodes.select("node", "size", "keys").mapInArrow(send, "bucket int, hashes binary, pos binary, node binary, size binary, each binary")
+    return sent.repartitionById(n_buckets, "bucket").mapInArrow(meet, "node long, size long, pos int, k long, n long")
+
+
 def sets_of(docs: DataFrame, nodes: DataFrame) -> DataFrame:
     """``(node, shingles binary)`` of ``nodes (th)``."""
 
@@ -215,14 +269,13 @@ def near_copies(docs: DataFrame, group: int = GROUP, counters: int = COUNTERS, r
     # Texts with equal sets are one node.
     one = table.groupBy("node").agg(*[F.min(c).alias(a) for c, a in (("doc_id", "least"), ("th", "th"), ("fp", "fp"))], F.first("size").alias("size"), F.first("keys").alias("keys"))
     nodes = written(one, "shingle-nodes")
-    rows = nodes.select("node", "size", F.posexplode("keys").alias("pos", "k"))
-    keyed = written(rows.join(rows.groupBy("k").agg(F.count("*").alias("n")).filter("n > 1"), "k"), "shingle-keys")
+    keyed = written(shared_keys(nodes), "shingle-keys")
     of_node, names = written(table.select("doc_id", "node"), "shingle-docs"), written(nodes.select("node", "least", "th", "fp"), "shingle-names")
     discard(table, nodes)
     weights = keyed.groupBy("node").agg(F.sum("n").alias("weight"))
     plain, keyed = keyed, written(keyed.drop("n").join(weights, "node"), "shingle-weights")
     discard(plain)
-    del one, rows, weights, plain
+    del one, weights, plain
     near = written(close_pairs(names.select("node", "fp")), "shingle-close")
 
     def linked(pairs: DataFrame, labels: DataFrame | None = None) -> DataFrame | None:

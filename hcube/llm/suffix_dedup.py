@@ -43,6 +43,7 @@ LENGTH = 50
 ANCHOR = 24
 REACH = LENGTH - ANCHOR  # how far a window may start before its anchor
 CHUNK = 1 << 20
+SLICE = 1 << 15  # places that are hashed at once: what they need stays in a core's cache
 BLOCK = 1 << 22
 BUCKET_BYTES = 1 << 26
 HOT, HOT_MOST = 1000, 100_000
@@ -57,40 +58,49 @@ _MUL = U(0x2545F4914F6CDD1D)
 
 def window_minima(buf: np.ndarray, stops: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Hash of the 24 bytes at each place; smallest hash in the window that starts there (0: no window)."""
+    h, m = np.empty(len(buf), U), np.empty(len(buf), U)
+    for a in range(0, len(buf), SLICE):  # what a window that starts before z needs ends before z + LENGTH
+        z = min(a + SLICE, len(buf))
+        hashes, least = _minima(buf[a : z + LENGTH])
+        h[a:z], m[a:z] = hashes[: z - a], least[: z - a]
+    for a, z in zip([0, *stops[:-1].tolist()], stops.tolist()):  # the last 49 places of each part start no window
+        m[max(a, z - (LENGTH - 1)) : z] = 0
+    return h, m
+
+
+def _minima(buf: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     x = buf.astype(U)
     for k in (1, 2, 4):  # eight bytes at each place
         x[:-k] |= x[k:] << U(8 * k)
     h = mix(x)
+    x *= _MUL
     for k in (8, 16):
-        h[:-k] = mix((h[:-k] << U(1)) ^ (x[k:] * _MUL))
+        y = h[:-k] << U(1)
+        y ^= x[k:]
+        h[:-k] = mix(y)
     h |= U(1)
-    m = h.copy()
-    size = 1
-    while 2 * size <= REACH + 1:
-        m[:-size] = np.minimum(m[:-size], m[size:])
-        size *= 2
-    if size < REACH + 1:
-        k = REACH + 1 - size
-        m[:-k] = np.minimum(m[:-k], m[k:])
-    cover = np.zeros(len(buf) + 1, np.int32)  # the last 49 places of each part start no window
-    starts = np.r_[0, stops[:-1]]
-    np.add.at(cover, np.maximum(starts, stops - (LENGTH - 1)), 1)
-    np.add.at(cover, stops, -1)
-    m[np.cumsum(cover[:-1]) > 0] = 0
-    return h, m
+    return h, _sliding(np.minimum, h)
+
+
+def _sliding(least, x: np.ndarray) -> np.ndarray:
+    """Of each place and the REACH behind it, the least; at the end of those that are there."""
+    out, other, size = x.copy(), np.empty_like(x), 1
+    while size < REACH + 1:
+        k = min(size, REACH + 1 - size)
+        least(out[:-k], out[k:], out=other[:-k])
+        other[-k:] = out[-k:]
+        out, other, size = other, out, size + k
+    return out
 
 
 def anchors(h: np.ndarray, m: np.ndarray) -> np.ndarray:
     """Places whose hash is the smallest of some window."""
-    top = m.copy()
-    size = 1
-    while 2 * size <= REACH + 1:
-        top[size:] = np.maximum(top[size:], top[:-size])
-        size *= 2
-    if size < REACH + 1:
-        k = REACH + 1 - size
-        top[k:] = np.maximum(top[k:], top[:-k])
-    return np.flatnonzero((top == h) & (top > 0))
+    out = []
+    for a in range(0, len(h), SLICE):
+        b, z = max(a - REACH, 0), min(a + SLICE, len(h))
+        top = _sliding(np.maximum, m[b:z][::-1])[::-1][a - b :]
+        out.append(a + np.flatnonzero((top == h[a:z]) & (top > 0)))
+    return np.concatenate(out) if out else np.empty(0, np.int64)
 
 
 def parts_of(texts: list[bytes]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:

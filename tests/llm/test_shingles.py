@@ -74,3 +74,19 @@ def test_pairs_that_share_late_keys_only_are_not_made(spark):
     assert [tuple(r) for r in found.collect()] == [(200, 201)]
     joins = [x for x in found._jdf.queryExecution().optimizedPlan().toString().splitlines() if "Join Inner" in x and "node_a" in x]
     assert joins and all("pos_a" in x for x in joins)
+
+
+@pytest.mark.parametrize("keys", [1 << 20, 40])
+def test_only_shared_keys_become_rows(spark, keys):
+    """Keys travel packed: no row of a key that one text has alone, one of each other with its place and count."""
+    random.seed(3)
+    nodes = [(k - 150, 10 + k, [-(2**62), *random.sample(range(-900, 900), k % 9), 5000 + k][k % 2 :]) for k in range(300)] + [(999, 0, [])]
+    have = {}
+    for node, size, ks in nodes:
+        for pos, k in enumerate(ks):
+            have.setdefault(k, []).append((node, size, pos, k))
+    df = spark.createDataFrame(nodes, "node long, size long, keys array<long>").repartition(5)
+    found = shingles.shared_keys(df, keys)
+    assert sorted(map(tuple, found.collect())) == sorted((*x, len(v)) for v in have.values() if len(v) > 1 for x in v)
+    assert "Generate" not in found._jdf.queryExecution().toString() and "Join" not in found._jdf.queryExecution().toString()
+    assert shingles.shared_keys(df.limit(0), keys).count() == 0
